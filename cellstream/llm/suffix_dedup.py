@@ -265,8 +265,9 @@ def _block_repeats(keys, uids, places, lows, contexts, length, gram) -> list[tup
     for group in block.classes(dense):
         rows = used[group // stride]
         begin = places[rows] - reach + group % stride
-        rank = np.lexsort((begin, uids[rows]))
-        out += [(int(uids[rows[k]]), int(begin[k]), int(begin[k]) + length) for k in rank[1:]]
+        # A string with two anchors is here once for each; only later places than the first are repeats.
+        there = sorted(set(zip(uids[rows].tolist(), begin.tolist(), strict=True)))
+        out += [(uid, start, start + length) for uid, start in there[1:]]
     return out
 
 

@@ -183,7 +183,7 @@ def pseudonymised(docs: DataFrame, key: bytes, text: str = "text", count: str |
     One narrow pass; the text column keeps its place, and only it and the other columns' Arrow buffers move.
     """
     place = docs.columns.index(text)
-    schema = docs.schema.simpleString()[7:-1] if False else ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
 
     def change(batches):
         memo: dict = {}
