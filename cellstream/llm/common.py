@@ -53,18 +53,21 @@ _WIDE_SPACE = "\u0085\u00a0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u200
 class PieceEncoder:
     """Exact token ids of whole texts, from a bounded two-generation cache of white-space delimited pieces.
 
-    A non-space to ASCII-space boundary is always a pre-token boundary of both vocabularies, so a text's ids
-    are those of its pieces put together. A piece that ends with wide white space may share a run of white space
+    A boundary from non-space to ASCII space, or from an ASCII letter to ASCII punctuation but the apostrophe, is always a
+    pre-token boundary of both vocabularies, so a text's ids are those of its pieces put together. A piece that ends with wide white space may share a run of white space
     with its follower; a text with such a piece goes to the library whole. ``keep_space`` keeps each piece's
     leading white space (byte-level vocabulary); without it white space is dropped.
     """
 
-    def __init__(self, path: str, keep_space: bool, capacity: int = 250_000):
+    def __init__(self, path: str, keep_space: bool, capacity: int = 500_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self._library = Tokenizer.from_file(path)
-        self._cut = re.compile(rb"[\t-\r ]*[^\t-\r ]+|[\t-\r ]+").findall if keep_space else bytes.split
+        lead = "[\\t-\\r ]*+" if keep_space else ""
+        rest = "|[\\t-\\r ]++" if keep_space else ""
+        word = r"[A-Za-z\x80-\xff]++(?<=[A-Za-z])(?=[!-&(-/:-@\[-`{-~])"
+        self._cut = re.compile(f"{lead}(?:{word}|[^\\t-\\r ]++){rest}".encode("latin-1")).findall
         self._keep_space, self._capacity = keep_space, capacity
         self._young: dict[bytes, object] = {}
         self._old: dict[bytes, object] = {}
@@ -93,6 +96,8 @@ class PieceEncoder:
 
     def encode(self, raw: bytes) -> bytes:
         """Little-endian unsigned 32-bit ids of one text."""
+        if not self._keep_space and raw.isascii() and b"<|" not in raw:
+            raw = raw.lower()  # as the vocabulary's normalizer does; other texts may compose letters before
         pieces = self._cut(raw)
         values = list(map(self._young.get, pieces))
         if None in values:

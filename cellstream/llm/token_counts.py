@@ -27,7 +27,7 @@ _SPACE[[9, 10, 11, 12, 13, 32]] = True
 class CountTransducer:
     """Deterministic transducer with ``max_states`` states at most; grows until full, then stays."""
 
-    def __init__(self, vocabulary: str, max_states: int = 1 << 17, max_classes: int = 96, memo: int = 200_000):
+    def __init__(self, vocabulary: str, max_states: int = 1 << 17, max_classes: int = 96, memo: int = 600_000):
         self._library = PieceEncoder(vocabulary, keep_space=False, capacity=1)
         self._classes = np.zeros(256, np.int32)  # class 0: bytes no compiled unit has; class 1: white space
         self._classes[_SPACE] = 1
