@@ -5,6 +5,17 @@ from __future__ import annotations
 _TOP, _WORD = 1 << 64, 1 << 48
 
 
+def _rest(total: int) -> int:
+    return ((total - 1) & 0xFFFFFFFF) + 1
+
+
+def _digits(total: int) -> tuple[int, int, int]:
+    """High digits of an alphabet above 2**32: how many, the weight of a full one, and of the last one."""
+    digits = (total - 1 >> 32) + 1
+    weight = max(1, (1 << 31) // digits)
+    return digits, weight, max(1, _rest(total) * weight >> 32)
+
+
 class Encoder:
     def __init__(self):
         self._low, self._range, self._words = 0, _TOP - 1, []
@@ -28,10 +39,10 @@ class Encoder:
 
     def put_uniform(self, value: int, total: int) -> None:
         if total > 1 << 32:
-            high = (total - 1 >> 32) + 1
-            self.put(value >> 32, 1, high)
-            last = value >> 32 == high - 1
-            self.put_uniform(value & 0xFFFFFFFF, ((total - 1) & 0xFFFFFFFF) + 1 if last else 1 << 32)
+            digits, weight, tail = _digits(total)
+            top = value >> 32
+            self.put(top * weight, tail if top == digits - 1 else weight, (digits - 1) * weight + tail)
+            self.put_uniform(value & 0xFFFFFFFF, _rest(total) if top == digits - 1 else 1 << 32)
         elif total > 1:
             self.put(value, 1, total)
 
@@ -69,10 +80,10 @@ class Decoder:
 
     def get_uniform(self, total: int) -> int:
         if total > 1 << 32:
-            high = (total - 1 >> 32) + 1
-            top = self.target(high)
-            self.take(top, 1, high)
-            return top << 32 | self.get_uniform(((total - 1) & 0xFFFFFFFF) + 1 if top == high - 1 else 1 << 32)
+            digits, weight, tail = _digits(total)
+            top = min(digits - 1, self.target((digits - 1) * weight + tail) // weight)
+            self.take(top * weight, tail if top == digits - 1 else weight, (digits - 1) * weight + tail)
+            return top << 32 | self.get_uniform(_rest(total) if top == digits - 1 else 1 << 32)
         if total <= 1:
             return 0
         value = self.target(total)
