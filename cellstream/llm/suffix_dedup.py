@@ -192,6 +192,7 @@ class SuffixBlock:
         self._rank = np.full(self.n + period, -1, np.int64)
         self._rank[sample] = rank
         self._delta = {}
+        self._to_sample = np.array([next(d for d in range(period) if self._in[(r + d) % period]) for r in range(period)])
 
     def _shift(self, p: int, q: int) -> int:
         key = (p % self.period, q % self.period)
@@ -205,32 +206,26 @@ class SuffixBlock:
 
     def sort_bucket(self, suffixes: np.ndarray) -> np.ndarray:
         """Suffixes in order of their first ``depth`` bytes."""
-        head = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(self.text, self.period)[suffixes]).view(f"V{self.period}")[:, 0]
-        _, key = np.unique(head, return_inverse=True)
-        order = np.argsort(key, kind="stable")
+        key = np.unique(self._heads(suffixes, self.period), return_inverse=True)[1]
+        # Members of a tie that stand alike in the period compare by the rank of one sample position each.
+        order = np.lexsort((self._rank[suffixes + self._to_sample[suffixes % self.period]], key))
         suffixes, key = suffixes[order], key[order]
-        cuts = np.flatnonzero(np.diff(key)) + 1
-        for a, b in zip([0, *cuts], [*cuts, len(key)], strict=True):
-            if b - a > 1:
-                tied = suffixes[a:b]
-                if len(np.unique(tied % self.period)) == 1:
-                    d = self._shift(int(tied[0]), int(tied[0]))
-                    suffixes[a:b] = tied[np.argsort(self._rank[tied + d], kind="stable")]
-                else:
-                    suffixes[a:b] = sorted(tied.tolist(), key=functools.cmp_to_key(self._compare))
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(key)) + 1])
+        residue = suffixes % self.period
+        mixed = np.flatnonzero(np.minimum.reduceat(residue, cuts) != np.maximum.reduceat(residue, cuts))
+        for a, b in zip(cuts[mixed].tolist(), np.append(cuts, len(key))[mixed + 1].tolist(), strict=True):
+            suffixes[a:b] = sorted(suffixes[a:b].tolist(), key=functools.cmp_to_key(self._compare))
         return suffixes
 
-    def classes(self, suffixes: np.ndarray) -> list[np.ndarray]:
-        """Groups of two or more suffixes that share ``depth`` bytes."""
-        out = []
+    def _heads(self, suffixes: np.ndarray, n: int) -> np.ndarray:
+        return np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(self.text, n)[suffixes]).view(f"V{n}")[:, 0]
+
+    def classes(self, suffixes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Suffixes in bucket order, and the number of each one's class; a class shares ``depth`` bytes."""
         lead = self.text[suffixes]
-        for value in np.unique(lead):  # one bucket at a time
-            ordered = self.sort_bucket(suffixes[lead == value])
-            rows = np.lib.stride_tricks.sliding_window_view(self.text, self.depth)
-            same = np.array([np.array_equal(rows[p], rows[q]) for p, q in zip(ordered[:-1].tolist(), ordered[1:].tolist(), strict=True)], bool)
-            cuts = np.flatnonzero(~same) + 1
-            out += [g for g in np.split(ordered, cuts) if len(g) > 1]
-        return out
+        ordered = np.concatenate([self.sort_bucket(suffixes[lead == value]) for value in np.unique(lead)])  # a bucket at a time
+        whole = self._heads(ordered, self.depth)
+        return ordered, np.concatenate([[0], np.cumsum(whole[1:] != whole[:-1])])
 
 
 def _block_repeats(keys, uids, places, lows, contexts, length, gram) -> list[tuple[int, int, int]]:
@@ -260,15 +255,23 @@ def _block_repeats(keys, uids, places, lows, contexts, length, gram) -> list[tup
         return []
     used = np.unique(suffix // stride)  # the block's text is the rows that are left
     dense = np.searchsorted(used, suffix // stride) * stride + suffix % stride
-    block = SuffixBlock(grid[used].reshape(-1), length)
-    out = []
-    for group in block.classes(dense):
-        rows = used[group // stride]
-        begin = places[rows] - reach + group % stride
-        # A string with two anchors is here once for each; only later places than the first are repeats.
-        there = sorted(set(zip(uids[rows].tolist(), begin.tolist(), strict=True)))
-        out += [(uid, start, start + length) for uid, start in there[1:]]
-    return out
+    ordered, group = SuffixBlock(grid[used].reshape(-1), length).classes(dense)
+    rows = used[ordered // stride]
+    owner, begin = uids[rows], places[rows] - reach + ordered % stride
+    order = np.lexsort((begin, owner, group))
+    group, owner, begin = group[order], owner[order], begin[order]
+    first = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+    first = first[group - group[0]]  # classes are numbered in order without gaps
+    # A string with two anchors is here once for each; only later places than the first are repeats.
+    later = (owner != owner[first]) | (begin != begin[first])
+    owner, begin = owner[later], begin[later]
+    if not len(owner):
+        return []
+    order = np.lexsort((begin, owner))
+    owner, begin = owner[order], begin[order]
+    breaks = np.flatnonzero((owner[1:] != owner[:-1]) | (begin[1:] > begin[:-1] + length))
+    starts, ends = np.concatenate([[0], breaks + 1]), np.concatenate([breaks, [len(owner) - 1]])
+    return list(zip(owner[starts].tolist(), begin[starts].tolist(), (begin[ends] + length).tolist(), strict=True))
 
 
 def repeats(docs: DataFrame, length: int = 100, gram: int = 20, block_rows: int = 4000, hot: int = 50_000) -> DataFrame:
