@@ -11,12 +11,20 @@ from ..functions.keys import cell_axis
 from ..functions.schedule import SplitSchedule
 
 
-def neighbour_counts(nodes: DataFrame, schedule: SplitSchedule, order: int = 1, weights: str = "1/dist", shape: str = "face", levels: list[int] | None = None) -> DataFrame:
+def neighbour_counts(
+    nodes: DataFrame, schedule: SplitSchedule, order: int = 1, weights: str = "1/dist", shape: str = "face", levels: list[int] | None = None, context: str = "wave", tile_bits: int | None = None
+) -> DataFrame:
     """Nodes with nb_left and nb_right: weighted points in the cells on either side along the axis that is split next.
 
     ``face``: the same other coordinates, up to ``order`` cells away; one window a split axis, and its frames share one sort.
     ``moore``: all cells that touch, by low and high side; an equi-join on shifted cells, for few axes.
+    ``context`` (nearest face neighbours only) says what the decoder knows of a neighbour. ``wave``: its count before the
+    wave. ``two_colour``: cells of even place go first in that way, odd ones then see the nearer half of both neighbours,
+    doubled. ``sequential``: the lower neighbour's nearer half, the upper one's count before the wave.
+    ``tile_bits`` keeps face neighbours within a cell's tile (its ancestor at that level); waves above it are one tile.
     """
+    if (context != "wave" or tile_bits is not None) and (shape != "face" or (context != "wave" and order != 1)):
+        raise ValueError("other contexts are for nearest face neighbours, tiles for face neighbours")
     d, out = len(schedule.bits), None
     use = range(schedule.q) if levels is None else levels
     for axis in range(d):
@@ -26,21 +34,32 @@ def neighbour_counts(nodes: DataFrame, schedule: SplitSchedule, order: int = 1,
         rows = nodes.where(F.col("level").isin(own))
         for i in range(d):
             rows = rows.withColumn(f"c{i}", cell_axis(schedule, i, F.col("level"), F.col("prefix")))
-        part = _face(rows, d, axis, order, weights) if shape == "face" else _moore(rows, d, axis)
+        tile = []
+        if tile_bits is not None:
+            above = F.call_function("shiftright", F.col("prefix"), F.greatest(F.col("level") - tile_bits, F.lit(0)))
+            rows, tile = rows.withColumn("tile", F.when(F.col("level") > tile_bits, above).otherwise(0)), ["tile"]
+        part = _face(rows, d, axis, order, weights, context, tile) if shape == "face" else _moore(rows, d, axis)
         part = part.select("level", "prefix", "cnt", "left_cnt", "nb_left", "nb_right")
         out = part if out is None else out.unionByName(part)
     return out
 
 
-def _face(rows: DataFrame, d: int, axis: int, order: int, weights: str) -> DataFrame:
-    line = Window.partitionBy("level", *[f"c{i}" for i in range(d) if i != axis]).orderBy(f"c{axis}")
+def _face(rows: DataFrame, d: int, axis: int, order: int, weights: str, context: str, tile: list[str]) -> DataFrame:
+    line = Window.partitionBy("level", *tile, *[f"c{i}" for i in range(d) if i != axis]).orderBy(f"c{axis}")
     weigh = (lambda k: 1.0 / k) if weights == "1/dist" else (lambda k: 0.5 ** (k - 1))
 
     def side(sign):
         terms = [F.coalesce(F.sum("cnt").over(line.rangeBetween(sign * k, sign * k)), F.lit(0)) * weigh(k) for k in range(1, order + 1)]
         return reduce(lambda a, b: a + b, terms)
 
-    return rows.withColumn("nb_left", side(-1)).withColumn("nb_right", side(1))
+    if context == "wave":
+        return rows.withColumn("nb_left", side(-1)).withColumn("nb_right", side(1))
+    at = lambda value, k: F.coalesce(F.sum(value).over(line.rangeBetween(k, k)), F.lit(0)) * 1.0
+    near_left, near_right = at(2 * (F.col("cnt") - F.col("left_cnt")), -1), at(2 * F.col("left_cnt"), 1)
+    if context == "sequential":
+        return rows.withColumn("nb_left", near_left).withColumn("nb_right", side(1))
+    odd = F.col(f"c{axis}") % 2 == 1
+    return rows.withColumn("nb_left", F.when(odd, near_left).otherwise(side(-1))).withColumn("nb_right", F.when(odd, near_right).otherwise(side(1)))
 
 
 def _moore(rows: DataFrame, d: int, axis: int) -> DataFrame:

@@ -109,6 +109,42 @@ def synthesise(cells: DataFrame, schedule: SplitSchedule, law: str = "uniform",
     return one.select(*axes)
 
 
+def law_errors(points: DataFrame, schedule: SplitSchedule, level: int, grid: int = 16) -> DataFrame:
+    """(law, rmse, chosen): expected distance, over all axes, from a point to one its cell's law places at this level.
+
+    A law's mean and variance on an axis are closed forms of the cell and its count, so each cell gives only its count and
+    two sums an axis: one aggregate with partial sums, whatever a cell holds. ``chosen`` marks the smallest, by name if tied.
+    """
+    keyed = leaf_multiset(points, schedule).select("m", "key", F.expr(f"shiftright(key, {schedule.q - level})").alias("prefix"))
+    d, names = len(schedule.bits), ("centre", "gaussian", "grid", "regular", "uniform")
+    # Offsets from the cell's low corner keep the squares small.
+    own = [(cell_axis(schedule, i, F.lit(schedule.q), F.col("key")) - cell_bounds(schedule, i, F.lit(level), F.col("prefix"))[0]).cast("double") for i in range(d)]
+    sums = [s for i, x in enumerate(own) for s in (F.sum(x * F.col("m")).alias(f"s{i}"), F.sum(x * x * F.col("m")).alias(f"t{i}"))]
+    cells = keyed.groupBy("prefix").agg(F.sum("m").alias("cnt"), *sums)
+    errors = {n: F.lit(0.0) for n in names}
+    for i in range(d):
+        low, high = cell_bounds(schedule, i, F.lit(level), F.col("prefix"))
+        side = (high - low + 1).cast("double")
+        mid, spread = (side - 1) / 2, (side * side - 1) / 12
+        half = low + F.floor((high - low + 1) / 2).cast("long")
+        of = {
+            "centre": (mid, F.lit(0.0)), "gaussian": (mid, spread / 4), "grid": ((F.greatest(low, half - F.pmod(half, F.lit(grid))) - low).cast("double"), F.lit(0.0)),
+            "regular": (mid, side * side / 12 * (1 - 1 / (F.col("cnt") * F.col("cnt")))), "uniform": (mid, spread),
+        }
+        for n, (mean, var) in of.items():
+            errors[n] = errors[n] + F.col(f"t{i}") - 2 * mean * F.col(f"s{i}") + F.col("cnt") * (mean * mean + var)
+    total = cells.agg(F.sum("cnt").alias("n"), *[F.sum(e).alias(n) for n, e in errors.items()])
+    laws = F.array(*[F.struct(F.round(F.sqrt(F.col(n) / F.col("n")), 4).alias("rmse"), F.lit(n).alias("law")) for n in names])
+    rows = total.where("n > 0").select(F.array_min(laws)["law"].alias("best"), F.explode(laws).alias("x"))
+    return rows.select("x.law", "x.rmse", (F.col("x.law") == F.col("best")).alias("chosen"))
+
+
+def choose_law(points: DataFrame, schedule: SplitSchedule, level: int, grid: int = 16) -> str | None:
+    """Law to name in a header; None for an empty set."""
+    best = law_errors(points, schedule, level, grid).where("chosen").first()
+    return best["law"] if best else None
+
+
 def distortion(points: DataFrame, schedule: SplitSchedule, levels: list[int]) -> DataFrame:
     """(level, max_error, rmse) of cell centres, over all axes, for each level."""
     rows = leaf_multiset(points, schedule).select("key", "m", F.explode(F.array(*[F.lit(lv) for lv in levels])).alias("level"))

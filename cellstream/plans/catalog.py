@@ -359,7 +359,38 @@ def _gain_sql(name: str) -> str:
 
 
 add("prediction_gain", _gains, " UNION ALL ".join(_gain_sql(n) for n in ("smooth", "terrain", "object_orders", "object_part")))
-add("model_per_wave", lambda s, d: predict.choose_model_per_wave(predict.neighbour_counts(nodes_of(_TS)(s, d), _TS.schedule())), None)
+_MODELS = ["log2(cnt + 1)", *(sql.gaussian(c, sh) for c, sh in predict.GRID)]
+_BEST = f"least({', '.join(f'm{k}' for k in range(len(_MODELS)))})"
+_MODEL_SQL = f"{sql.neighbours(_TS)}, per AS (SELECT level, {', '.join(f'round(sum({e}), 3) AS m{k}' for k, e in enumerate(_MODELS))} FROM ctx GROUP BY level) SELECT level, CASE {' '.join(f'WHEN m{k} = {_BEST} THEN {k}' for k in range(len(_MODELS)))} END AS model, round({_BEST}, 2) AS bits FROM per"
+add("model_per_wave", lambda s, d: predict.choose_model_per_wave(predict.neighbour_counts(nodes_of(_TS)(s, d), _TS.schedule())).withColumn("bits", F.round("bits", 2)), _MODEL_SQL)
+add("gaussian_cost_smooth", lambda s, d: tree.with_coordinates(predict.neighbour_counts(nodes_of(_TS)(s, d), _TS.schedule()).select("level", "prefix", "cnt", "left_cnt", F.round(predict.gaussian_bits(F.col("cnt"), F.col("left_cnt"), predict.predicted_left(F.col("nb_left"), F.col("nb_right"), F.col("cnt"), 16.0)), 4).alias("bits")), _TS.schedule()), f"{sql.neighbours(_TS)} SELECT level, {sql.axes_of(_TS)}, cnt, left_cnt, round({sql.gaussian(0.5, 16.0)}, 4) AS bits FROM ctx")
+
+
+def _known(column, names, settings):
+    """Gain of the prediction for each setting of what a cell may know of its neighbours."""
+
+    def run(s, d):
+        out = None
+        for name in names:
+            lat = LATTICES[name]
+            nodes = nodes_of(lat)(s, d)
+            for label, setting in settings.items():
+                cost = predict.predicted_cost(predict.neighbour_counts(nodes, lat.schedule(), **setting))
+                row = cost.agg(F.lit(name).alias("name"), F.lit(label).alias(column), F.round((1 - F.sum("predicted_bits") / F.sum("uniform_bits")) * 100, 1).alias("gain"))
+                out = row if out is None else out.unionByName(row)
+        return out
+
+    return run
+
+
+def _known_sql(column, names, settings) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({sql.neighbours(LATTICES[n], **setting)} SELECT '{n}' AS name, '{label}' AS {column}, round((1 - sum({sql.gaussian(0.5, 16.0)}) / sum(log2(cnt + 1))) * 100, 1) AS gain FROM ctx) t" for n in names for label, setting in settings.items())
+
+
+_POLICY = {c: {"context": c} for c in ("wave", "two_colour", "sequential")}
+_SCOPE = {"global": {}, "tile_4": {"tile_bits": 4}, "tile_8": {"tile_bits": 8}}
+for _name, _settings, _column in (("context_policies", _POLICY, "context"), ("scope_ablation", _SCOPE, "scope")):
+    add(_name, _known(_column, ("smooth", "object_orders"), _settings), _known_sql(_column, ("smooth", "object_orders"), _settings))
 
 
 def _contexts(s, d):
@@ -458,6 +489,31 @@ for _law in ("uniform", "regular", "grid"):
     add(f"synth_{_law}", _synth(_law), _synth_sql(_law))
 add("synth_gaussian", _synth("gaussian"), None)
 
+_LAW_LEVELS = (12, 18, 24)
+
+
+def _laws(s, d):
+    out = None
+    for level in _LAW_LEVELS:
+        row = progressive.law_errors(_TS.points(s, d), _TS.schedule(), level).select(F.lit(level).alias("level"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _law_sql(level: int) -> str:
+    used = _TS.schedule().used(level)
+    sides = [1 << (b - u) for b, u in zip(_TS.bits, used, strict=True)]
+    cells = ", ".join(f"a{i} // {w} * {w} AS l{i}" for i, w in enumerate(sides))
+    grid = [f"greatest(l{i}, l{i} + {w // 2} - (l{i} + {w // 2}) % 16)" for i, w in enumerate(sides)]
+    mid = [f"(l{i} + {(w - 1) / 2})" for i, w in enumerate(sides)]
+    law = {"centre": (mid, "0.0"), "gaussian": (mid, "({w} * {w} - 1) / 48.0"), "grid": (grid, "0.0"), "regular": (mid, "{w} * {w} / 12.0 * (1 - 1.0 / (cnt * cnt))"), "uniform": (mid, "({w} * {w} - 1) / 12.0")}
+    errors = ", ".join("round(sqrt(avg(CAST(" + " + ".join(f"(a{i} - {mean[i]}) * (a{i} - {mean[i]}) + " + var.format(w=w) for i, w in enumerate(sides)) + f" AS DOUBLE))), 4) AS {n}" for n, (mean, var) in law.items())
+    rows = " UNION ALL ".join(f"SELECT {level} AS level, '{n}' AS law, {n} AS rmse, {n} = least({', '.join(law)})" + "".join(f" AND {n} <> {before}" for before in list(law)[:k]) + " AS chosen FROM e" for k, n in enumerate(law))
+    return f"WITH {sql.points(_TS)}, k AS (SELECT *, {cells} FROM pts), c AS (SELECT *, count(*) OVER (PARTITION BY l0, l1, l2) AS cnt FROM k), e AS (SELECT {errors} FROM c) {rows}"
+
+
+add("law_choice", _laws, " UNION ALL ".join(f"SELECT * FROM ({_law_sql(lv)}) t{lv}" for lv in _LAW_LEVELS))
+
 # Baselines ----------------------------------------------------------------------------------------------------------------------------
 add("baseline_raw", lambda s, d: _EV.points(s, d).agg(F.count(F.lit(1)).alias("n"), (F.count(F.lit(1)) * 43).alias("bits")), "SELECT count(*) AS n, count(*) * 43 AS bits FROM events")
 _TSI = "WITH pts0 AS (SELECT * FROM ({p})), g AS (SELECT a0 // 16 AS i, a1 // 16 AS j, a2 AS z FROM pts0)".format(p=_TS.duck())

@@ -51,12 +51,19 @@ def summary(lat: Lattice, sch: SplitSchedule | None = None, name: str = "") -> s
     return f"{tree(lat, sch)} " + SUMMARY.format(q=sch.q, name=f"'{name}' AS name, " if name else "")
 
 
-def neighbours(lat: Lattice, order: int = 1, weights: str = "1/dist", levels: list[int] | None = None) -> str:
+def neighbours(lat: Lattice, order: int = 1, weights: str = "1/dist", levels: list[int] | None = None, context: str = "wave", tile_bits: int | None = None) -> str:
     """WITH parts up to ctx(level, c0.., cnt, left_cnt, nb_left, nb_right)."""
     d = len(lat.axes)
     parts = []
+    tile = []
+    if tile_bits is not None:
+        # Bits settled since the tile: those open at the tile's level and closed at the node's.
+        settled = [b - u for b, u in zip(lat.bits, lat.schedule().used(tile_bits), strict=True)]
+        tile = [f"CASE WHEN level > {tile_bits} THEN c{i} >> ({o} - (SELECT any_value(r{i}) FROM sch z WHERE z.level = node.level)) ELSE 0 END" for i, o in enumerate(settled)]
     for axis in range(d):
-        others = ", ".join(["level", *(f"c{i}" for i in range(d) if i != axis)])
+        others = ", ".join(["level", *tile, *(f"c{i}" for i in range(d) if i != axis)])
+        line = f"OVER (PARTITION BY {others} ORDER BY c{axis} RANGE BETWEEN"
+        near_left, near_right = f"coalesce(sum(2 * (cnt - left_cnt)) {line} 1 PRECEDING AND 1 PRECEDING), 0)", f"coalesce(sum(2 * left_cnt) {line} 1 FOLLOWING AND 1 FOLLOWING), 0)"
 
         def side(way, axis=axis, others=others):
             terms = []
@@ -65,8 +72,13 @@ def neighbours(lat: Lattice, order: int = 1, weights: str = "1/dist", levels: li
                 terms.append(f"coalesce(sum(cnt) OVER (PARTITION BY {others} ORDER BY c{axis} RANGE BETWEEN {k} {way} AND {k} {way}), 0) * CAST({w!r} AS DOUBLE)")
             return " + ".join(terms)
 
+        left, right = side("PRECEDING"), side("FOLLOWING")
+        if context == "sequential":
+            left = near_left
+        elif context == "two_colour":
+            left, right = (f"CASE WHEN c{axis} % 2 = 1 THEN {near} ELSE {plain} END" for near, plain in ((near_left, left), (near_right, right)))
         chosen = "" if levels is None else f" AND level IN ({', '.join(map(str, levels))})"
-        parts.append(f"SELECT level, {axes_of(lat)}, cnt, left_cnt, CAST({side('PRECEDING')} AS DOUBLE) AS nb_left, CAST({side('FOLLOWING')} AS DOUBLE) AS nb_right FROM node WHERE s = {axis}{chosen}")
+        parts.append(f"SELECT level, {axes_of(lat)}, cnt, left_cnt, CAST({left} AS DOUBLE) AS nb_left, CAST({right} AS DOUBLE) AS nb_right FROM node WHERE s = {axis}{chosen}")
     return f"{tree(lat)}, ctx AS ({' UNION ALL '.join(parts)})"
 
 
