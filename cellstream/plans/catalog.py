@@ -236,7 +236,6 @@ def _progress(s, d):
     return out
 
 
-add("exp_progressive", _progress, None)
 for _name in (*TERRAIN, *OBJECTS, "plane", "attributes"):
     add(f"size_report_{_name}", lambda s, d, lat=LATTICES[_name]: codelen.summary(nodes_of(lat)(s, d), lat.schedule().q), sql.summary(LATTICES[_name]))
 
@@ -465,6 +464,16 @@ def _distortion_sql(lat: Lattice, levels=_LEVELS) -> str:
     return f"WITH {sql.points(lat)} " + " UNION ALL ".join(rows)
 
 
+
+
+def _progress_sql(name: str) -> str:
+    lat = LATTICES[name]
+    sch = lat.schedule()
+    ends = [sch.level_of_precision(r) for r in range(6, 11)]
+    return f"SELECT '{name}' AS name, c.precision, round(c.bits_cum / (SELECT count(*) FROM ({lat.duck()})), 3) AS bpv, c.cf, e.max_error FROM ({_curve_sql(lat)}) c JOIN ({_distortion_sql(lat, ends)}) e ON e.level = c.level + 1"
+
+
+add("exp_progressive", _progress, " UNION ALL ".join(map(_progress_sql, ("smooth", "terrain"))))
 add("distortion_by_wave", lambda s, d: progressive.distortion(_TS.points(s, d), _TS.schedule(), list(_LEVELS)).withColumn("max_error", F.col("max_error").cast("double")), _distortion_sql(_TS))
 
 
@@ -558,7 +567,19 @@ def _objects(s, d):
     return out
 
 
-add("exp_object_table", _objects, None)
+
+
+def _objects_sql(name: str) -> str:
+    lat = LATTICES[name]
+    axes = range(len(lat.axes))
+    lags = ", ".join(f"a{i} - coalesce(lag(a{i}) OVER (PARTITION BY key >> 18 ORDER BY key), 0) AS d{i}" for i in axes)
+    delta = " + ".join(_zig(f"d{i}") for i in axes)
+    strip = " + ".join(f"(SELECT round(sum(c * log2(CAST(t AS DOUBLE) / c)), 3) FROM (SELECT d{i}, count(*) AS c, sum(count(*)) OVER () AS t FROM dd GROUP BY d{i}))" for i in axes)
+    ours = sql.summary(lat)
+    return f"SELECT '{name}' AS name, o.*, CAST(ceil(sums.gamma / 8.0) AS BIGINT) AS delta_bytes, CAST(ceil(sums.strip / 8) AS BIGINT) AS strip_bytes FROM (SELECT n, source_bytes, ideal_bytes FROM ({ours}) s) o, (WITH {sql.points(lat)}, k AS (SELECT *, {_key_sql(lat)} AS key FROM pts), dd AS (SELECT {lags} FROM k) SELECT (SELECT sum({delta}) FROM dd) AS gamma, {strip} AS strip) sums"
+
+
+add("exp_object_table", _objects, " UNION ALL ".join(_objects_sql(n) for n in OBJECTS))
 
 # Meshes ---------------------------------------------------------------------------------------------------------------------------------
 add("grid_mesh_triangles", lambda s, d: topology.grid_triangles(_grid(s, d).withColumn("v", F.col("i") * 61 + F.col("j"))), f"{_TSI}, p AS (SELECT i, j, i * 61 + j AS v FROM g) SELECT a.v AS v0, b.v AS v1, x.v AS v2 FROM p a JOIN p b ON b.i = a.i + 1 AND b.j = a.j JOIN p x ON x.i = a.i + 1 AND x.j = a.j + 1 UNION ALL SELECT a.v, x.v, u.v FROM p a JOIN p x ON x.i = a.i + 1 AND x.j = a.j + 1 JOIN p u ON u.i = a.i AND u.j = a.j + 1")
@@ -627,6 +648,11 @@ both("sql_exists_roi", ("lineitem", "part"), "SELECT count(*) AS n FROM [lineite
 both("sql_cte_tree", ("orders",), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c DIV2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level".replace(" DIV2", " div 2"), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c // 2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level")
 both("bits_pivot", ("lineitem",), "SELECT * FROM (SELECT l_returnflag, l_linestatus, l_quantity FROM [lineitem]) PIVOT (count(l_quantity) FOR l_linestatus IN ('O' AS open_n, 'F' AS done_n))", "SELECT l_returnflag, count(l_quantity) FILTER (l_linestatus = 'O') AS open_n, count(l_quantity) FILTER (l_linestatus = 'F') AS done_n FROM [lineitem] GROUP BY l_returnflag")
 both("interval_containment", ("orders",), f"SELECT b.lo, count(*) AS n FROM (SELECT DISTINCT {_C} * 1000 AS lo FROM [orders] WHERE o_custkey < 50) b JOIN [orders] o ON {_C} * 1000 = b.lo AND o.o_totalprice >= b.lo AND o.o_totalprice < b.lo + 500 GROUP BY b.lo")
+add("wave_symbol_arrays", lambda s, d: tree.symbol_stream(nodes_of(_SMALL)(s, d), _SMALL.schedule().q).where("level < 12").groupBy("level").agg(F.concat_ws(" ", F.transform(F.array_sort(F.collect_list(F.struct("ord", "left_cnt"))), lambda x: x["left_cnt"].cast("string"))).alias("symbols")), f"{_symbols_sql(_SMALL, 'breadth')} SELECT level, string_agg(CAST(left_cnt AS VARCHAR), ' ' ORDER BY ord) AS symbols FROM sym WHERE level < 12 GROUP BY level")
+add("topk_costly_nodes", lambda s, d: tree.with_coordinates(nodes_of(_EV)(s, d).select("level", "prefix", "cnt", "left_cnt", F.round(F.log2(F.col("cnt") + 1), 3).alias("bits")).orderBy(F.desc("cnt"), "level", "prefix").limit(25), _EV.schedule()), f"{_symbols_sql(_EV, 'breadth')} SELECT level, {sql.axes_of(_EV)}, cnt, left_cnt, round(log2(cnt + 1), 3) AS bits FROM sym ORDER BY cnt DESC, level, k LIMIT 25")
+both("lateral_levels", ("orders",), f"SELECT level, cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o, LATERAL (SELECT level, o.c DIV2 AS cell FROM (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side)) x GROUP BY level, cell".replace("DIV2", "div side"), f"SELECT level, c // side AS cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o CROSS JOIN (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side) GROUP BY level, cell")
+both("bits_unpivot", ("lineitem",), "SELECT l_returnflag, measure, total FROM (SELECT l_returnflag, CAST(sum(l_quantity) AS BIGINT) AS quantity, CAST(count(*) AS BIGINT) AS points FROM [lineitem] GROUP BY l_returnflag) UNPIVOT (total FOR measure IN (quantity, points))")
+both("fn_maps", ("orders",), "SELECT o_orderkey, element_at(m, 'status') AS status, size(m) AS n, array_join(array_sort(map_keys(m)), ',') AS names FROM (SELECT o_orderkey, map_concat(map('status', o_orderstatus), map_from_entries(array(struct('priority', o_orderpriority)))) AS m FROM [orders]) t", "SELECT o_orderkey, m['status'] AS status, CAST(cardinality(m) AS INT) AS n, array_to_string(list_sort(map_keys(m)), ',') AS names FROM (SELECT o_orderkey, map_concat(MAP {'status': o_orderstatus}, map_from_entries([('priority', o_orderpriority)])) AS m FROM orders) t")
 both("fn_ticks", ("events",), "SELECT event_id, datediff(ts, date'2024-01-01') AS days, CAST(hour(ts) AS INT) AS h, CAST(extract(minute FROM ts) AS INT) AS mi FROM [events]", "SELECT event_id, date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS days, hour(ts) AS h, minute(ts) AS mi FROM [events]")
 both("fn_json", ("events",), "SELECT event_id, CAST(get_json_object(props, '$.k') AS BIGINT) AS k FROM [events]", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM [events]")
 both("fn_arrays", ("embeddings",), "SELECT vec_id, size(embedding) AS n, size(filter(embedding, x -> x > 0)) AS pos, exists(embedding, x -> x > 0.3) AS far FROM [embeddings]", "SELECT vec_id, len(embedding) AS n, len(list_filter(embedding, lambda x: x > 0)) AS pos, len(list_filter(embedding, lambda x: x > 0.3)) > 0 AS far FROM [embeddings]")
