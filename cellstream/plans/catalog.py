@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import keys, theory
 from ..functions.schedule import SplitSchedule
-from ..operators import baselines, codelen, predict, progressive, topology, tree
+from ..operators import baselines, cell_order, codelen, predict, progressive, topology, tree
 from ..operators.stream_codec import Codestream
 from ..sources.shared import written
 from ..sources.workloads import LATTICES, OBJECTS, TERRAIN, Lattice
@@ -324,6 +324,21 @@ def _greedy(s, d):
 
 add("split_order_greedy", _greedy, None)
 
+
+def _cell_order(s, d):
+    out = None
+    for name in ("smooth", "object_part", "object_click"):
+        lat = LATTICES[name]
+        own = cell_order.cell_order_cost(lat.points(s, d), lat.schedule(), 1 << 10)
+        fixed = codelen.code_length(nodes_of(lat)(s, d))
+        for label, cost in (("cell", own), ("round_robin", fixed)):
+            row = cost.agg(F.lit(name).alias("name"), F.lit(label).alias("policy"), F.sum("nodes").alias("nodes"), F.round(F.sum("bits"), 2).alias("bits"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+add("split_order_cell", _cell_order, None)
+
 # Prediction -----------------------------------------------------------------------------------------------------------------------
 for _name in ("smooth", "terrain", "object_orders"):
     _lat = LATTICES[_name]
@@ -648,6 +663,7 @@ both("sql_exists_roi", ("lineitem", "part"), "SELECT count(*) AS n FROM [lineite
 both("sql_cte_tree", ("orders",), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c DIV2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level".replace(" DIV2", " div 2"), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c // 2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level")
 both("bits_pivot", ("lineitem",), "SELECT * FROM (SELECT l_returnflag, l_linestatus, l_quantity FROM [lineitem]) PIVOT (count(l_quantity) FOR l_linestatus IN ('O' AS open_n, 'F' AS done_n))", "SELECT l_returnflag, count(l_quantity) FILTER (l_linestatus = 'O') AS open_n, count(l_quantity) FILTER (l_linestatus = 'F') AS done_n FROM [lineitem] GROUP BY l_returnflag")
 both("interval_containment", ("orders",), f"SELECT b.lo, count(*) AS n FROM (SELECT DISTINCT {_C} * 1000 AS lo FROM [orders] WHERE o_custkey < 50) b JOIN [orders] o ON {_C} * 1000 = b.lo AND o.o_totalprice >= b.lo AND o.o_totalprice < b.lo + 500 GROUP BY b.lo")
+# A wave above level 12 has 2048 symbols at most: its array is bounded whatever the data.
 add("wave_symbol_arrays", lambda s, d: tree.symbol_stream(nodes_of(_SMALL)(s, d), _SMALL.schedule().q).where("level < 12").groupBy("level").agg(F.concat_ws(" ", F.transform(F.array_sort(F.collect_list(F.struct("ord", "left_cnt"))), lambda x: x["left_cnt"].cast("string"))).alias("symbols")), f"{_symbols_sql(_SMALL, 'breadth')} SELECT level, string_agg(CAST(left_cnt AS VARCHAR), ' ' ORDER BY ord) AS symbols FROM sym WHERE level < 12 GROUP BY level")
 add("topk_costly_nodes", lambda s, d: tree.with_coordinates(nodes_of(_EV)(s, d).select("level", "prefix", "cnt", "left_cnt", F.round(F.log2(F.col("cnt") + 1), 3).alias("bits")).orderBy(F.desc("cnt"), "level", "prefix").limit(25), _EV.schedule()), f"{_symbols_sql(_EV, 'breadth')} SELECT level, {sql.axes_of(_EV)}, cnt, left_cnt, round(log2(cnt + 1), 3) AS bits FROM sym ORDER BY cnt DESC, level, k LIMIT 25")
 both("lateral_levels", ("orders",), f"SELECT level, cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o, LATERAL (SELECT level, o.c DIV2 AS cell FROM (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side)) x GROUP BY level, cell".replace("DIV2", "div side"), f"SELECT level, c // side AS cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o CROSS JOIN (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side) GROUP BY level, cell")

@@ -8,7 +8,7 @@ import pytest
 from cellstream.functions import keys, theory
 from cellstream.functions.lattice import AxisSpec, LatticeSpec, from_lattice, infer_lattice, to_lattice
 from cellstream.functions.schedule import SplitSchedule
-from cellstream.operators import arith, codelen, predict, progressive, topology, tree
+from cellstream.operators import arith, cell_order, codelen, predict, progressive, topology, tree
 from cellstream.operators.stream_codec import Codestream
 from compare import compare
 from pyspark.sql import functions as F
@@ -225,3 +225,49 @@ def test_queries_against_sql(spark, name):
 
     run, sql = CATALOG[name]
     assert compare(spark, run, sql, "/root/testdata/sf0.001") is None
+
+
+def _by_recursion(points, left, axis, last, again, level, out):
+    """Nodes of the cell-by-cell split order, one cell at a time."""
+    if not any(left) or not points:
+        return
+    d = len(left)
+    axis = last if again and left[last] else next(a % d for a in range(last + 1, last + 1 + d) if left[a % d])
+    rest = tuple(b - (i == axis) for i, b in enumerate(left))
+    halves = [[p for p in points if p[axis] >> rest[axis] & 1 == h] for h in (0, 1)]
+    out.append((level, len(points), len(halves[0])))
+    for h in halves:
+        _by_recursion(h, rest, axis, axis, not halves[0] or not halves[1], level + 1, out)
+
+
+@pytest.mark.parametrize("tile_points", [1, 7, 1000])
+def test_cell_order_against_recursion(spark, tile_points):
+    rng = np.random.default_rng(3)
+    bits, sch = (4, 3, 2), SplitSchedule.round_robin((4, 3, 2))
+    points = [tuple(int(rng.integers(0, 1 << b)) for b in bits) for _ in range(30)] * 2 + [(3, 1, 2)] * 9
+    df = frame(spark, points)
+    top = cell_order.tile_level(df, sch, tile_points)
+    want = []
+    for tile in {tuple(p[i] >> b - u for i, (b, u) in enumerate(zip(bits, sch.used(top), strict=True))) for p in points}:
+        own = [p for p in points if all(p[i] >> bits[i] - sch.used(top)[i] == tile[i] for i in range(3))]
+        _by_recursion(own, tuple(b - u for b, u in zip(bits, sch.used(top), strict=True)), 0, sch.steps[top - 1][0] if top else -1, False, top, want)
+    got = {r["level"]: r for r in cell_order.cell_order_cost(df, sch, tile_points).collect()}
+    for level in range(top, sch.q):
+        mine = [(c, low) for lv, c, low in want if lv == level]
+        assert (got[level]["nodes"], got[level]["points"], got[level]["empty"]) == (len(mine), len(points), sum(low in (0, c) for c, low in mine))
+        assert abs(got[level]["bits"] - sum(np.log2(c + 1) for c, _ in mine)) < 1e-2
+    assert set(got) == set(range(sch.q))
+    assert cell_order.cell_order_cost(df.limit(0), sch, tile_points).count() == 0
+
+
+def test_law_errors_are_the_expected_distances(spark):
+    rng = np.random.default_rng(4)
+    points = [(int(rng.integers(0, 64)), int(rng.integers(0, 64))) for _ in range(50)]
+    sch, level = SplitSchedule.round_robin((6, 6)), 4
+    got = {r["law"]: r for r in progressive.law_errors(frame(spark, points), sch, level).collect()}
+    places = np.arange(16)
+    centre = sum((p[i] % 16 - 7.5) ** 2 for p in points for i in (0, 1)) / 50
+    uniform = sum(((p[i] % 16 - places) ** 2).mean() for p in points for i in (0, 1)) / 50
+    assert abs(got["centre"]["rmse"] - centre**0.5) < 1e-3 and abs(got["uniform"]["rmse"] - uniform**0.5) < 1e-3
+    assert [n for n, r in got.items() if r["chosen"]] == [min(got, key=lambda n: (got[n]["rmse"], n))]
+    assert progressive.choose_law(frame(spark, points).limit(0), sch, level) is None
