@@ -171,9 +171,9 @@ class Codestream:
         t = choose_tile_bits(nodes, schedule.q) if tile_bits is None else tile_bits
         return cls(encode_tiles(nodes, schedule, t, model), make_header(n, schedule, t, model, law))
 
-    def write(self, path: str) -> None:
-        self.df.repartition("wave").sortWithinPartitions("wave", "tile").write.partitionBy("wave").parquet(f"{path}/waves")
-        self.df.sparkSession.createDataFrame([(json.dumps(self.header),)], "header string").coalesce(1).write.text(f"{path}/header")
+    def write(self, path: str, mode: str = "error") -> None:
+        self.df.repartition("wave").sortWithinPartitions("wave", "tile").write.mode(mode).partitionBy("wave").parquet(f"{path}/waves")
+        self.df.sparkSession.createDataFrame([(json.dumps(self.header),)], "header string").coalesce(1).write.mode(mode).text(f"{path}/header")
 
     @classmethod
     def read(cls, spark: SparkSession, path: str) -> Codestream:

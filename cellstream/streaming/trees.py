@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.keys import cell_key
 from ..functions.schedule import SplitSchedule
+from ..operators.stream_codec import Codestream
 
 
 def with_time(df: DataFrame, ts: str = "ts") -> DataFrame:
@@ -50,3 +52,50 @@ def deliver_waves(spark, stream_folder: str, schema, on_wave, checkpoint: str) -
     """Each wave's files are a micro-batch; ``on_wave(batch, id)`` sharpens the client's view."""
     raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(stream_folder)
     raw.writeStream.foreachBatch(on_wave).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+
+def distinct_points(points: DataFrame, axes: list[str]) -> DataFrame:
+    """Set semantics: a point seen again within the watermark is dropped."""
+    return points.dropDuplicatesWithinWatermark(axes)
+
+
+def in_frontier(points: DataFrame, schedule: SplitSchedule, frontier: DataFrame, level: int) -> DataFrame:
+    """Points of a stream in the cells (prefix) of a static table at ``level``; the planner broadcasts it if it is small."""
+    keyed = points.withColumn("prefix", F.call_function("shiftright", cell_key(schedule), F.lit(schedule.q - level)))
+    return keyed.join(frontier.select("prefix").distinct(), "prefix", "left_semi").drop("prefix")
+
+
+def closed_windows(points: DataFrame, schedule: SplitSchedule, window: Column) -> DataFrame:
+    """(start, a0.., m): the multiset of each window. In append mode a window comes out whole, in one micro-batch, once the
+    watermark has passed it; until then the state store holds one row a different point, spread by point."""
+    axes = [f"a{i}" for i in range(len(schedule.bits))]
+    return points.groupBy(window.alias("w"), *axes).agg(F.count(F.lit(1)).alias("m")).select(F.col("w.start").alias("start"), *axes, "m")
+
+
+def encode_closed_windows(points: DataFrame, schedule: SplitSchedule, folder: str, checkpoint: str, window: Column | None = None, model: int = 0, tile_bits: int | None = None) -> None:
+    """Write one codestream a window under ``folder``/start=<seconds> as the watermark closes it.
+
+    A batch that is run again after a failure overwrites the same folders with the same windows.
+    """
+
+    def encode(batch: DataFrame, _: int) -> None:
+        closed = batch.persist()
+        # Windows closed by one batch: few, whatever the number of points.
+        for row in closed.select(F.unix_seconds("start").alias("s")).distinct().orderBy("s").collect():
+            own = closed.where(F.unix_seconds("start") == row["s"]).drop("start")
+            Codestream.encode(own, schedule, model, tile_bits=tile_bits).write(f"{folder}/start={row['s']}", "overwrite")
+        closed.unpersist()
+
+    closed = closed_windows(points, schedule, window_of("tumbling") if window is None else window)
+    query = closed.writeStream.foreachBatch(encode).outputMode("append").option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    query.awaitTermination()
+
+
+def requested_waves(arrivals: DataFrame, requests: DataFrame, within: str = "1 minute") -> DataFrame:
+    """Interval join of two streams with watermarks: waves (tile, wave, at) that answer requests (tile, to_wave, asked).
+
+    A wave answers a request of its tile for at least that wave if the two are at most ``within`` apart.
+    """
+    near = F.expr(f"a.at BETWEEN r.asked - INTERVAL {within} AND r.asked + INTERVAL {within}")
+    same = (F.col("a.tile") == F.col("r.tile")) & (F.col("a.wave") < F.col("r.to_wave"))
+    return arrivals.alias("a").join(requests.alias("r"), same & near).select("a.tile", "a.wave", "a.at", "r.to_wave", "r.asked")

@@ -1,5 +1,6 @@
 """Unit tests: worked example, theory, coder, schedules, predictor, topology, properties."""
 
+import datetime
 import random
 from itertools import combinations
 
@@ -216,7 +217,68 @@ def test_stream_equals_batch_and_late_rows_drop(spark, tmp_path):
     assert {tuple(r) for r in got.collect()} == {tuple(r) for r in want.collect()}
 
 
-QUERIES = ["lattice_documents", "rate_curve_events", "symbols_breadth", "anytime_frontier", "stream_roundtrip_predicted", "neighbours_moore2d", "roi_stream_events", "session_trees", "baseline_crease", "sql_cte_tree"]
+def _feed(spark, folder, batches, schema):
+    """One file a batch, in this order."""
+    import os
+    import shutil
+    import time
+
+    folder.mkdir(exist_ok=True)
+    for k, rows in enumerate(batches):
+        number = len(list(folder.glob("*.parquet")))
+        spark.createDataFrame(rows, schema).coalesce(1).write.parquet(str(folder.parent / f"{folder.name}-{number}"))
+        part = next((folder.parent / f"{folder.name}-{number}").glob("*.parquet"))
+        shutil.copy(part, folder / f"{number}.parquet")
+        os.utime(folder / f"{number}.parquet", (time.time() + k, time.time() + k))
+
+
+def _at(text):
+    return datetime.datetime.fromisoformat(text)
+
+
+def test_closed_windows_are_coded_and_survive_a_restart(spark, tmp_path):
+    from cellstream.streaming import trees
+
+    sch, schema = SplitSchedule.round_robin((3, 3)), "ts timestamp_ntz, a0 long, a1 long"
+    first = [(_at(f"2024-01-01 0{k}:00:00"), *p) for k, p in enumerate(F0)]
+    second = [(_at("2024-01-02 05:00:00"), 1, 2), (_at("2024-01-02 05:00:00"), 1, 2)]
+    src, out, ck = tmp_path / "src", str(tmp_path / "out"), str(tmp_path / "ck")
+    run = lambda: trees.encode_closed_windows(trees.stream_points(spark, str(src), schema), sch, out, ck, tile_bits=1)
+
+    def coded(day):
+        start = int(datetime.datetime(2024, 1, day, tzinfo=datetime.UTC).timestamp())
+        cells = tree.with_coordinates(Codestream.read(spark, f"{out}/start={start}").cells(), sch)
+        return sorted((r["c0"], r["c1"]) for r in cells.collect() for _ in range(r["cnt"]))
+
+    _feed(spark, src, [first, second], schema)
+    run()
+    assert coded(1) == sorted(F0) and len(list((tmp_path / "out").iterdir())) == 1
+    _feed(spark, src, [[(_at("2024-01-05 00:00:00"), 0, 0)]], schema)
+    run()
+    assert coded(2) == [(1, 2), (1, 2)] and len(list((tmp_path / "out").iterdir())) == 2
+
+
+def test_stream_joins_and_deduplication(spark, tmp_path):
+    from cellstream.streaming import trees
+
+    sch, schema = SplitSchedule.round_robin((3, 3)), "ts timestamp_ntz, a0 long, a1 long"
+    _feed(spark, tmp_path / "p", [[(_at("2024-01-01 00:00:00"), *p) for p in F0]], schema)
+    points = trees.stream_points(spark, str(tmp_path / "p"), schema)
+    got = trees.run_to_memory(trees.distinct_points(points, ["a0", "a1"]), "distinct_points", str(tmp_path / "c1"))
+    assert sorted((r["a0"], r["a1"]) for r in got.collect()) == sorted(set(F0))
+    frontier = spark.createDataFrame([(0,), (3,), (3,)], "prefix long")
+    got = trees.run_to_memory(trees.in_frontier(points, sch, frontier, 2), "frontier_points", str(tmp_path / "c2"))
+    assert sorted((r["a0"], r["a1"]) for r in got.collect()) == sorted(p for p in F0 if (p[0] >> 2) == (p[1] >> 2))
+
+    _feed(spark, tmp_path / "a", [[(_at(f"2024-01-01 00:0{w}:00"), t, w) for w in range(4) for t in (1, 2)]], "ts timestamp_ntz, tile long, wave int")
+    _feed(spark, tmp_path / "r", [[(_at("2024-01-01 00:01:30"), 1, 2), (_at("2024-01-01 00:03:00"), 2, 9)]], "ts timestamp_ntz, tile long, to_wave int")
+    arrivals = trees.stream_points(spark, str(tmp_path / "a"), "ts timestamp_ntz, tile long, wave int").withColumnRenamed("ts", "at")
+    requests = trees.stream_points(spark, str(tmp_path / "r"), "ts timestamp_ntz, tile long, to_wave int").withColumnRenamed("ts", "asked")
+    got = trees.run_to_memory(trees.requested_waves(arrivals, requests), "requested", str(tmp_path / "c3"))
+    assert sorted((r["tile"], r["wave"]) for r in got.collect()) == [(1, 1), (2, 2), (2, 3)]
+
+
+QUERIES = ["law_choice", "context_policies", "scope_ablation", "exp_progressive", "wave_symbol_arrays", "lattice_documents", "rate_curve_events", "symbols_breadth", "anytime_frontier", "stream_roundtrip_predicted", "neighbours_moore2d", "roi_stream_events", "session_trees", "baseline_crease", "sql_cte_tree"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
