@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import re
+import struct
 import tempfile
 import uuid
 
@@ -50,6 +51,11 @@ def text_bytes(docs: DataFrame) -> DataFrame:
 _WIDE_SPACE = "\u0085\u00a0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 
 
+def _packed(ids: list[int]) -> bytes:
+    """Little-endian unsigned 32-bit numbers; for a few at a time, where numpy's calls cost more than the numbers."""
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 class PieceEncoder:
     """Exact token ids of whole texts, from a bounded two-generation cache of white-space delimited pieces.
 
@@ -76,8 +82,6 @@ class PieceEncoder:
         return [e.ids for e in self._library.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _learn(self, pieces: set[bytes]) -> dict[bytes, object]:
-        import numpy as np
-
         fresh, found = [], {}
         for p in pieces:
             value = self._old.get(p)
@@ -88,7 +92,7 @@ class PieceEncoder:
         texts = [p.decode("utf-8", "replace") for p in fresh]
         for p, text, ids in zip(fresh, texts, self.library_ids(texts), strict=True):
             unsafe = self._keep_space and text[-1] in _WIDE_SPACE
-            found[p] = False if unsafe else np.asarray(ids, "<u4").tobytes()
+            found[p] = False if unsafe else _packed(ids)
         self._young.update((p, v) for p, v in found.items() if len(p) <= 64)
         if len(self._young) > self._capacity:
             self._old, self._young = self._young, {}

@@ -1,6 +1,7 @@
 """Each operator against a brute-force version, on the smallest documents and edge cases."""
 
 import hashlib
+import random
 import zlib
 from collections import Counter, defaultdict
 
@@ -9,7 +10,7 @@ import pytest
 import regex
 import xxhash
 from cellstream.llm import bitplanes, decontaminate, hilbert, licenses, packing, quality, simhash, suffix_dedup, surrogates, token_counts
-from cellstream.llm.common import tokenizer_path
+from cellstream.llm.common import PieceEncoder, tokenizer_path
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -325,3 +326,13 @@ def test_repeated_rows_and_null_ids(spark):
     assert sorted(r["n_removed"] for r in suffix_dedup.deduplicated(df).collect())[0] == 0
     assert {(r["doc_id"], r["item_id"]) for r in decontaminate.contained(df, items).collect()} == {(1, 1)}
     assert surrogates.pseudonymised(df, b"k").count() == 5 and licenses.scan(df).count() == 0
+
+
+def test_cached_pieces_are_the_library_ids(rows):
+    """Ids put together from cached pieces are the library's, whatever white space, marks and scripts meet."""
+    rng = random.Random(2)
+    texts = [t or "" for t in rows.values()] + ["".join(rng.choice([" ", " ", "\n", "\u3000", "a", "B", ".", "'s", "7", "é", "<|endoftext|>", "<", "\t", "🙂"]) for _ in range(400)) for _ in range(60)]
+    for name, keep in ((BYTE, True), (WORD, False)):
+        codec, library = PieceEncoder(tokenizer_path(name), keep, capacity=300), Tokenizer.from_file(tokenizer_path(name))
+        for t in texts:
+            assert codec.encode(t.encode()) == np.asarray(library.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
