@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from cellstream.llm import decontaminate, packing, quality, simhash, surrogates
+from cellstream.llm import decontaminate, jaccard, packing, quality, surrogates
 from cellstream.llm.common import tokenizer_path, written
 from cellstream.llm.registry import KEY
 
@@ -14,7 +14,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.first_of_each(docs)
+    return jaccard.first_of_each(docs)
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
