@@ -72,13 +72,26 @@ class Templates:
             out.append(f"-{' '.join(want[c:d])} +{' '.join(words[a:b]) if c > first and d < last else ''}")
         return out
 
+    def exact(self, block: str) -> list[tuple[int, int, int]]:
+        """(start, end, entry) of every template that stands word for word in the block, longest first where they overlap."""
+        found = list(_WORD.finditer(block))
+        words, places = [m.group().lower() for m in found], {}
+        for i, w in enumerate(words):
+            places.setdefault(w, []).append(i)
+        hits = [(-len(want), i, k) for k, (_, want, _) in enumerate(self.entries) for i in places.get(want[0], ()) if words[i : i + len(want)] == want]
+        taken, out = set(), []
+        for less, i, k in sorted(hits):
+            if taken.isdisjoint(range(i, i - less)):
+                taken.update(range(i, i - less))
+                out.append((found[i].start(), found[i - less - 1].end(), k))
+        return sorted(out)
+
 
 def blocks(text: str, reach: int) -> list[tuple[int, int]]:
-    """Spans of ``reach`` words on either side of each cue, cut at line ends; spans that touch are one."""
+    """Spans of ``reach`` words on either side of each cue, across line ends; spans that touch are one."""
     spans: list[tuple[int, int]] = []
     for cue in _CUE.finditer(text):
-        a, b = text.rfind("\n", 0, cue.start()) + 1, text.find("\n", cue.end())
-        b = len(text) if b < 0 else b
+        a, b = 0, len(text)
         before = [m.start() for m in re.finditer(r"\S+", text[max(a, cue.start() - 40 * reach) : cue.start()])]
         a = max(a, cue.start() - 40 * reach) + (before[-reach] if len(before) > reach else 0)
         after = [m.end() for m in re.finditer(r"\S+", text[cue.start() : min(b, cue.start() + 40 * reach)])]
@@ -91,7 +104,8 @@ def blocks(text: str, reach: int) -> list[tuple[int, int]]:
 
 
 def scan(docs: DataFrame, templates: dict[str, list[str]] | None = None, contenders: int = 4, max_differences: int = 0) -> DataFrame:
-    """One row per block and document: the best template, its size reduction and its exact wording differences.
+    """A confirmed row for each notice that stands word for word in a block, with its own span; one row for each
+    rest of the block with a cue: the best template, its size reduction and its exact wording differences.
 
     Of the ``contenders`` templates with the largest reduction the one with the fewest differing words wins; it is confirmed
     if it has at most ``max_differences``.
@@ -104,12 +118,18 @@ def scan(docs: DataFrame, templates: dict[str, list[str]] | None = None, contend
             rows = []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 for number, (a, b) in enumerate(blocks(text, max(12, known.longest))):
-                    best = None
-                    for reduction, k in known.ranked(text[a:b])[:contenders]:
-                        diff = known.differences(text[a:b], -k)
-                        if best is None or (len(diff), -reduction) < (len(best[2]), -best[1]):
-                            best = (-k, reduction, diff)
-                    rows.append((doc, number, a, b, known.entries[best[0]][0], round(best[1], 4), len(best[2]), "; ".join(best[2]), len(best[2]) <= max_differences))
+                    at, gain, whole = a, {-k: reduction for reduction, k in known.ranked(text[a:b])}, known.exact(text[a:b])
+                    for c, d, k in [*whole, (b - a, b - a, None)]:
+                        if _CUE.search(text, at, a + c):  # the rest of the block around its confirmed notices
+                            best = None
+                            for reduction, j in known.ranked(text[at : a + c])[:contenders]:
+                                diff = known.differences(text[at : a + c], -j)
+                                if best is None or (len(diff), -reduction) < (len(best[2]), -best[1]):
+                                    best = (-j, reduction, diff)
+                            rows.append((doc, number, at, a + c, known.entries[best[0]][0], round(best[1], 4), len(best[2]), "; ".join(best[2]), len(best[2]) <= max_differences))
+                        if k is not None:
+                            rows.append((doc, number, a + c, a + d, known.entries[k][0], round(gain[k], 4), 0, "", True))
+                        at = a + d
             columns = list(zip(*rows, strict=True)) if rows else [[]] * 9
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.string(), pa.float64(), pa.int32(), pa.string(), pa.bool_())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], [s.split()[0] for s in SCHEMA.split(", ")])
