@@ -19,17 +19,31 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+#: Rows of a side that may be broadcast; beyond it a join shuffles.
+BROADCAST_ROWS = 200_000
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share (spark.checkpoint.dir); a temporary one is set only where that is unset."""
+    """The folder all executors share (spark.checkpoint.dir). Where it is unset, a temporary one is set if everything
+    runs on this machine, and an error raised on a cluster, whose executors would not see it."""
     place = spark.conf.get("spark.checkpoint.dir", None)
     if not place:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         place = "file://" + tempfile.mkdtemp(prefix="cellstream-")
         spark.conf.set("spark.checkpoint.dir", place)
     return place.rstrip("/")
 
 
+def small(df: DataFrame, rows: int) -> DataFrame:
+    """``df`` marked for broadcast if its counted ``rows`` allow that."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
 def written(df: DataFrame, label: str, partition_by: str | None = None) -> DataFrame:
-    """Cut lineage: write ``df`` as Parquet in the shared folder and read it back."""
+    """Cut lineage: write ``df`` as Parquet in the shared folder and read it back.
+
+    The table stays until the folder is emptied or ``dropped`` is called: results are lazy and may read it later."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
     writer = df.write.option("compression", "zstd")
@@ -37,6 +51,16 @@ def written(df: DataFrame, label: str, partition_by: str | None = None) -> DataF
     return spark.read.schema(df.schema).parquet(path)
 
 
+def dropped(df: DataFrame) -> None:
+    """Delete the files of a ``written`` table that nothing reads any more."""
+    spark = df.sparkSession
+    jvm = spark.sparkContext._jvm
+    folders = {f.rsplit("/", 1)[0] for f in df.inputFiles()}
+    for folder in folders:
+        place = jvm.org.apache.hadoop.fs.Path(folder)
+        place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
 def bound(value: Column, body) -> Column:
     """``body(x)`` with ``x`` evaluated once per row, however often the body names it."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -4,12 +4,13 @@ Two 64-bit fingerprints that differ in at most ``max_bits`` = 4 bits agree in at
 The index posts each distinct fingerprint under sets of three byte positions: 20 of the 56 sets are enough for every
 choice of four positions to hold one (checked at import), so each pair to be found shares a posting. Within a posting the
 equal positional bytes of a pair are tallied, pairs under the guaranteed minimum dropped and the rest verified by their
-differing bits. A posting gives the edges of a spanning forest of its links, not its pairs: large postings are
-linked through the points within two bits of each fingerprint, which two fingerprints share exactly if they differ in four
-bits or fewer, so the work grows with the posting's size. Components follow by label spreading over the edges.
+differing bits. A long posting is posted again by a fourth byte, then by half bytes, which its linked pairs must share, and
+tallied in the parts. A posting gives the edges of a spanning forest of its links, not its pairs; components follow by
+label spreading over the edges.
 
-Texts with the same fingerprint are one node, so copies never form pairs. Null, empty and blank texts have fingerprint
-zero and are linked like any other. A null doc_id never names a component unless it is alone in it.
+Texts with the same fingerprint are one node, so copies and repeated rows never form pairs; each row has its result. Null,
+empty and blank texts have fingerprint zero and are linked like any other; very long texts are read whole. A null doc_id
+never names a component unless it is alone in it. An empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_bytes, written
+from .common import dropped, text_bytes, written
 
 BYTES = 8
 
@@ -84,75 +85,79 @@ def fingerprints(docs: DataFrame, n: int = 4, seed: int = 42) -> DataFrame:
     return text_bytes(docs).mapInArrow(mark, "doc_id long, fp long")
 
 
-_MASKS = np.array([0, *[1 << i for i in range(64)], *[1 << i | 1 << j for i, j in combinations(range(64), 2)]], np.uint64)
+def _nibbles(fps: np.ndarray, k: int) -> np.ndarray:
+    return (fps >> np.uint64(4 * k) & np.uint64(15)).astype(np.int64)
 
 
-def _small_links(fps: np.ndarray, max_bits: int) -> list[tuple[int, int]]:
-    """Spanning edges of one small posting: tally equal bytes, filter, verify."""
-    x = fps[:, None] ^ fps[None, :]
-    tally = (x.view(np.uint8).reshape(*x.shape, 8) == 0).sum(2)
-    close = (tally >= BYTES - max_bits) & (np.bitwise_count(x) <= max_bits)
-    left, right = np.nonzero(np.triu(close, 1))
-    return _forest(left, right, fps)
+def _groups(values: np.ndarray):
+    """Indices of each run of equal values of two members or more."""
+    order = np.argsort(values, kind="stable")
+    cuts = np.flatnonzero(np.diff(values[order])) + 1
+    return [g for g in np.split(order, cuts) if len(g) > 1]
 
 
-def _forest(left, right, fps) -> list[tuple[int, int]]:
-    parent: dict[int, int] = {}
-
-    def root(v):
-        while parent.get(v, v) != v:
-            parent[v] = parent.get(parent[v], parent[v])
-            v = parent[v]
-        return v
-
-    out = []
-    for a, b in zip(left.tolist(), right.tolist(), strict=True):
-        ra, rb = root(a), root(b)
-        if ra != rb:
-            parent[max(ra, rb)] = min(ra, rb)
-            out.append((int(fps[a]), int(fps[b])))
-    return out
-
-
-def _large_links(fps: np.ndarray, triple: tuple[int, ...], budget: int = 4_000_000) -> list[tuple[int, int]]:
-    """Spanning edges of a large posting (four bits at most): fingerprints that share a point within two bits."""
-    free = np.uint64(sum(255 << 8 * k for k in range(BYTES) if k not in triple))
-    masks = _MASKS[(_MASKS & ~free) == 0]
-    rounds = max(1, -(-len(fps) * len(masks) // budget))
-    parent = np.arange(len(fps))
-    for part in range(rounds):
-        points, owners = [], []
-        for at in range(0, len(fps), 4096):
-            near = fps[at : at + 4096, None] ^ masks[None, :]
-            mixed = (near * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(33)
-            take = mixed % np.uint64(rounds) == part
-            points.append(near[take])
-            owners.append(np.broadcast_to(np.arange(at, at + len(near))[:, None], near.shape)[take])
-        points, owners = np.concatenate(points), np.concatenate(owners)
-        order = np.argsort(points, kind="stable")
-        points, owners = points[order], owners[order]
-        same = np.flatnonzero(points[1:] == points[:-1])
-        a, b = owners[same], owners[same + 1]
-        while len(a):  # hooking and pointer jumping on this block's links
-            ra, rb = parent[a], parent[b]
-            low, high = np.minimum(ra, rb), np.maximum(ra, rb)
-            open_ = low != high
-            if not open_.any():
+def _join(parent: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
+    """Hook the components of a and b together, in place; parents point to the smallest member."""
+    while len(a):
+        ra, rb = parent[a], parent[b]
+        low, high = np.minimum(ra, rb), np.maximum(ra, rb)
+        apart = low != high
+        a, b, low, high = a[apart], b[apart], low[apart], high[apart]
+        np.minimum.at(parent, high, low)
+        while True:
+            jumped = parent[parent]
+            if (jumped == parent).all():
                 break
-            a, b, low, high = a[open_], b[open_], low[open_], high[open_]
-            np.minimum.at(parent, high, low)
-            while True:
-                jumped = parent[parent]
-                if (jumped == parent).all():
-                    break
-                parent = jumped
+            parent[:] = jumped
+
+
+def _tally(fps: np.ndarray, members: np.ndarray, parent: np.ndarray, max_bits: int, block: int = 512) -> None:
+    """Pairs of a posting in blocks: tally equal bytes, drop pairs under the guaranteed minimum, verify the rest by bits."""
+    for i in range(0, len(members), block):
+        for j in range(i, len(members), block):
+            a, b = members[i : i + block], members[j : j + block]
+            x = fps[a][:, None] ^ fps[b][None, :]
+            close = np.bitwise_count(x) <= max_bits
+            close &= (x.view(np.uint8).reshape(*x.shape, BYTES) == 0).sum(2) >= BYTES - max_bits
+            left, right = np.nonzero(close)
+            _join(parent, a[left], b[right])
+
+
+def _refined(fps: np.ndarray, members: np.ndarray, parent: np.ndarray, max_bits: int, free: tuple[int, ...], stage: int, size: int) -> None:
+    """Links of a posting of any size. A long posting is posted again by further places that its linked pairs must share.
+
+    Stage 0: three bytes are shared and ``free`` are the others; a pair shares a fourth. Stage 1: of the eight half bytes
+    left, four at least are equal, so one of seven pairs of them. Stages 2 and 3: of the six left, two at least, so one of
+    any five; of the five left, one. What is left differs in sixteen bits at most, which bounds a posting for good.
+    """
+    if len(members) <= size or stage > 3 or max_bits > 4:
+        _tally(fps, members, parent, max_bits)
+        return
+    own = fps[members]
+    if stage == 0:
+        keys = [((own >> np.uint64(8 * p) & np.uint64(255)).astype(np.int64), tuple(2 * q + h for q in free if q != p for h in (0, 1))) for p in free]
+    elif stage == 1:
+        thirds = (free[:3], free[3:6], free[6:])
+        keys = [(_nibbles(own, a) << 4 | _nibbles(own, b), tuple(k for k in free if k not in (a, b))) for t in thirds for a, b in combinations(t, 2)]
+    else:
+        keys = [(_nibbles(own, a), tuple(k for k in free if k != a)) for a in free[:5]]
+    for values, rest in keys:
+        for g in _groups(values):
+            _refined(fps, members[g], parent, max_bits, rest, stage + 1, size)
+
+
+def _posting_links(fps: np.ndarray, triple: tuple[int, ...], max_bits: int, size: int) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of one posting's links."""
+    parent = np.arange(len(fps))
+    _refined(fps, np.arange(len(fps)), parent, max_bits, tuple(k for k in range(BYTES) if k not in triple), 0, size)
     joined = np.flatnonzero(parent != np.arange(len(fps)))
-    # Members of one component, chained to its first: connected in this posting by links of max_bits or fewer.
     return [(int(fps[parent[v]]), int(fps[v])) for v in joined.tolist()]
 
 
-def links(distinct_fps: DataFrame, max_bits: int = 4, large: int = 512) -> DataFrame:
-    """(a, b): edges that connect the same fingerprints as all links of at most ``max_bits`` differing bits."""
+def links(distinct_fps: DataFrame, max_bits: int = 4, size: int = 512) -> DataFrame:
+    """(a, b): edges that connect the same fingerprints as all links of at most ``max_bits`` differing bits.
+
+    Postings of over ``size`` members are posted again by more places; any size gives the same components."""
     if not 0 <= max_bits <= 4:
         raise ValueError("the postings guarantee links of up to four differing bits")
     shifted = [F.expr(" | ".join(f"(shiftleft(shiftrightunsigned(fp, {8 * p}) & 255L, {8 * k}))" for k, p in enumerate(t)) + f" | {i << 24}L") for i, t in enumerate(TRIPLES)]
@@ -166,11 +171,7 @@ def links(distinct_fps: DataFrame, max_bits: int = 4, large: int = 512) -> DataF
             starts, ends = np.concatenate([[0], cuts]), np.concatenate([cuts, [len(keys)]])
             out = []
             for a, b in zip(starts[ends - starts > 1].tolist(), ends[ends - starts > 1].tolist(), strict=True):
-                group = fps[a:b].view(np.uint64)
-                if b - a > large and max_bits == 4:
-                    out += _large_links(group, TRIPLES[int(keys[a]) >> 24])
-                else:
-                    out += _small_links(group, max_bits)
+                out += _posting_links(fps[a:b].view(np.uint64), TRIPLES[int(keys[a]) >> 24], max_bits, size)
             array = np.array(out, np.uint64).reshape(-1, 2).view(np.int64)
             return pa.RecordBatch.from_arrays([pa.array(array[:, 0]), pa.array(array[:, 1])], ["a", "b"])
 
@@ -190,16 +191,20 @@ def links(distinct_fps: DataFrame, max_bits: int = 4, large: int = 512) -> DataF
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """(node, root): smallest node reachable, by alternating large-star and small-star rounds; each round is written."""
+    """(node, root): smallest node reachable, by alternating large-star and small-star rounds; each round is written and
+    the one before it deleted. Rounds grow with the logarithm of the longest path; ``max_rounds`` only stops a fault."""
     current = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "edges")
     last = None
     for _ in range(max_rounds):
         both = current.unionByName(current.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+        # Written, so that the join below is between two plain exchanges, which the planner splits where a node is hot.
+        least = written(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "least")
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         down = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(down, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(down.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        current = written(small, "edges")
+        before, current = current, written(small, "edges")
+        dropped(before)
+        dropped(least)
         state = current.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == last:
             return current.select(F.col("u").alias("node"), F.col("v").alias("root"))
@@ -212,13 +217,13 @@ def classes(docs: DataFrame, n: int = 4, seed: int = 42, max_bits: int = 4) -> D
     marked = written(fingerprints(docs, n, seed), "fingerprints")
     nodes = marked.groupBy("fp").agg(F.min("doc_id").alias("first"))
     tree = components(links(nodes.select("fp"), max_bits))
-    rooted = nodes.join(tree.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
-    named = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
+    rooted = written(nodes.join(tree.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root")), "rooted")
+    named = written(rooted.groupBy("root").agg(F.min("first").alias("component_id")), "named")
     label = rooted.join(named, "root").select("fp", "component_id")
     return marked.join(label, "fp").select("doc_id", "fp", "component_id")
 
 
 def first_of_each(docs: DataFrame, n: int = 4, seed: int = 42, max_bits: int = 4) -> DataFrame:
     """Documents that name their component; rows with a null doc_id are kept."""
-    keep = classes(docs, n, seed, max_bits).where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
-    return docs.join(keep, "doc_id", "left_anti").select(*docs.columns)
+    gone = classes(docs, n, seed, max_bits).where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
+    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)

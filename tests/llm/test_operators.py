@@ -162,8 +162,8 @@ def test_simhash(docs, rows):
     assert {d: r["component_id"] for d, r in got.items()} == want
 
 
-@pytest.mark.parametrize("large", [2, 512])
-def test_simhash_links_dense_groups(spark, large):
+@pytest.mark.parametrize("size", [2, 16, 512])
+def test_simhash_links_dense_groups(spark, size):
     rng = np.random.default_rng(5)
     fps = set()
     for _ in range(6):
@@ -171,7 +171,7 @@ def test_simhash_links_dense_groups(spark, large):
         fps |= {seed ^ sum(1 << int(b) for b in rng.choice(63, int(rng.integers(0, 6)), replace=False)) for _ in range(60)}
     nodes = {f: f for f in fps}
     df = spark.createDataFrame([(f,) for f in fps], "fp long")
-    tree = {r["node"]: r["root"] for r in simhash.components(simhash.links(df, large=large)).collect()}
+    tree = {r["node"]: r["root"] for r in simhash.components(simhash.links(df, size=size)).collect()}
     assert {f: tree.get(f, f) for f in fps} == brute_components(nodes)
 
 
