@@ -1,15 +1,23 @@
-"""Near-duplicates by the exact Jaccard similarity of five-word shingles, found by a prefix- and size-filtered index.
-
-Sets of ``n`` shingles with similarity ``t`` or more to another share one of their first ``n - ceil(t n) + 1`` shingles in
-any order that holds for all sets, so an index of those prefixes misses no pair. The order puts shingles that a
-partition sees often last, which only shortens postings. A posting is first linked along its sizes and to its first
-member; after these pairs are verified, the pairs of members that are not yet connected and whose sizes and places
-allow the similarity are verified too. So all links of the threshold are found up to what connects them already, and a
-large group of near copies costs about its size. Every link between different texts is verified on the shingles
-themselves.
-
-Texts with the same words are one node (64-bit digest of the lower-case words), so copies never form pairs. Texts without
-words are one node. A null doc_id never names a component unless it is alone in it.
+"""Near-duplicate texts: SimHash candidates first, then every other pair that five-word shingles can still link.
+
+Two texts are linked if the Jaccard similarity of their distinct ``n``-word shingles is ``percent`` or more. A 64-bit SimHash
+shows few of these links (at 0.8 about ten of 64 bits differ), so the search has two steps and loses none:
+
+1. Pairs that SimHash's byte-position index finds (``simhash.links`` on fingerprints of the same shingles), texts of one
+   fingerprint, and pairs that stand next to or first in a posting of step 2 are compared, and the links give components.
+2. Sets of ``n`` shingles that reach the similarity share one of their first ``n - ceil(t n) + 1`` shingles in any order that
+   holds for all texts. Those prefixes are indexed; the order puts the most frequent shingles last, which only shortens
+   postings. Within a posting, pairs that are not connected yet are tried if their sizes and places allow the similarity
+   and their sketches do not rule it out.
+
+A sketch is the parity of a set's members in each of about as many buckets as it has members. The buckets in which two
+sketches differ are at most the members in which the sets differ, so the sketch rules out most pairs and never a link.
+Only pairs left over have their texts brought together, and shingles decide. A posting with more members than a task should
+hold is cut into blocks, and each pair of blocks is a group of its own.
+
+Texts with the same words are one node: a 64-bit digest, drawn anew under another seed if a second digest shows that two
+texts share one. Null, empty and blank texts have no words and are one node. Rows of equal doc_id and text are one document. A null
+doc_id never names a component unless it is alone in it. An empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,10 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_bytes, written
-from .simhash import components
+from . import simhash
+from .common import small, written
 
 _FACTORS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], np.uint64)
+#: Members of a posting that one group holds; a longer posting is cut into blocks.
+BLOCK = 1024
 
 
 def _hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -43,18 +53,43 @@ def shingles(raw: bytes, n: int) -> set[bytes]:
     return {b" ".join(w[i : i + n]) for i in range(max(1, len(w) - n + 1))} if w else set()
 
 
-def _digest(words: list[bytes]) -> int:
+def _digests(words: list[bytes], seed: int) -> tuple[int, int]:
     import xxhash
 
-    return xxhash.xxh3_64_intdigest(b" ".join(words)) if words else 0
+    text = b" ".join(words)
+    return (xxhash.xxh3_64_intdigest(text, seed), xxhash.xxh64_intdigest(text, seed + 1)) if words else (0, 0)
 
 
 def _signed(values) -> pa.Array:
     return pa.array(np.array(values, np.uint64).view(np.int64))
 
 
+def _fingerprint(h: np.ndarray) -> int:
+    bits = np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+    return int(np.packbits(2 * bits.sum(0, dtype=np.int64) > len(h), bitorder="little").view("<u8")[0])
+
+
+def _sketch(h: np.ndarray) -> bytes:
+    """Parity of the members in each bucket; a power of two of buckets, 128 to 32 768, not below the set's size if it can."""
+    width = min(1 << 15, max(128, 1 << (len(h) - 1).bit_length()))
+    odd = np.bincount((h >> np.uint64(17) & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Buckets in which the sketch ``a`` and each row of ``b`` differ; the longer ones are folded onto the shorter."""
+    while b.shape[1] > len(a):
+        b = b[:, : b.shape[1] // 2] ^ b[:, b.shape[1] // 2 :]
+    while len(a) > b.shape[1]:
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    return np.bitwise_count(b ^ a).sum(1, dtype=np.int64)
+
+
 def frequent(raw: DataFrame, n: int, least: int = 16, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
-    """The most frequent shingle hashes, sorted, and their counts; from those that a batch of texts has ``least`` times."""
+    """The most frequent shingle hashes, sorted, and their counts; from those that a batch of texts has ``least`` times.
+
+    They only order the index, so ``most`` bounds what is broadcast and changes no result.
+    """
 
     def tally(batches):
         def seen(parts):
@@ -63,7 +98,7 @@ def frequent(raw: DataFrame, n: int, least: int = 16, most: int = 200_000) -> tu
 
         parts, held = [], 0
         for batch in batches:
-            for value in batch.column(1):
+            for value in batch.column(0):
                 if words := value.as_py().lower().split():
                     parts.append(_hashes(words, n))
                     held += len(parts[-1])
@@ -73,132 +108,199 @@ def frequent(raw: DataFrame, n: int, least: int = 16, most: int = 200_000) -> tu
         if parts:
             yield seen(parts)
 
-    rows = raw.mapInArrow(tally, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).orderBy(F.desc("c"), "h").limit(most).toArrow()
+    rows = raw.select("raw").mapInArrow(tally, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).orderBy(F.desc("c"), "h").limit(most).toArrow()
     h, c = rows.column("h").to_numpy().view(np.uint64), rows.column("c").to_numpy()
     order = np.argsort(h)
     return h[order], c[order]
 
 
-def postings(raw: DataFrame, n: int, percent: int, hot: tuple[np.ndarray, np.ndarray]) -> DataFrame:
-    """(key, node, n, at): the prefix of each text's shingles in the common order, with its size and places."""
+SETS = "doc_id long, row long, node long, twin long, n int, fp long, sketch binary, prefix array<long>"
+
+
+def shingle_sets(raw: DataFrame, n: int, percent: int, hot: tuple[np.ndarray, np.ndarray], seed: int = 0, mask: int = (1 << 64) - 1) -> DataFrame:
+    """A row a text: its node, and once a task for each node the set's size, fingerprint, sketch and prefix.
+
+    ``mask`` keeps only some bits of the node's digest, to try what happens if two texts share one.
+    """
     shared = raw.sparkSession.sparkContext.broadcast(hot)
 
-    def post(batches):
+    def make(batches):
         known, counts = shared.value
-        done = set()  # copies within a partition are posted once
+        done = set()
         for batch in batches:
-            keys, nodes, sizes, places = [], [], [], []
-            for value in batch.column(1):
+            nodes, twins, sizes, marks, sketches, prefixes = [], [], [], [], [], []
+            for value in batch.column(2):
                 words = value.as_py().lower().split()
-                node = _digest(words)
-                if not words or node in done:
+                node, twin = _digests(words, seed)
+                node &= mask
+                nodes.append(node)
+                twins.append(twin)
+                if not words or (node, twin) in done:
+                    for column in (sizes, marks, sketches, prefixes):
+                        column.append(None)
                     continue
-                done.add(node)
+                done.add((node, twin))
                 h = _hashes(words, n)
-                size = len(h)
+                sizes.append(len(h))
+                marks.append(int(np.uint64(_fingerprint(h)).view(np.int64)))
+                sketches.append(_sketch(h))
                 if len(known):
                     i = np.minimum(np.searchsorted(known, h), len(known) - 1)
                     h = h[np.lexsort((h, np.where(known[i] == h, counts[i], 0)))]
-                h = h[: size - -(-size * percent // 100) + 1]
-                keys.append(h)
-                nodes.append(np.full(len(h), node, np.uint64))
-                sizes.append(np.full(len(h), size, np.int32))
-                places.append(np.arange(len(h), dtype=np.int32))
-            if keys:
-                yield pa.RecordBatch.from_arrays([_signed(np.concatenate(keys)), _signed(np.concatenate(nodes)), pa.array(np.concatenate(sizes)), pa.array(np.concatenate(places))], ["key", "node", "n", "at"])
+                prefixes.append(h[: len(h) - -(-len(h) * percent // 100) + 1].view(np.int64))
+            arrays = [batch.column(0), batch.column(1), _signed(nodes), _signed(twins), pa.array(sizes, pa.int32()), pa.array(marks, pa.int64()), pa.array(sketches, pa.binary()), pa.array(prefixes, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(arrays, [f.split()[0] for f in SETS.split(", ")])
 
-    return raw.mapInArrow(post, "key long, node long, n int, at int")
+    return raw.select("doc_id", "row", "raw").mapInArrow(make, SETS)
 
 
 def _allowed(na, ia, nb, ib, percent: int):
     """Whether sets of these sizes that share the elements at these places can have the similarity."""
-    most = np.minimum(ia, ib) + 1 + np.minimum(na - ia, nb - ib) - 1
+    most = np.minimum(ia, ib) + np.minimum(na - ia, nb - ib)
     return (100 * np.minimum(na, nb) >= percent * np.maximum(na, nb)) & ((100 + percent) * most >= percent * (na + nb))
 
 
-def _by_key(batches, each, names):
-    """``each(columns)`` of the rows of all whole keys at hand; rows come sorted by key."""
-    tail = None
-    for batch in batches:
-        columns = [c.to_numpy() for c in batch.columns]
-        if tail is not None:
-            columns = [np.concatenate(p) for p in zip(tail, columns, strict=True)]
-        if not len(columns[0]):
-            continue
-        last = int(np.searchsorted(columns[0], columns[0][-1]))
-        tail = [c[last:] for c in columns]
-        if last:
-            yield pa.RecordBatch.from_arrays(each([c[:last] for c in columns]), names)
-    if tail is not None and len(tail[0]):
-        yield pa.RecordBatch.from_arrays(each(tail), names)
+def _near(na, nb, differ, percent: int):
+    """Whether sets of these sizes that differ in so many members can have the similarity."""
+    return (100 + percent) * differ <= (100 - percent) * (na + nb)
 
 
 def _shared(posted: DataFrame, percent: int) -> DataFrame:
-    """(key, node, n, at, first, before): postings of two nodes or more; the members to be tried first, where allowed."""
+    """(key, node, n, at, first, before): postings of two nodes or more; ``first`` and ``before`` are members to be tried
+    first, the node itself where the places do not allow them. Keeps one row of a posting at a time."""
 
     def group(batches):
-        def each(columns):
-            keys, nodes, sizes, places = columns
-            new = np.concatenate([[True], (keys[1:] != keys[:-1]) | (nodes[1:] != nodes[:-1])])
-            keys, nodes, sizes, places = keys[new], nodes[new], sizes[new], places[new]
-            starts = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-            lengths = np.diff(np.append(starts, len(keys)))
-            first = np.repeat(starts, lengths)
-            many, at = np.repeat(lengths > 1, lengths), np.arange(len(keys))
+        last = None  # the row before: key, node, n, at, its posting's first row, whether it is out already
+        for batch in batches:
+            keys, nodes, sizes, places = (c.to_numpy() for c in batch.columns)
+            if not len(keys):
+                continue
+            if last is not None:
+                keys, nodes, sizes, places = (np.concatenate([[x], c]).astype(c.dtype) for x, c in zip(last[:4], (keys, nodes, sizes, places), strict=True))
+            take = np.concatenate([[True], (keys[1:] != keys[:-1]) | (nodes[1:] != nodes[:-1])])
+            keys, nodes, sizes, places = keys[take], nodes[take], sizes[take], places[take]
+            at = np.arange(len(keys))
+            new = np.concatenate([[True], keys[1:] != keys[:-1]])
+            first = np.maximum.accumulate(np.where(new, at, 0))
             out = [keys, nodes, sizes, places]
-            for other in (first, np.maximum(at - 1, first)):
-                fits = (other != at) & _allowed(sizes.astype(np.int64), places, sizes[other].astype(np.int64), places[other], percent)
-                out.append(np.where(fits, nodes[other], nodes))
-            return [pa.array(c[many]) for c in out]
-
-        yield from _by_key(batches, each, ["key", "node", "n", "at", "first", "before"])
+            for other in (first, np.where(new, at, at - 1)):
+                on, oi, ox = sizes[other].astype(np.int64), places[other], nodes[other]
+                if last is not None and other is first:
+                    lead = first == 0
+                    ox, on, oi = np.where(lead, last[4][0], ox), np.where(lead, last[4][1], on), np.where(lead, last[4][2], oi)
+                out.append(np.where(_allowed(sizes.astype(np.int64), places, on, oi, percent), ox, nodes))
+            ready = np.zeros(len(keys), bool)
+            ready[1:] |= ~new[1:]
+            ready[:-1] |= ~new[1:]
+            if last is not None:
+                ready[0] &= not last[5]
+            k = len(keys) - 1
+            head = last[4] if last is not None and first[k] == 0 else (nodes[first[k]], sizes[first[k]], places[first[k]])
+            out_already = bool(ready[k]) or (k == 0 and last is not None and last[5])
+            last = (keys[k], nodes[k], sizes[k], places[k], head, out_already)
+            yield pa.RecordBatch.from_arrays([pa.array(c[ready]) for c in out], ["key", "node", "n", "at", "first", "before"])
 
     return posted.repartition("key").sortWithinPartitions("key", "n", "node").mapInArrow(group, "key long, node long, n int, at int, first long, before long")
 
 
-def _across(rooted: DataFrame, percent: int) -> DataFrame:
-    """(a, b): allowed pairs of a posting whose members lie in different components."""
+def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """The (a, b) of ``pairs`` that the sketches do not rule out."""
 
-    def pairs(batches):
-        def each(columns):
-            keys, nodes, sizes, places, roots = columns
-            sizes, left, right = sizes.astype(np.int64), [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-            starts = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
-            mixed = np.maximum.reduceat(roots, starts) != np.minimum.reduceat(roots, starts)
-            for s, e in zip(starts[mixed].tolist(), np.append(starts, len(keys))[1:][mixed].tolist(), strict=True):
-                for i in range(s, e - 1):  # sizes go up: later ones are too large from some place on
-                    stop = s + int(np.searchsorted(sizes[s:e], sizes[i] * 100 // percent, "right"))
-                    j = np.arange(i + 1, max(stop, i + 1))
-                    j = j[(roots[j] != roots[i]) & _allowed(sizes[i], places[i], sizes[j], places[j], percent)]
-                    left.append(np.minimum(nodes[i], nodes[j]))
-                    right.append(np.maximum(nodes[i], nodes[j]))
-            both = np.unique(np.stack([np.concatenate(left), np.concatenate(right)], 1), axis=0)
-            return [pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1]))]
+    def check(batches):
+        for batch in batches:
+            na, nb = batch.column(2).to_numpy().astype(np.int64), batch.column(3).to_numpy().astype(np.int64)
+            keep = np.zeros(batch.num_rows, bool)
+            for k, (x, y) in enumerate(zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True)):
+                keep[k] = _near(na[k], nb[k], differing(np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")[None, :])[0], percent)
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(keep)), batch.column(1).filter(pa.array(keep))], ["a", "b"])
 
-        yield from _by_key(batches, each, ["a", "b"])
+    side = lambda x: sketches.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("sketch").alias(f"s{x}"))
+    return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "na", "nb", "sa", "sb").mapInArrow(check, "a long, b long")
 
-    return rooted.repartition("key").sortWithinPartitions("key", "n", "node").mapInArrow(pairs, "a long, b long").distinct()
 
+def _across(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b): pairs of a posting in different components that places and sketches allow; a group is two blocks at most."""
 
-def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, bits: int = 26) -> DataFrame:
-    """The (a, b) of ``pairs`` whose texts' shingles have the similarity."""
-    ends = pairs.select(F.explode(F.array("a", "b")).alias("x")).select(F.pmod("x", F.lit(1 << bits)).cast("int").alias("x")).distinct()
-    marked = np.zeros(1 << bits, bool)
-    marked[ends.toArrow().column("x").to_numpy()] = True
-    shared = raw.sparkSession.sparkContext.broadcast(np.packbits(marked))
+    def pairs(batches):
+        def solve(nodes, sizes, places, roots, blocks, sketches):
+            left, right = [], []
+            wide = np.array([len(s) for s in sketches])
+            table = {int(w): np.frombuffer(b"".join(s for s in sketches if len(s) == w), "<u8").reshape(-1, w // 8) for w in np.unique(wide)}
+            slot = np.zeros(len(wide), np.int64)
+            for w in table:
+                slot[wide == w] = np.arange((wide == w).sum())
+            crossed = len(np.unique(blocks)) > 1
+            for i in range(len(nodes) - 1):  # sizes go up: later ones are too large from some place on
+                stop = int(np.searchsorted(sizes, sizes[i] * 100 // percent, "right"))
+                j = np.arange(i + 1, max(stop, i + 1))
+                j = j[(roots[j] != roots[i]) & (not crossed or blocks[j] != blocks[i]) & _allowed(sizes[i], places[i], sizes[j], places[j], percent)]
+                for w in np.unique(wide[j]).tolist():
+                    k = j[wide[j] == w]
+                    k = k[_near(sizes[i], sizes[k], differing(table[int(wide[i])][slot[i]], table[w][slot[k]]), percent)]
+                    left.append(np.minimum(nodes[i], nodes[k]))
+                    right.append(np.maximum(nodes[i], nodes[k]))
+            return left, right
+
+        held, now = [], None
+        for batch in batches:
+            group = np.stack([batch.column(c).to_numpy() for c in range(3)], 1)
+            cuts = np.flatnonzero((group[1:] != group[:-1]).any(1)) + 1
+            left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(group)], strict=True):
+                if a == b:
+                    continue
+                if now is not None and tuple(group[a]) != now:
+                    for out, more in zip((left, right), _solved(held, solve), strict=True):
+                        out += more
+                    held = []
+                now = tuple(group[a])
+                held.append(batch.slice(a, b - a))
+            both = np.unique(np.stack([np.concatenate(left), np.concatenate(right)], 1), axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1]))], ["a", "b"])
+        if held:
+            left, right = _solved(held, solve)
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.int64), *x])) for x in (left, right)], ["a", "b"])
+
+    ordered = rows.select("key", "i", "j", "n", "node", "at", "root", "block", "sketch").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "node")
+    return ordered.mapInArrow(pairs, "a long, b long").distinct()
+
+
+def _solved(held, solve):
+    if sum(b.num_rows for b in held) < 2:
+        return [], []
+    table = pa.Table.from_batches(held)
+    n, node, at, root, block = (table.column(c).to_numpy().astype(np.int64) for c in ("n", "node", "at", "root", "block"))
+    if root.min() == root.max():
+        return [], []
+    return solve(node, n, at, root, block, table.column("sketch").to_pylist())
+
+
+def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, seed: int, mask: int, bits: int = 26) -> DataFrame:
+    """The (a, b) of ``pairs`` whose texts' shingles have the similarity.
+
+    A bitmap of fixed size (``bits``) of the wanted nodes keeps most other texts from being moved; the join that follows
+    is exact.
+    """
+    end = F.explode(F.array("a", "b")).alias("x")
+    place = pairs.select(end).select(F.pmod("x", F.lit(1 << bits)).alias("p"))
+    one = F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("p", F.lit(64)).cast("int"))
+    words = place.groupBy(F.floor(F.col("p") / 64).cast("long").alias("w")).agg(F.bit_or(one).alias("bits")).toArrow()
+    marked = np.zeros((1 << bits) // 64, np.int64)
+    marked[words.column("w").to_numpy()] = words.column("bits").to_numpy()
+    shared = raw.sparkSession.sparkContext.broadcast(marked)
 
     def texts(batches):
-        wanted, mask = shared.value, (1 << bits) - 1
+        wanted, low = shared.value, (1 << bits) - 1
         done = set()
         for batch in batches:
             nodes, found = [], []
-            for value in batch.column(1):
-                words = value.as_py().lower().split()
-                node = _digest(words)
-                if wanted[(node & mask) >> 3] >> (7 - (node & 7)) & 1 and node not in done:
+            for value in batch.column(0):
+                split = value.as_py().lower().split()
+                node = _digests(split, seed)[0] & mask
+                if int(wanted[(node & low) >> 6]) >> (node & 63) & 1 and node not in done:
                     done.add(node)
                     nodes.append(node)
-                    found.append(b" ".join(words))
+                    found.append(b" ".join(split))
             yield pa.RecordBatch.from_arrays([_signed(nodes), pa.array(found, pa.binary())], ["node", "words"])
 
     def check(batches):
@@ -214,40 +316,70 @@ def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, bits: int =
                 close[row] = 100 * both >= percent * (len(have) + len(other) - both)
             yield pa.RecordBatch.from_arrays([pa.array(a[close]), pa.array(b[close])], ["a", "b"])
 
-    kept = written(raw.mapInArrow(texts, "node long, words binary").dropDuplicates(["node"]), "texts")
+    kept = written(raw.select("raw").mapInArrow(texts, "node long, words binary").dropDuplicates(["node"]), "texts")
     of_b = pairs.join(kept.select(F.col("node").alias("b"), F.col("words").alias("words_b")), "b")
     both = of_b.join(kept.select(F.col("node").alias("a"), F.col("words").alias("words_a")), "a")
     return both.select("a", "b", "words_a", "words_b").mapInArrow(check, "a long, b long")
 
 
-def links(raw: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """(a, b): links of the similarity that connect the same nodes as all such links do."""
-    shared = written(_shared(postings(raw, n, percent, frequent(raw, n)), percent), "shared")
-    tried = shared.select("node", F.explode(F.array("first", "before")).alias("other")).where("node <> other").select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
-    tried = written(tried, "tried")
-    near = written(verified(raw, tried, n, percent), "near")
-    tree = components(near)
-    rooted = shared.join(tree, "node", "left").select("key", "node", "n", "at", F.coalesce("root", "node").alias("root"))
-    rest = written(_across(rooted, percent).join(tried, ["a", "b"], "left_anti"), "rest")
-    return near.unionByName(written(verified(raw, rest, n, percent), "far"))
-
-
-def classes(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """(doc_id, node, component_id) for every row."""
-    raw = text_bytes(docs)
+def _pairs(df: DataFrame, x: str, y: str) -> DataFrame:
+    return df.where(F.col(x) != F.col(y)).select(F.least(x, y).alias("a"), F.greatest(x, y).alias("b"))
 
-    def name(batches):
-        for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), _signed([_digest(v.as_py().lower().split()) for v in batch.column(1)])], ["doc_id", "node"])
 
-    named = written(raw.mapInArrow(name, "doc_id long, node long"), "nodes")
-    nodes = named.groupBy("node").agg(F.min("doc_id").alias("first"))
-    rooted = nodes.join(components(links(raw, n, percent)), "node", "left").select("node", "first", F.coalesce("root", "node").alias("root"))
-    label = rooted.join(rooted.groupBy("root").agg(F.min("first").alias("component_id")), "root").select("node", "component_id")
-    return named.join(label, "node").select("doc_id", "node", "component_id")
+def links(raw: DataFrame, sets: DataFrame, n: int, percent: int, seed: int, mask: int, block: int = BLOCK) -> DataFrame:
+    """(a, b): links of the similarity that connect the same nodes as all such links do."""
+    full = sets.where("prefix is not null")
+    sketches = written(full.select("node", "n", "fp", "sketch").dropDuplicates(["node"]), "sketches")
+    posted = full.select(F.posexplode("prefix").alias("at", "key"), "node", "n").select("key", "node", "n", "at")
+    shared = written(_shared(posted, percent), "shared")
+    # Step 1: by SimHash, by equal fingerprints, and the nearest members of postings.
+    marks = sketches.groupBy("fp").agg(F.min("node").alias("rep"))
+    bits = simhash.links(marks.select("fp"))
+    of = lambda x: marks.select(F.col("fp").alias(x), F.col("rep").alias(f"r{x}"))
+    tried = _pairs(bits.join(of("a"), "a").join(of("b"), "b"), "ra", "rb")
+    tried = tried.unionByName(_pairs(sketches.join(marks, "fp"), "node", "rep"))
+    beside = shared.groupBy("node").agg(*[f(c).alias(f"{k}{c}") for c in ("first", "before") for k, f in (("lo", F.min), ("hi", F.max))])
+    tried = tried.unionByName(_pairs(beside.select("node", F.explode(F.array("lofirst", "hifirst", "lobefore", "hibefore")).alias("other")), "node", "other"))
+    tried = written(_sketched(tried.distinct(), sketches, percent), "tried")
+    near = written(verified(raw, tried, n, percent, seed, mask), "near")
+    # Step 2: what the postings have besides, between components.
+    tree = simhash.components(near)
+    rooted = written(shared.drop("first", "before").join(tree, "node", "left").select("key", "node", "n", "at", F.coalesce("root", "node").alias("root")), "rooted")
+    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo < hi")
+    cut = F.ceil(F.col("m") / block).cast("int")
+    mixed = written(mixed.select("key", cut.alias("blocks")), "mixed")
+    rows = rooted.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("node"), "blocks").cast("long"))
+    rows = rows.join(sketches.select("node", "sketch"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.select("key", "node", "n", "at", "root", "sketch", "block", F.least("block", F.col("other").cast("long")).alias("i"), F.greatest("block", F.col("other").cast("long")).alias("j"))
+    rest = written(_across(rows, percent).join(tried, ["a", "b"], "left_anti"), "rest")
+    return near.unionByName(written(verified(raw, rest, n, percent, seed, mask), "far"))
+
+
+def _rows(docs: DataFrame) -> DataFrame:
+    text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
+    return docs.select("doc_id", F.xxhash64("text").alias("row"), text.alias("raw"))
+
+
+def classes(docs: DataFrame, n: int = 5, percent: int = 80, mask: int = (1 << 64) - 1, block: int = BLOCK) -> DataFrame:
+    """(doc_id, row, node, component_id) for every row; ``row`` is a hash of the text."""
+    raw = _rows(docs)
+    hot = frequent(raw, n)
+    for seed in range(0, 64, 2):
+        sets = written(shingle_sets(raw, n, percent, hot, seed, mask), "sets")
+        nodes = sets.groupBy("node").agg(F.min("doc_id").alias("first"), F.min("twin").alias("lo"), F.max("twin").alias("hi"))
+        if nodes.where("lo <> hi").limit(1).count() == 0:
+            break
+        mask = (1 << 64) - 1  # two texts share a digest: another seed, and all bits
+    nodes = nodes.select("node", "first")
+    tree = simhash.components(links(raw, sets, n, percent, seed, mask, block))
+    rooted = written(nodes.join(tree, "node", "left").select("node", "first", F.coalesce("root", "node").alias("root")), "rooted")
+    named = written(rooted.groupBy("root").agg(F.min("first").alias("component_id")), "named")
+    label = rooted.join(named, "root").select("node", "component_id")
+    return sets.select("doc_id", "row", "node").join(label, "node").select("doc_id", "row", "node", "component_id")
 
 
 def first_of_each(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
-    """Documents that name their component; rows with a null doc_id are kept."""
-    gone = classes(docs, n, percent).where(F.col("doc_id") != F.col("component_id")).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """Documents that name their component; rows with a null doc_id are kept, columns as they came."""
+    gone = written(classes(docs, n, percent).where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("__id"), F.col("row").alias("__row")).distinct(), "gone")
+    same = (F.col("__id") == F.col("doc_id")) & (F.col("__row") == F.xxhash64("text"))
+    return docs.join(small(gone, gone.count()), same, "left_anti").select(*docs.columns)

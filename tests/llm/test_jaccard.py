@@ -55,3 +55,32 @@ def test_near_duplicates_of_five_words(spark, near):
 
 def test_small_documents(docs, rows):
     assert {r["doc_id"]: r["component_id"] for r in jaccard.classes(docs).collect()} == brute(rows)
+
+
+@pytest.mark.parametrize("mask,block", [(63, 1024), ((1 << 64) - 1, 3)])
+def test_shared_digests_and_small_blocks(spark, near, mask, block):
+    """Texts that share a digest are told apart, and cutting postings into blocks changes nothing."""
+    df = spark.createDataFrame(list(near.items()), "doc_id long, text string").repartition(3)
+    assert {r["doc_id"]: r["component_id"] for r in jaccard.classes(df, mask=mask, block=block).collect()} == brute(near)
+
+
+def test_edge_rows(spark, empty):
+    long = "all of these words are said once by many people in very many different places of the world "
+    df = spark.createDataFrame([(None, long), (None, None), (1, long + "a"), (1, long + "a"), (1, "another text"), (2, long), (3, ""), (4, None), (5, "w " * 30000)], "doc_id long, text string")
+    df = df.selectExpr("*", "1 AS node", "2 AS row", "3 AS n")
+    assert sorted((r["doc_id"] or 0, r["text"] or "", r["node"]) for r in jaccard.first_of_each(df).collect()) == sorted([(0, long, 1), (0, "", 1), (1, long + "a", 1), (1, long + "a", 1), (1, "another text", 1), (3, "", 1), (5, "w " * 30000, 1)])
+    assert jaccard.first_of_each(empty).count() == 0 and jaccard.first_of_each(empty).columns == empty.columns
+
+
+def test_sketches_never_rule_a_link_out():
+    import numpy as np
+
+    rng = np.random.default_rng(0)
+    for _ in range(300):
+        size = int(rng.integers(1, 4000))
+        a = rng.integers(0, 1 << 63, size, dtype=np.uint64)
+        b = np.unique(np.concatenate([a[: size - int(rng.integers(0, size // 9 + 1))], rng.integers(0, 1 << 63, int(rng.integers(0, size // 9 + 1)), dtype=np.uint64)]))
+        a = np.unique(a)
+        x, y = (np.frombuffer(jaccard._sketch(v), "<u8") for v in (a, b))
+        apart = len(np.setxor1d(a, b))
+        assert max(jaccard.differing(x, y[None, :])[0], jaccard.differing(y, x[None, :])[0]) <= apart
