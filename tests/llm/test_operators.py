@@ -196,17 +196,16 @@ def test_suffix_dedup(docs, rows):
     assert got == brute_repeats(rows, 100)
 
 
-@pytest.mark.parametrize("hot,slab", [(50_000, 1 << 20), (1, 1 << 20), (50_000, 700)])
-def test_suffix_dedup_paths(spark, monkeypatch, hot, slab):
+@pytest.mark.parametrize("bucket,slab,mask", [(512, 1 << 20, 64), (3, 1 << 20, 64), (512, 700, 64), (2, 900, 4), (512, 1 << 20, 6)])
+def test_suffix_dedup_paths(spark, bucket, slab, mask):
+    """Small buckets, long texts in pieces, and hashes of a few bits, under which very different bytes meet."""
     rng = np.random.default_rng(2)
     bank = ["".join(rng.choice(list("abcd "), int(rng.integers(60, 400)))) for _ in range(12)]
     texts = {i: "".join(bank[int(k)][int(rng.integers(0, 40)) :] for k in rng.choice(12, int(rng.integers(1, 6)))) for i in range(80)}
-    texts[80] = "z" * 3000
-    original = suffix_dedup._anchor_rows
-    monkeypatch.setattr(suffix_dedup, "_anchor_rows", lambda d, n, g: original(d, n, g, slab))
+    texts[80], texts[81], texts[82] = "z" * 3000, "", texts[7]
     df = spark.createDataFrame([(i, t.encode()) for i, t in texts.items()], "uid long, raw binary").repartition(4)
     found = defaultdict(list)
-    for r in suffix_dedup.repeats(df, 100, 20, block_rows=50, hot=hot).collect():
+    for r in suffix_dedup.repeats(df, 100, 20, block_rows=50, bucket=bucket, slab=slab, mask=(1 << mask) - 1).collect():
         found[r["uid"]].append((r["start"], r["end"]))
     want = brute_repeats(texts, 100)
     for i, t in texts.items():
@@ -216,6 +215,22 @@ def test_suffix_dedup_paths(spark, monkeypatch, hot, slab):
         assert int(gone.sum()) == want[i][1], i
 
 
+def test_suffix_block_sorts_any_suffixes():
+    rng = np.random.default_rng(3)
+    for size in (1, 40, 700):
+        text = rng.integers(97, 99, size).astype(np.uint8)
+        text[size // 3 : size // 2] = 97
+        block = suffix_dedup.SuffixBlock(text, 100)
+        places = rng.permutation(size)
+        heads = [bytes(block.text[p : p + 100]) for p in places.tolist()]
+        order = block.sort_bucket(places)
+        assert [heads[k] for k in order] == sorted(heads)
+        shared = block.common_prefixes(places[order])
+        for k in range(1, size):
+            x, y = heads[order[k - 1]], heads[order[k]]
+            assert shared[k] == next((i for i in range(100) if x[i] != y[i]), 100)
+
+
 def test_difference_cover():
     cover = set(suffix_dedup.difference_cover(64).tolist())
     for a in range(64):
