@@ -1,11 +1,14 @@
 r"""Line-first cleaning with built-in functions only.
 
-Every line is judged by itself: it fails if it has a boilerplate phrase, looks like navigation, or is mostly
-symbols. Failing lines go; a document is rejected if it fails the base rules or if its failing lines hold more than
-``max_loss`` of its characters. Everything is an expression over one row: no shuffle, no join.
-
-Null and empty texts have no words and are rejected. Words are runs outside space and \x09-\x0D; lines end at \n.
-Repeated rows are judged one by one; other columns are kept by ``clean`` and ignored by ``measures``.
+Every line is judged by itself, by four rules in this order: boilerplate (phrases of page furniture, as whole words, make
+up a third of the line or more), navigation (two separator bars or more, in a line that ends no sentence or has a bar for every
+16 characters), symbols (over a fifth of the characters), punctuation (fewer than ``short`` = 12 words and no final mark:
+a heading, menu entry or fragment). Failing lines go; a document is rejected if it fails the base rules or if its failing lines hold
+more than ``max_loss`` of its characters. Everything is an expression over one row: no shuffle, no join.
+
+Null and empty texts have no words and are rejected. Words are runs outside space and \x09-\x0D; lines end at \n; blank lines
+never fail. Texts of any length are judged whole, repeated rows one by one; an empty table gives an empty result; other
+columns are kept by ``clean``, whatever their names, and ignored by ``measures``.
 """
 
 from __future__ import annotations
@@ -17,12 +20,21 @@ from pyspark.sql import functions as F
 
 from .common import bound
 
-# Phrases of page furniture, lower case.
-BOILERPLATE = ["all rights reserved", "click here", "cookie policy", "enable javascript", "privacy policy", "terms of service", "subscribe to our newsletter", "lorem ipsum", "back to top", "sign up", "log in"]
-# Separators of navigation bars.
+# Phrases of page furniture by language, lower case.
+BOILERPLATE = {
+    "en": ["all rights reserved", "click here", "cookie policy", "enable javascript", "privacy policy", "terms of service", "terms of use", "subscribe to our newsletter", "lorem ipsum", "back to top", "sign up", "log in", "read more", "share this"],
+    "de": ["alle rechte vorbehalten", "hier klicken", "cookie richtlinie", "datenschutzerklärung", "nutzungsbedingungen", "newsletter abonnieren", "nach oben", "jetzt anmelden", "weiterlesen", "impressum"],
+    "fr": ["tous droits réservés", "cliquez ici", "politique de confidentialité", "conditions d utilisation", "abonnez vous à notre newsletter", "haut de page", "se connecter", "lire la suite", "mentions légales"],
+    "es": ["todos los derechos reservados", "haga clic aquí", "política de privacidad", "términos de uso", "suscríbase a nuestro boletín", "volver arriba", "iniciar sesión", "leer más", "aviso legal"],
+}
+# Separators of navigation bars, and marks that end a line of prose.
 NAVIGATION = [" | ", " » ", " > ", " · "]
+ENDS = list(".!?:;,\"'”’»)]…。！？؟।")
 SYMBOLS = "#*$%&|<>"
 SPACE = "[ \\t-\\r]+"
+BLANKS = " \t\n\x0b\x0c\r"
+PHRASES = [p for ps in BOILERPLATE.values() for p in ps]
+RULES = ["boilerplate", "navigation", "symbols", "punctuation"]
 
 
 def words(text: Column) -> Column:
@@ -55,21 +67,39 @@ def _repeated_words(w: Column, window: int) -> Column:
     return F.when(F.size(w) < window + 1, F.lit(0).cast("long")).otherwise(bound(hashes, covered))
 
 
-def line_fails(line: Column) -> Column:
-    """Punctuation, navigation and boilerplate rules of one line; a blank line never fails."""
-    low = F.lower(line)
-    furniture = reduce(lambda a, p: a | F.contains(low, F.lit(p)), BOILERPLATE, F.lit(False))
-    bars = reduce(lambda a, p: a | (F.length(line) - F.length(F.replace(line, F.lit(p), F.lit(""))) >= 2 * len(p)), NAVIGATION, F.lit(False))
-    ends = F.rtrim(line).rlike("[.!?:;,\"'”’)\\]…。]$")
+def _mentions(text: Column) -> Column:
+    """Whether the longest word of some phrase is in the text: without it no line has the phrase."""
+    low = F.lower(text)
+    return bound(low, lambda t: reduce(lambda a, w: a | F.contains(t, F.lit(w)), sorted({max(p.split(), key=len) for p in PHRASES}), F.lit(False)))
+
+
+def _furniture(line: Column) -> Column:
+    plain = F.concat(F.lit(" "), F.btrim(F.regexp_replace(F.lower(line), "[^\\p{L}\\p{N}]+", " "), F.lit(" ")), F.lit(" "))
+
+    def share(t):
+        held = reduce(lambda a, p: a + F.length(t) - F.length(F.replace(t, F.lit(f" {p} "), F.lit(" "))), PHRASES, F.lit(0))
+        return 3 * held >= F.length(t)
+
+    return bound(plain, share)
+
+
+def line_rule(line: Column, mentions: Column, short: int = 12) -> Column:
+    """Number of the first rule that the line fails, from 1 in the order of RULES; 0 if it passes or is blank."""
+    ends = F.substring(F.rtrim(line, F.lit(" \t\r")), -1, 1).isin(ENDS)
+    bars = reduce(lambda a, p: a + F.floor((F.length(line) - F.length(F.replace(line, F.lit(p), F.lit("")))) / len(p)), NAVIGATION, F.lit(0))
     marks = F.length(line) - F.length(_without(line, SYMBOLS))
-    symbols = marks * 5 > F.length(line)
-    return (F.trim(line) != "") & (furniture | (bars & ~ends) | symbols)
+
+    def rest(e):
+        walk = bound(bars, lambda n: (n >= 2) & (~e | (16 * n >= F.length(line))))
+        return F.when(walk, 2).when(marks * 5 > F.length(line), 3).when(~e & (F.size(words(line)) < short), 4).otherwise(0)
+
+    return F.when(F.btrim(line, F.lit(BLANKS)) == "", 0).when(mentions & _furniture(line), 1).otherwise(bound(ends, rest))
 
 
-def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repeat_percent: int) -> Column:
+def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repeat_percent: int, short: int) -> Column:
     def all_of(t):
         lines = F.split(t, "\n", -1)
-        full = F.filter(lines, lambda x: F.length(F.btrim(x, F.lit(" \t\n\x0b\x0c\r"))) > 0)
+        full = F.filter(lines, lambda x: F.length(F.btrim(x, F.lit(BLANKS))) > 0)
 
         def from_words(w):
             return F.struct(
@@ -78,7 +108,7 @@ def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repe
                 (F.length(t) - F.length(_without(t, SYMBOLS))).cast("long").alias("n_symbols"),
                 bound(full, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
                 _repeated_words(w, window).alias("n_repeat_words"),
-                F.coalesce(F.aggregate(F.transform(full, lambda x: F.when(line_fails(x), F.length(x)).otherwise(0)), F.lit(0), lambda a, b: a + b), F.lit(0)).cast("long").alias("chars_lost"),
+                bound(F.struct(full.alias("x"), _mentions(t).alias("m")), lambda f: F.transform(f["x"], lambda x: F.struct(line_rule(x, f["m"], short).alias("r"), F.length(x).alias("n")))).alias("lines"),
                 F.length(t).cast("long").alias("n_chars_seen"),
             )
 
@@ -86,20 +116,26 @@ def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repe
 
     def verdict(m):
         failed = (m["n_words"] < min_words) | (100 * m["n_repeat_words"] > max_repeat_percent * m["n_words"])
-        kept = ~failed & (m["chars_lost"] <= max_loss * m["n_chars_seen"])
-        names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "chars_lost")
-        return F.struct(*[m[n].alias(n) for n in names], failed.alias("base_failed"), kept.alias("kept"))
+        lost = F.aggregate(m["lines"], F.lit(0).cast("long"), lambda a, x: a + F.when(x["r"] > 0, x["n"]).otherwise(0))
+        names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+        count = lambda k: F.size(F.filter(m["lines"], lambda x: x["r"] == k)).cast("long")
+        counts = [count(k).alias(f"lines_{r}") for k, r in enumerate(RULES, 1)]
+        kept = ~failed & (lost <= max_loss * m["n_chars_seen"])
+        return F.struct(*[m[n].alias(n) for n in names], lost.alias("chars_lost"), *counts, failed.alias("base_failed"), kept.alias("kept"))
 
     return bound(bound(F.coalesce(text, F.lit("")), all_of), verdict)
 
 
-def measures(docs: DataFrame, max_loss: float = 0.5, window: int = 5, min_words: int = 10, max_repeat_percent: int = 20) -> DataFrame:
-    """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, chars_lost, base_failed, kept)."""
-    return docs.select("doc_id", _judged(F.col("text"), max_loss, window, min_words, max_repeat_percent).alias("m")).select("doc_id", "m.*")
+def measures(docs: DataFrame, max_loss: float = 0.5, window: int = 5, min_words: int = 10, max_repeat_percent: int = 20, short: int = 12) -> DataFrame:
+    """(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, chars_lost, lines_<rule>.., base_failed, kept)."""
+    return docs.select("doc_id", _judged(F.col("text"), max_loss, window, min_words, max_repeat_percent, short).alias("m")).select("doc_id", "m.*")
 
 
-def clean(docs: DataFrame, max_loss: float = 0.5, window: int = 5, min_words: int = 10, max_repeat_percent: int = 20) -> DataFrame:
+def clean(docs: DataFrame, max_loss: float = 0.5, window: int = 5, min_words: int = 10, max_repeat_percent: int = 20, short: int = 12) -> DataFrame:
     """Kept documents without their failing lines; columns as they came."""
-    lines = F.filter(F.split(F.col("text"), "\n", -1), lambda x: ~line_fails(x))
-    judged = docs.withColumn("__m", _judged(F.col("text"), max_loss, window, min_words, max_repeat_percent)).where(F.col("__m.kept"))
-    return judged.withColumn("text", F.array_join(lines, "\n")).select(*docs.columns)
+
+    def left(t):
+        return bound(_mentions(t), lambda m: F.array_join(F.filter(F.split(t, "\n", -1), lambda x: line_rule(x, m, short) == 0), "\n"))
+
+    kept = docs.where(_judged(F.col("text"), max_loss, window, min_words, max_repeat_percent, short)["kept"])
+    return kept.select(*[bound(F.col("text"), left).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns])

@@ -121,6 +121,12 @@ def test_quality(docs, rows):
 
 
 def test_quality_lines(spark):
+    kinds = ["Home", "Sign up now", "Wer mag, kann hier klicken", "A | B | C | D | of the long and short of it.", "$$$ %%% ### so", "This catalog in a blog is no log in a fire, and it ends well.", "a long line of prose that only lacks the mark at its very end here"]
+    lines = spark.createDataFrame([(i, " ".join(f"word{k}" for k in range(40)) + ".\n" + t) for i, t in enumerate(kinds)], "doc_id long, text string")
+    found = {r["doc_id"]: [k for k in quality.RULES if r[f"lines_{k}"]] for r in quality.measures(lines).collect()}
+    assert [found[i] for i in range(7)] == [["punctuation"], ["boilerplate"], ["boilerplate"], ["navigation"], ["symbols"], [], []]
+    clash = lines.selectExpr("doc_id", "text", "1 AS __m", "2 AS kept", "3 AS `a.b`")
+    assert quality.clean(clash).columns == clash.columns and {r["__m"] for r in quality.clean(clash).collect()} == {1}
     text = "This is a plain and honest sentence of prose that nobody would remove, ever.\nHome | News | About | Contact\nClick here to read our cookie policy"
     df = spark.createDataFrame([(1, text), (2, "Home | A | B | C\nHome | A | B | D\nfoo bar baz | x | y | z k l m n o")], "doc_id long, text string")
     kept = quality.clean(df).collect()
@@ -268,17 +274,19 @@ def shingles(text, n=5):
 
 
 def test_decontamination(spark, docs, rows):
-    items = {r["item_id"]: r["text"] for r in spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet").collect()} | {900: "a b c", 901: "", 902: None}
-    df = spark.createDataFrame(list(items.items()), "item_id long, text string")
+    items = {r["item_id"]: r["text"] for r in spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet").collect()} | {900: "a b c", 901: "", 902: None, 903: "Text, twice", 904: "one", 905: "nowhere to be found"}
+    df = spark.createDataFrame([*items.items(), (900, "a b c"), (None, "one")], "item_id long, text string")
     want = {}
     for d, t in rows.items():
-        have = shingles(t)
+        w = [x for x in regex.split(r"[^\p{L}\p{N}]+", (t or "").lower()) if x]
+        have = {k: {tuple(w[i : i + k]) for i in range(len(w) - k + 1)} for k in range(1, 6)}
         for i, x in items.items():
-            q = shingles(x)
-            if q and len(q & have) >= 0.8 * len(q) - 1e-9:
-                want[d, i] = (len(q & have), len(q))
+            if q := shingles(x):
+                both = q & have[len(next(iter(q)))]
+                if len(both) >= 0.8 * len(q) - 1e-9:
+                    want[d, i] = (len(both), len(q))
     got = {(r["doc_id"], r["item_id"]): (r["n_shared"], r["n_item"]) for r in decontaminate.contained(docs, df).collect()}
-    assert got == want and want
+    assert got == want and {(100_004, 900), (100_014, 903), (100_003, 904)} <= set(want)
     left = {r["doc_id"] for r in decontaminate.without_leaks(docs, df).select("doc_id").collect()}
     assert left == set(rows) - {d for d, _ in want}
 

@@ -7,10 +7,12 @@ from collections import Counter, defaultdict
 import corpus_pipeline
 import pyarrow.parquet as pq
 import pytest
+import regex
 from cellstream.llm import registry, surrogates
-from cellstream.llm.quality import BOILERPLATE, NAVIGATION
+from cellstream.llm.quality import ENDS, NAVIGATION, PHRASES
 from compare import TABLES, compare
-from test_operators import WORD, all_ids, brute_components, fingerprint, shingles, words
+from test_jaccard import brute
+from test_operators import WORD, all_ids, shingles, words
 
 SMALL = "/root/testdata/sf0.001"
 
@@ -26,11 +28,23 @@ def folder(docs, tmp_path_factory):
     return str(place)
 
 
+def line_rule(line):
+    if not line.encode().split():
+        return 0
+    plain = f" {' '.join(regex.findall(r'[\p{L}\p{N}]+', line.lower()))} "
+    if 3 * sum(len(plain) - len(plain.replace(f" {p} ", " ")) for p in PHRASES) >= len(plain):
+        return 1
+    ends = line.rstrip(" \t\r")[-1:] in ENDS
+    bars = sum(line.count(s) for s in NAVIGATION)
+    if bars >= 2 and (not ends or 16 * bars >= len(line)):
+        return 2
+    if 5 * sum(c in "#*$%&|<>" for c in line) > len(line):
+        return 3
+    return 4 if not ends and len(line.encode().split()) < 12 else 0
+
+
 def line_fails(line):
-    if not line.strip(" "):
-        return False
-    bars = any(line.count(s) >= 2 for s in NAVIGATION) and line.rstrip(" ")[-1] not in ".!?:;,\"'”’)]…。"
-    return bars or any(p in line.lower() for p in BOILERPLATE) or 5 * sum(c in "#*$%&|<>" for c in line) > len(line)
+    return line_rule(line) > 0
 
 
 def cleaned(text):
@@ -48,7 +62,7 @@ def cleaned(text):
 
 def test_pipeline(spark, folder, rows):
     left = {d: c for d, t in rows.items() if (c := cleaned(t)) is not None}
-    named = brute_components({d: fingerprint(t) for d, t in left.items()})
+    named = brute(left)  # five-word shingles of Jaccard 0.8 or more
     left = {d: t for d, t in left.items() if named[d] == d}
     items = [q for r in spark.read.parquet(f"{SMALL}/benchmark.parquet").collect() if (q := shingles(r["text"]))]
     left = {d: t for d, t in left.items() if not any(10 * len(q & shingles(t)) >= 8 * len(q) for q in items)}
