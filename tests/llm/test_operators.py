@@ -266,6 +266,27 @@ def test_hilbert(docs, rows):
         assert [r["slot"] for r in part] == list(range(len(part)))
         curve += [r["curve"] for r in part]
     assert curve == sorted(curve)
+    # Each row's place, from quantiles and the curve, by brute force.
+    table = {r["doc_id"]: (r["lang"], r["source"], len((r["text"] or "").encode()) + 1) for r in docs.collect()}
+
+    def buckets(values):
+        there = sorted(v for v in values if v is not None)
+        edges = sorted({there[-(-k * len(there) // 16) - 1] for k in range(1, 16)}) if there else []
+        return [0 if v is None else sum(e < v for e in edges) for v in values]
+
+    cells = list(zip(*[buckets([table[d][k] for d in sorted(table)]) for k in range(3)], strict=True))
+    assert {r["doc_id"]: r["curve"] for r in got} == {d: hilbert.curve_index(c, 4) for d, c in zip(sorted(table), cells, strict=True)}
+
+
+def test_write_shards(spark, docs, tmp_path):
+    df = docs.unionByName(docs.limit(3)).unionByName(spark.createDataFrame([(None, "a", None, None, None, 1, "x"), (None, "a", None, None, None, 1, "x")], docs.schema)).withColumn("curve", F.lit(5)).withColumn("slot", F.lit("s")).withColumn("held", F.lit(0))
+    hilbert.write_shards(df, str(tmp_path / "out"))
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert back.drop("shard").exceptAll(df).count() == 0 == df.exceptAll(back.drop("shard")).count() and back.columns == [*df.columns, "shard"]
+    sizes = [r["count"] for r in back.groupBy("shard").count().collect()]
+    assert len(sizes) == 16 and max(sizes) - min(sizes) <= 1
+    with pytest.raises(ValueError):
+        hilbert.write_shards(back, str(tmp_path / "more"))
 
 
 def shingles(text, n=5):
