@@ -74,7 +74,7 @@ def test_token_counts(docs, rows):
         assert r["n_tokens"] == len(want[d]) - 1 and r["n_bytes"] == len((rows[d] or "").encode()) and r["over_limit"] == (r["n_tokens"] > 2048)
 
 
-@pytest.mark.parametrize("states", [4, 64, 1 << 15])
+@pytest.mark.parametrize("states", [8, 64, 1 << 15])
 def test_transducer_is_exact_whatever_fits(rows, states):
     machine = token_counts.CountTransducer(tokenizer_path(WORD), max_states=states, memo=50)
     texts = [(t or "").encode() for t in rows.values()]
@@ -83,6 +83,23 @@ def test_transducer_is_exact_whatever_fits(rows, states):
         assert machine.count(texts, lanes).tolist() == want
 
 
+def test_transducer_of_the_merges_is_the_tokenizer():
+    """Paths compiled from the merges alone against the library, on words, marks, contractions and digits of all kinds."""
+    rng = random.Random(3)
+    library, machine = Tokenizer.from_file(tokenizer_path(WORD)), token_counts.CountTransducer(tokenizer_path(WORD))
+    names = list(library.get_vocab())
+    pieces = ["'s", "'re", "'r", "'ll", "'l", "'v", "'", "''", "I'", "x'y", "rock'n'roll", "7", "19", "...", "!?", "<", "|", "--", "\x1c", "\x7f", "the", "ing"]
+    units = ["".join(rng.choice([*pieces, rng.choice(names).removesuffix("</w>"), "".join(rng.choices("etaoinshrdlucmfwyp", k=rng.randint(1, 14)))]) for _ in range(rng.randint(1, 5))) for _ in range(6000)]
+    units = [u for u in units if u.isascii() and "<|" not in u and not any(c.isspace() for c in u.replace("\x1c", ""))]
+    for u, e in zip(units, library.encode_batch(units, add_special_tokens=False), strict=True):
+        assert machine.compile(u.encode()) == len(e.ids), u
+    assert len(units) > 3000 and not machine._memo
+    text = [" ".join(units[k : k + 300]).encode() for k in range(0, len(units), 300)] + [b"a" * 5000, b"", b"x'" * 700 + b" y"]
+    want = [len(e.ids) for e in library.encode_batch([t.decode() for t in text], add_special_tokens=False)]
+    for lanes in (1, 50, 4096):
+        assert machine.count(text, lanes).tolist() == want
+
+
 def test_bitplanes(docs, rows):
     want = all_ids(BYTE, rows)
     for width in (1, 8):
