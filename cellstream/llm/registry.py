@@ -43,7 +43,7 @@ def op6_simhash(spark, sf_dir):
 
 
 def op7_suffix_dedup(spark, sf_dir):
-    return suffix_dedup.deduplicated(_documents(spark, sf_dir)).drop("spans", "kept")
+    return suffix_dedup.deduplicated(_documents(spark, sf_dir), texts=False)
 
 
 def op8_hilbert(spark, sf_dir):

@@ -42,7 +42,7 @@ _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 def _powers(which: int, n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of a base and of its inverse modulo 2**64."""
     if which not in _POWERS or len(_POWERS[which][0]) < n:
-        size = max(n, 1 << 21)
+        size = max(n, 1 << 20)
         base = int(_BASES[which])
         both = []
         for b in (base, pow(base, -1, 1 << 64)):
@@ -127,7 +127,7 @@ def _merged(uid: np.ndarray, low: np.ndarray, high: np.ndarray):
     return uid[cut], low[cut], np.maximum.reduceat(high, cut)
 
 
-def _anchor_rows(docs: DataFrame, length: int, gram: int, slab: int = 1 << 20, unit: int = 16, common: int = 16, mask: int = (1 << 64) - 1) -> DataFrame:
+def _anchor_rows(docs: DataFrame, length: int, gram: int, slab: int = 1 << 19, unit: int = 32, common: int = 16, mask: int = (1 << 64) - 1) -> DataFrame:
     """Anchors of all texts, without those whose whole context repeats within ``unit`` slabs: these come as finished spans.
 
     An anchor with ``common`` contexts or more within a unit is dealt by context too (s > 0), and a marker says so. ``mask``
@@ -307,7 +307,9 @@ def _fetched(docs: DataFrame, marks: DataFrame, length: int, gram: int) -> DataF
             both = lambda x, y: np.concatenate([x, y])
             columns = [both(kind[one], kind[head]), both(a[one], a[head]), both(uid[one], uid[head]), both(pos[one], low[head]), both(pos[one] - low[one], 0 * head), both(high[one] - pos[one], top - low[head]), both(ref[one], ref[head]), both(at[one], low[head] - shift[lead])]
             arrays = [pa.array(x.astype(np.int32) if k in (0, 4, 5) else x.astype(np.int64)) for k, x in enumerate(columns)]
-            yield pa.RecordBatch.from_arrays([*arrays, pa.array(data, pa.binary())], [x.split()[0] for x in FETCHED.split(", ")])
+            out = pa.RecordBatch.from_arrays([*arrays, pa.array(data, pa.binary())], [x.split()[0] for x in FETCHED.split(", ")])
+            # Contexts overlap, so they may hold several times the batch's bytes: they leave in parts.
+            yield from (out.slice(k, 20_000) for k in range(0, out.num_rows, 20_000))
 
     grouped = marks.groupBy("uid").agg(F.collect_list(F.struct("kind", "a", "pos", "ref", "at")).alias("marks"))
     return docs.join(grouped, "uid").select("uid", "raw", "marks").mapInArrow(fetch, FETCHED)
@@ -447,7 +449,7 @@ def _cut_buckets(contexts: DataFrame, length: int, gram: int, bucket: int) -> tu
         rows = written(rows, "parts")
 
 
-def repeats(docs: DataFrame, length: int = 100, gram: int = 20, block_rows: int = 4000, bucket: int = 512, slab: int = 1 << 20, mask: int = (1 << 64) - 1) -> DataFrame:
+def repeats(docs: DataFrame, length: int = 100, gram: int = 20, block_rows: int = 4000, bucket: int = 512, slab: int = 1 << 19, mask: int = (1 << 64) - 1) -> DataFrame:
     """(uid, start, end): spans whose strings start earlier elsewhere; ``docs`` has (uid, raw) with unique, ordered uid >= 0
     or any uid but -1."""
     again = written(_again(_anchor_rows(docs, length, gram, slab, mask=mask)), "again")
@@ -514,14 +516,15 @@ def keyed(docs: DataFrame) -> DataFrame:
     return written(ordered.select(F.monotonically_increasing_id().alias("uid"), "doc_id", "raw"), "keyed")
 
 
-def deduplicated(docs: DataFrame, length: int = 100, gram: int = 20) -> DataFrame:
-    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans, kept) per row; spans are (start, end) of removed runs."""
+def deduplicated(docs: DataFrame, length: int = 100, gram: int = 20, texts: bool = True) -> DataFrame:
+    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans, kept) per row; spans are (start, end) of removed runs.
+    Without ``texts`` the last two are left out."""
     rows = keyed(docs)
     spans = written(repeats(rows.select("uid", "raw"), length, gram), "spans").groupBy("uid").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
 
     def cut(batches):
         for batch in batches:
-            out = [[] for _ in range(6)]
+            out = [[] for _ in range(6 if texts else 4)]
             for raw, found in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 runs = []
                 for a, b in sorted((s["start"], s["end"]) for s in found or ()):
@@ -531,11 +534,14 @@ def deduplicated(docs: DataFrame, length: int = 100, gram: int = 20) -> DataFram
                         runs.append([a, b])
                 edges = [0, *(x for r in runs for x in r), len(raw)]
                 kept = b"".join(raw[edges[k] : edges[k + 1]] for k in range(0, len(edges), 2))
-                for column, value in zip(out, (len(raw), len(raw) - len(kept), len(runs), hashlib.sha256(kept).hexdigest(), [{"start": a, "end": b} for a, b in runs], kept), strict=True):
+                values = (len(raw), len(raw) - len(kept), len(runs), hashlib.sha256(kept).hexdigest(), [{"start": a, "end": b} for a, b in runs], kept)
+                for column, value in zip(out, values[: len(out)], strict=True):
                     column.append(value)
             span = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
             kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), span, pa.binary())
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(out, kinds, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"])
+            names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "spans", "kept"]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(out, kinds, strict=False))], names[: len(out) + 1])
 
     joined = rows.join(spans, "uid", "left").select("doc_id", "raw", "spans")
-    return joined.mapInArrow(cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,end:long>>, kept binary")
+    columns = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
+    return joined.mapInArrow(cut, columns + (", spans array<struct<start:long,end:long>>, kept binary" if texts else ""))
