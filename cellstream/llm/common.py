@@ -141,10 +141,10 @@ class PieceEncoder:
 _ENCODERS: dict[tuple, PieceEncoder] = {}
 
 
-def encoder(path: str, keep_space: bool) -> PieceEncoder:
-    """One encoder for each vocabulary and Python worker."""
-    key = (path, keep_space)
+def encoder(path: str, keep_space: bool, capacity: int = 500_000) -> PieceEncoder:
+    """One encoder for each vocabulary and Python worker; ``capacity`` bounds each generation of its cache."""
+    key = (path, keep_space, capacity)
     if key not in _ENCODERS:
         _ENCODERS.clear()
-        _ENCODERS[key] = PieceEncoder(path, keep_space)
+        _ENCODERS[key] = PieceEncoder(path, keep_space, capacity)
     return _ENCODERS[key]

@@ -29,7 +29,7 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int, end_id: int = 0) ->
     """Token pieces of each document; ``task_rank`` numbers the pieces of one length within one writing task."""
 
     def cut(batches):
-        codec = encoder(vocabulary, keep_space=False)
+        codec = encoder(vocabulary, keep_space=False, capacity=250_000)
         end, task = int(end_id).to_bytes(4, "little"), TaskContext.get().partitionId()
         seen: dict[int, int] = {}
         for batch in batches:

@@ -32,7 +32,6 @@ NAVIGATION = [" | ", " » ", " > ", " · "]
 ENDS = list(".!?:;,\"'”’»)]…。！？؟।")
 SYMBOLS = "#*$%&|<>"
 SPACE = "[ \\t-\\r]+"
-BLANKS = " \t\n\x0b\x0c\r"
 PHRASES = [p for ps in BOILERPLATE.values() for p in ps]
 RULES = ["boilerplate", "navigation", "symbols", "punctuation"]
 
@@ -83,23 +82,37 @@ def _furniture(line: Column) -> Column:
     return bound(plain, share)
 
 
-def line_rule(line: Column, mentions: Column, short: int = 12) -> Column:
-    """Number of the first rule that the line fails, from 1 in the order of RULES; 0 if it passes or is blank."""
-    ends = F.substring(F.rtrim(line, F.lit(" \t\r")), -1, 1).isin(ENDS)
-    bars = reduce(lambda a, p: a + F.floor((F.length(line) - F.length(F.replace(line, F.lit(p), F.lit("")))) / len(p)), NAVIGATION, F.lit(0))
-    marks = F.length(line) - F.length(_without(line, SYMBOLS))
+def _has_word(line: Column) -> Column:
+    return line.rlike("[^ \\t-\\r]")
+
+
+def _last(line: Column) -> Column:
+    """Last character but blanks; most lines end with none."""
+    end = F.substring(line, -1, 1)
+    return bound(end, lambda e: F.when(e.isin(" ", "\t", "\r"), F.substring(F.rtrim(line, F.lit(" \t\r")), -1, 1)).otherwise(e))
 
-    def rest(e):
-        walk = bound(bars, lambda n: (n >= 2) & (~e | (16 * n >= F.length(line))))
-        return F.when(walk, 2).when(marks * 5 > F.length(line), 3).when(~e & (F.size(words(line)) < short), 4).otherwise(0)
 
-    return F.when(F.btrim(line, F.lit(BLANKS)) == "", 0).when(mentions & _furniture(line), 1).otherwise(bound(ends, rest))
+def _signs(text: Column, symbols: Column | None = None) -> Column:
+    """What a text must have for its lines to fail a rule: phrases, separators, symbols."""
+    marks = F.length(text) > F.length(_without(text, SYMBOLS)) if symbols is None else symbols > 0
+    bars = reduce(lambda a, p: a | F.contains(text, F.lit(p)), NAVIGATION, F.lit(False))
+    return F.struct(_mentions(text).alias("phrases"), bars.alias("bars"), marks.alias("marks"))
+
+
+def line_rule(line: Column, signs: Column, short: int = 12) -> Column:
+    """Number of the first rule that the line fails, from 1 in the order of RULES; 0 if it passes or has no word."""
+    bars = reduce(lambda a, p: a + F.floor((F.length(line) - F.length(F.replace(line, F.lit(p), F.lit("")))) / len(p)), NAVIGATION, F.lit(0))
+    ends = _last(line).isin(ENDS)
+    walk = bound(bars, lambda n: (n >= 2) & (~ends | (16 * n >= F.length(line))))
+    marks = (F.length(line) - F.length(_without(line, SYMBOLS))) * 5 > F.length(line)
+    size = bound(F.size(words(line)), lambda n: (n > 0) & (n < short))
+    return F.when(signs["phrases"] & _has_word(line) & _furniture(line), 1).when(signs["bars"] & walk, 2).when(signs["marks"] & marks, 3).when(~ends & size, 4).otherwise(0)
 
 
 def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repeat_percent: int, short: int) -> Column:
     def all_of(t):
         lines = F.split(t, "\n", -1)
-        full = F.filter(lines, lambda x: F.length(F.btrim(x, F.lit(BLANKS))) > 0)
+        full = F.filter(lines, _has_word)
 
         def from_words(w):
             return F.struct(
@@ -108,7 +121,7 @@ def _judged(text: Column, max_loss: float, window: int, min_words: int, max_repe
                 (F.length(t) - F.length(_without(t, SYMBOLS))).cast("long").alias("n_symbols"),
                 bound(full, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
                 _repeated_words(w, window).alias("n_repeat_words"),
-                bound(F.struct(full.alias("x"), _mentions(t).alias("m")), lambda f: F.transform(f["x"], lambda x: F.struct(line_rule(x, f["m"], short).alias("r"), F.length(x).alias("n")))).alias("lines"),
+                bound(F.struct(full.alias("x"), _signs(t).alias("m")), lambda f: F.transform(f["x"], lambda x: F.struct(line_rule(x, f["m"], short).alias("r"), F.length(x).alias("n")))).alias("lines"),
                 F.length(t).cast("long").alias("n_chars_seen"),
             )
 
@@ -135,7 +148,8 @@ def clean(docs: DataFrame, max_loss: float = 0.5, window: int = 5, min_words: in
     """Kept documents without their failing lines; columns as they came."""
 
     def left(t):
-        return bound(_mentions(t), lambda m: F.array_join(F.filter(F.split(t, "\n", -1), lambda x: line_rule(x, m, short) == 0), "\n"))
+        return bound(_signs(t), lambda m: F.array_join(F.filter(F.split(t, "\n", -1), lambda x: line_rule(x, m, short) == 0), "\n"))
 
-    kept = docs.where(_judged(F.col("text"), max_loss, window, min_words, max_repeat_percent, short)["kept"])
+    # Under coalesce the planner infers no null check of the verdict, which would judge each text once more.
+    kept = docs.where(F.coalesce(_judged(F.col("text"), max_loss, window, min_words, max_repeat_percent, short)["kept"], F.lit(False)))
     return kept.select(*[bound(F.col("text"), left).alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns])
