@@ -109,6 +109,9 @@ def to_lattice(df: DataFrame, spec: LatticeSpec) -> DataFrame:
         else:
             value = _raw(a) - int(a.lo)
         missing = F.col(a.source).isNull()
+        # A value outside the axis (below lo, or not in the dictionary) would name a wrong cell.
+        strange = ~missing & ((value < 0) | (value >= (1 << a.bits)))
+        value = F.when(strange, F.raise_error(F.concat(F.lit(f"value outside axis {a.name}: "), F.col(a.source).cast("string"))).cast("long")).otherwise(value)
         if a.on_null == "error":
             value = F.when(missing, F.raise_error(F.lit(f"null in axis {a.name}")).cast("long")).otherwise(value)
         elif a.on_null == "drop":

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+
 _TOP, _WORD = 1 << 64, 1 << 48
 
 
@@ -27,16 +29,19 @@ class Encoder:
         self._range = part * freq
         if self._low >= _TOP:
             self._low -= _TOP
-            k = len(self._words) - 1
-            while self._words[k] == 0xFFFF:
-                self._words[k] = 0
-                k -= 1
-            self._words[k] += 1
+            self._carry()
         while self._range < _WORD:
             self._words.append(self._low >> 48)
             self._low = (self._low << 16) & (_TOP - 1)
             self._range <<= 16
 
+    def _carry(self) -> None:
+        k = len(self._words) - 1
+        while self._words[k] == 0xFFFF:
+            self._words[k] = 0
+            k -= 1
+        self._words[k] += 1
+
     def put_uniform(self, value: int, total: int) -> None:
         if total > 1 << 32:
             digits, weight, tail = _digits(total)
@@ -47,11 +52,18 @@ class Encoder:
             self.put(value, 1, total)
 
     def finish(self) -> bytes:
-        for shift in (48, 32, 16, 0):
-            self._words.append(self._low >> shift & 0xFFFF)
-        while self._words and self._words[-1] == 0:
-            self._words.pop()
-        return b"".join(w.to_bytes(2, "big") for w in self._words)
+        """The shortest end after which any bytes may follow; nothing for no symbols."""
+        if not self._words and self._low == 0 and self._range == _TOP - 1:
+            return b""
+        for k in range(1, 9):
+            step = 1 << (64 - 8 * k)
+            value = -(-self._low // step) * step
+            if value + step <= self._low + self._range:
+                break
+        if value >= _TOP:
+            value -= _TOP
+            self._carry()
+        return b"".join(w.to_bytes(2, "big") for w in self._words) + value.to_bytes(8, "big")[:k]
 
 
 class Decoder:
@@ -91,15 +103,99 @@ class Decoder:
         return value
 
 
+#: Bits of a group of digits of several radices, so that a group's total stays within 2**32 with one more digit of four bits.
+_GROUP = 28
+
+
+def radix_groups(sizes: np.ndarray) -> np.ndarray:
+    """First of each run of alphabets (of 2 symbols or more) that are coded as one number; alphabets over 16 stand alone."""
+    bits = np.ceil(np.log2(np.minimum(sizes, 16))).astype(np.int64)
+    start = np.cumsum(bits) - bits
+    block, alone = start // _GROUP, sizes > 16
+    new = np.ones(len(sizes), bool)
+    new[1:] = (block[1:] != block[:-1]) | alone[1:] | alone[:-1]
+    return np.flatnonzero(new)
+
+
+def _places(starts: np.ndarray, n: int):
+    """Indices of the first, second, ... member of each group."""
+    lengths = np.diff(np.append(starts, n))
+    for k in range(int(lengths.max(initial=0))):
+        yield np.flatnonzero(lengths > k), starts[lengths > k] + k
+
+
+def put_digits(coder: Encoder, values: np.ndarray, sizes: np.ndarray) -> None:
+    """Uniform symbols, many as one number of mixed radix."""
+    starts = radix_groups(sizes)
+    number, total = np.zeros(len(starts), np.int64), np.ones(len(starts), np.int64)
+    for group, at in _places(starts, len(sizes)):
+        number[group] += values[at] * total[group]
+        total[group] *= sizes[at]
+    for v, t in zip(number.tolist(), total.tolist(), strict=True):
+        coder.put_uniform(v, t)
+
+
+def get_digits(coder: Decoder, sizes: np.ndarray) -> np.ndarray:
+    starts = radix_groups(sizes)
+    total = np.ones(len(starts), np.int64)
+    for group, at in _places(starts, len(sizes)):
+        total[group] *= sizes[at]
+    number = np.array([coder.get_uniform(t) for t in total.tolist()], np.int64)
+    out = np.zeros(len(sizes), np.int64)
+    for group, at in _places(starts, len(sizes)):
+        out[at] = number[group] % sizes[at]
+        number[group] //= sizes[at]
+    return out
+
+
 #: Fixed-point half bell: weights at sixteenths of sigma, the same in every build.
 BELL = [round(65535 * 2.718281828459045 ** (-((k / 16) ** 2) / 2)) for k in range(97)]
+_RING = np.array([0, *BELL[:0:-1], *BELL, 0], np.int64)
+#: Points of a cell that the bell's whole-number arithmetic takes; no cell of a codestream has more.
+MOST = 1 << 42
+
+
+def _root(x: np.ndarray) -> np.ndarray:
+    """Whole-number square root, rounded up."""
+    r = np.sqrt(x.astype(np.float64)).astype(np.int64)
+    r -= r * r > x
+    r += (r + 1) * (r + 1) <= x
+    return r + (r * r < x)
+
 
+def bell_bins(cnt: np.ndarray, left: np.ndarray, right: np.ndarray, shrink: int = 16) -> tuple[np.ndarray, np.ndarray]:
+    """The model of 0..cnt around the predicted count as runs of equally likely values: edges (a row a symbol) and weights.
 
-def bell_table(cnt: int, left: int, right: int, shrink: int = 16) -> list[int]:
-    """Whole-number weights of 0..cnt around the predicted count; integer arithmetic only, equal on both sides."""
+    A discrete bell of sigma = sqrt(cnt) / 2 over a floor, of counts of any size; whole-number arithmetic only, so equal
+    on both sides. The number of runs does not depend on the count.
+    """
     total = left + right + 2 * shrink
-    mu16, root = 16 * cnt * (left + shrink) // total, 1
-    while root * root < 64 * cnt:  # 16 * sigma with sigma = sqrt(cnt) / 2
-        root += 1
+    mean = cnt * (((left + shrink) << 20) // total) >> 16  # in sixteenths
+    steps = np.arange(1, len(BELL) + 1) * np.maximum(1, _root(64 * cnt))[:, None]
+    centre = 16 * mean[:, None]
+    lower, upper = (centre - steps) // 256 + 1, -((-centre - steps) // 256)
+    ends = (cnt + 1)[:, None]
+    edges = np.clip(np.concatenate([0 * ends, lower[:, ::-1], upper, ends], 1), 0, ends)
+    counts = np.diff(edges, axis=1)
     floor = 1 + 3277 * 16 // (cnt + 1)
-    return [floor + (BELL[k] if (k := abs(16 * v - mu16) * 16 // max(1, root)) < len(BELL) else 0) for v in range(cnt + 1)]
+    shift = np.maximum(0, np.ceil(np.log2(cnt + 2.0)).astype(np.int64) + 17 - 31)
+    weights = np.maximum((counts * (floor[:, None] + _RING)) >> shift[:, None], counts > 0)
+    return edges, weights
+
+
+def bell_bits(cnt: np.ndarray, left: np.ndarray, right: np.ndarray, value: np.ndarray, chunk: int = 4096) -> np.ndarray:
+    """What the coder pays for each value under ``bell_bins``."""
+    out = np.zeros(len(cnt))
+    for k in range(0, len(cnt), chunk):
+        part = slice(k, k + chunk)
+        edges, weights = bell_bins(cnt[part], left[part], right[part])
+        at = (edges[:, 1:] <= value[part, None]).sum(1)
+        row = np.arange(len(at))
+        out[part] = np.log2(weights.sum(1) / weights[row, at]) + np.log2(edges[row, at + 1] - edges[row, at])
+    return out
+
+
+def bell_table(cnt: int, left: int, right: int) -> list[int]:
+    """Whole-number weights of the runs that hold 0..cnt, one a value."""
+    edges, weights = (x[0] for x in bell_bins(*(np.array([v], np.int64) for v in (cnt, left, right))))
+    return np.repeat(weights, np.diff(edges)).tolist()

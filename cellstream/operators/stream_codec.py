@@ -1,8 +1,11 @@
-"""Codestream: one payload per (tile, wave), written as Parquet partitioned by wave, with a one-row header.
+"""Codestream: payloads of a tile's waves, written as Parquet partitioned by wave, with a one-row header.
 
 A tile is a subtree; its payloads need nothing but the count of the tile's root, so tiles are coded and decoded in
-parallel and a reader takes only the waves and tiles it wants. Cells of one point need one plain bit a wave and bypass the
-range coder. Model 0 is uniform; model 1 predicts from the tile's own neighbours in the wave before it is split.
+parallel and a reader takes only the waves and tiles it wants. Tiles stand in stages: those of a stage begin at one level (a
+cut) and end at the next cut, so no tile has more than 2**16 cells a level but those of the last stage, which hold a bounded number
+of points. A payload holds a band of waves, as many as are worth a few bytes of overhead. Cells of one point need one
+plain bit a wave and bypass the range coder. The model of each wave is in the header: 0 is uniform, 1 predicts
+from the tile's own neighbours in the wave before it is split.
 """
 
 from __future__ import annotations
@@ -11,14 +14,16 @@ import json
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.schedule import SplitSchedule
-from .arith import Decoder, Encoder, bell_table
+from .arith import MOST, Decoder, Encoder, bell_bins, bell_bits, get_digits, put_digits
 
-STREAM = "tile long, wave int, ord int, payload binary, n_sym long, n_bits double"
-LARGE = 4096  # larger cells are coded uniformly
+STREAM = "stage int, tile long, wave int, waves int, payload binary, n_sym long, n_bits double"
+CELLS = "level int, prefix long, cnt long"
+#: Levels of a tile above the last stage, and ideal bits at which a band of waves is closed.
+STAGE, BAND = 16, 1 << 14
 
 
 def choose_tile_bits(nodes: DataFrame, q: int, cap: int = 2_000_000) -> int:
@@ -27,6 +32,11 @@ def choose_tile_bits(nodes: DataFrame, q: int, cap: int = 2_000_000) -> int:
     return next((r["level"] for r in rows if r["most"] <= cap), max(0, q - 1))
 
 
+def cuts(tile_bits: int) -> list[int]:
+    """Levels at which the stages begin."""
+    return [*range(0, tile_bits, STAGE), tile_bits]
+
+
 def face_neighbours(prefix: np.ndarray, cnt: np.ndarray, level: int, schedule: SplitSchedule) -> tuple[np.ndarray, np.ndarray]:
     """Points in the cells next to each cell along the axis split at this level; ``prefix`` sorted."""
     axis = schedule.steps[level][0]
@@ -47,42 +57,69 @@ def face_neighbours(prefix: np.ndarray, cnt: np.ndarray, level: int, schedule: S
     return out[0], out[1]
 
 
-def encode_wave(prefix, cnt, left, level, schedule, model: int) -> bytes:
-    """Bypass bits of single points, then the range-coded rest."""
-    single = cnt == 1
-    bits = np.packbits(left[single].astype(np.uint8)).tobytes()
-    coder, near = Encoder(), face_neighbours(prefix, cnt, level, schedule) if model else None
-    for k in np.flatnonzero(~single).tolist():
-        p, x = int(cnt[k]), int(left[k])
-        if near is not None and p <= LARGE and near[0][k] + near[1][k]:
-            table = bell_table(p, int(near[0][k]), int(near[1][k]))
-            coder.put(sum(table[:x]), table[x], sum(table))
-        else:
-            coder.put_uniform(x, p + 1)
-    return bits + coder.finish()
-
-
-def decode_wave(prefix, cnt, level, schedule, model: int, payload: bytes) -> np.ndarray:
+def _kinds(prefix, cnt, level, schedule, model: int):
+    """Places of single points, of cells coded uniformly and of predicted ones, with the neighbours of these."""
     single = cnt == 1
-    n = int(single.sum())
-    cut = -(-n // 8)
-    left = np.zeros(len(cnt), np.int64)
-    left[single] = np.unpackbits(np.frombuffer(payload[:cut], np.uint8), count=n)
-    coder, near = Decoder(payload[cut:]), face_neighbours(prefix, cnt, level, schedule) if model else None
-    for k in np.flatnonzero(~single).tolist():
-        p = int(cnt[k])
-        if near is not None and p <= LARGE and near[0][k] + near[1][k]:
-            table = bell_table(p, int(near[0][k]), int(near[1][k]))
-            total = sum(table)
-            target, cum, x = coder.target(total), 0, 0
-            while cum + table[x] <= target:
-                cum += table[x]
-                x += 1
-            coder.take(cum, table[x], total)
-            left[k] = x
-        else:
-            left[k] = coder.get_uniform(p + 1)
-    return left
+    if not model:
+        return np.flatnonzero(single), np.flatnonzero(~single), np.zeros(0, np.int64), None
+    low, high = face_neighbours(prefix, cnt, level, schedule)
+    bell = ~single & (low + high > 0)
+    at = np.flatnonzero(bell)
+    return np.flatnonzero(single), np.flatnonzero(~single & ~bell), at, (low[at], high[at])
+
+
+class BandEncoder:
+    """One payload: coded symbols from its front, plain bits of single points from its end."""
+
+    def __init__(self):
+        self._coder, self._bits = Encoder(), []
+
+    def put(self, prefix, cnt, left, level, schedule, model: int, chunk: int = 4096) -> None:
+        single, plain, bell, near = _kinds(prefix, cnt, level, schedule, model)
+        self._bits.append(left[single].astype(np.uint8))
+        put_digits(self._coder, left[plain], cnt[plain] + 1)
+        for k in range(0, len(bell), chunk):
+            at = bell[k : k + chunk]
+            edges, weights = bell_bins(cnt[at], near[0][k : k + chunk], near[1][k : k + chunk])
+            run, row = (edges[:, 1:] <= left[at, None]).sum(1), np.arange(len(at))
+            before = np.cumsum(weights, 1)[row, run] - weights[row, run]
+            inside, size = left[at] - edges[row, run], edges[row, run + 1] - edges[row, run]
+            for c, w, t, v, n in zip(before.tolist(), weights[row, run].tolist(), weights.sum(1).tolist(), inside.tolist(), size.tolist(), strict=True):
+                self._coder.put(c, w, t)
+                self._coder.put_uniform(v, n)
+
+    def finish(self) -> bytes:
+        bits = np.concatenate(self._bits) if self._bits else np.zeros(0, np.uint8)
+        return self._coder.finish() + np.packbits(bits).tobytes()[::-1]
+
+
+class BandDecoder:
+    def __init__(self, payload: bytes):
+        self._coder, self._payload, self._bits, self._at = Decoder(payload), payload, None, 0
+
+    def get(self, prefix, cnt, level, schedule, model: int, chunk: int = 4096) -> np.ndarray:
+        """Lower-half counts of one wave's cells."""
+        if self._bits is None:
+            self._bits = np.unpackbits(np.frombuffer(self._payload[::-1], np.uint8))
+        single, plain, bell, near = _kinds(prefix, cnt, level, schedule, model)
+        left = np.zeros(len(cnt), np.int64)
+        if self._at + len(single) > len(self._bits):
+            raise ValueError("damaged or cut payload")
+        left[single] = self._bits[self._at : self._at + len(single)]
+        self._at += len(single)
+        left[plain] = get_digits(self._coder, cnt[plain] + 1)
+        for k in range(0, len(bell), chunk):
+            at = bell[k : k + chunk]
+            edges, weights = bell_bins(cnt[at], near[0][k : k + chunk], near[1][k : k + chunk])
+            upto = np.cumsum(weights, 1)
+            for row, place in enumerate(at.tolist()):
+                total = int(upto[row, -1])
+                run = int(np.searchsorted(upto[row], self._coder.target(total), "right"))
+                freq = int(weights[row, run])
+                self._coder.take(int(upto[row, run]) - freq, freq, total)
+                first = int(edges[row, run])
+                left[place] = first + self._coder.get_uniform(int(edges[row, run + 1]) - first)
+        return left
 
 
 def _split(prefix, cnt, left):
@@ -90,70 +127,159 @@ def _split(prefix, cnt, left):
     return both[counts > 0], counts[counts > 0]
 
 
-def encode_tiles(nodes: DataFrame, schedule: SplitSchedule, tile_bits: int | None = None, model: int = 0) -> DataFrame:
-    """Codestream rows. Tile -1 holds the levels above the tiles; it has at most 2**tile_bits nodes a level."""
+def decode_bands(bands: list[tuple[int, int, bytes]], prefix, cnt, first: int, to_level: int, schedule: SplitSchedule, models: list[int]):
+    """Cells at ``to_level`` of one tile, from its root at level ``first`` and its (wave, waves, payload)."""
+    level = first
+    for wave, waves, payload in sorted(bands):
+        if wave != level:
+            raise ValueError(f"the payload of wave {level} is missing")
+        band = BandDecoder(payload)
+        for level in range(wave, min(wave + waves, to_level)):
+            prefix, cnt = _split(prefix, cnt, band.get(prefix, cnt, level, schedule, models[level]))
+        level = min(wave + waves, to_level)
+        if level == to_level:
+            break
+    if level != to_level:
+        raise ValueError(f"the payload of wave {level} is missing")
+    return prefix, cnt
+
+
+def _staged(nodes: DataFrame, tile_bits: int) -> DataFrame:
+    """Nodes with the stage and tile that code them."""
+    stage, first = F.lit(0), F.lit(0)
+    for k, c in enumerate(cuts(tile_bits)):
+        stage, first = F.when(F.col("level") >= c, k).otherwise(stage), F.when(F.col("level") >= c, c).otherwise(first)
+    return nodes.withColumn("stage", stage).withColumn("tile", F.call_function("shiftright", "prefix", (F.col("level") - first).cast("int")))
+
+
+def _waves(table: pa.Table):
+    """(level, prefix, cnt, left) of each wave of a tile, in order."""
+    level, prefix, cnt, left = (table.column(c).to_numpy() for c in ("level", "prefix", "cnt", "left_cnt"))
+    order = np.lexsort((prefix, level))
+    level, prefix, cnt, left = level[order], prefix[order], cnt[order], left[order]
+    if len(cnt) and cnt.max() >= MOST:
+        raise ValueError("a cell of 2**42 points or more; cut the set first")
+    for wave in np.unique(level).tolist():
+        a, b = np.searchsorted(level, [wave, wave + 1])
+        yield wave, prefix[a:b], cnt[a:b], left[a:b]
+
+
+def wave_costs(nodes: DataFrame, schedule: SplitSchedule, tile_bits: int) -> DataFrame:
+    """(wave, uniform_bits, predicted_bits): what the coder pays for each wave under either model, tiles as they are coded."""
+
+    def cost(table: pa.Table) -> pa.Table:
+        rows = []
+        for wave, prefix, cnt, left in _waves(table):
+            plain = np.log2(cnt + 1.0)
+            _, _, bell, near = _kinds(prefix, cnt, wave, schedule, 1)
+            told = plain.copy()
+            told[bell] = bell_bits(cnt[bell], *near, left[bell])
+            rows.append((wave, float(plain.sum()), float(told.sum())))
+        return pa.table(dict(zip(("wave", "u", "p"), map(list, zip(*rows, strict=True)), strict=True)), pa.schema([("wave", pa.int32()), ("u", pa.float64()), ("p", pa.float64())]))
+
+    rows = _staged(nodes, tile_bits).groupBy("stage", "tile").applyInArrow(cost, "wave int, u double, p double")
+    return rows.groupBy("wave").agg(F.sum("u").alias("uniform_bits"), F.sum("p").alias("predicted_bits"))
+
+
+def choose_models(nodes: DataFrame, schedule: SplitSchedule, tile_bits: int) -> list[int]:
+    """The cheaper model of each wave (Q rows come to the driver)."""
+    best = {r["wave"]: int(r["predicted_bits"] < r["uniform_bits"]) for r in wave_costs(nodes, schedule, tile_bits).collect()}
+    return [best.get(k, 0) for k in range(schedule.q)]
+
+
+def encode_tiles(nodes: DataFrame, schedule: SplitSchedule, tile_bits: int | None = None, models: list[int] | None = None, band: int = BAND) -> DataFrame:
+    """Codestream rows: (stage, tile, first wave, waves) with payload, symbols and ideal uniform bits."""
     t = choose_tile_bits(nodes, schedule.q) if tile_bits is None else tile_bits
-    tile = F.when(F.col("level") < t, F.lit(-1).cast("long")).otherwise(F.call_function("shiftright", "prefix", (F.col("level") - t).cast("int")))
+    models = models or [0] * schedule.q
 
     def code(table: pa.Table) -> pa.Table:
-        level = table.column("level").to_numpy()
-        order = np.lexsort((table.column("prefix").to_numpy(), level))
-        level, prefix, cnt, left = (table.column(c).to_numpy()[order] for c in ("level", "prefix", "cnt", "left_cnt"))
-        rows = []
-        for wave in np.unique(level).tolist():
-            a, b = np.searchsorted(level, [wave, wave + 1])
-            payload = encode_wave(prefix[a:b], cnt[a:b], left[a:b], wave, schedule, model)
-            rows.append((int(table.column("tile")[0].as_py()), wave, 0, payload, int(b - a), float(np.log2(cnt[a:b] + 1).sum())))
-        return pa.table(dict(zip(("tile", "wave", "ord", "payload", "n_sym", "n_bits"), map(list, zip(*rows, strict=True)), strict=True)), pa.schema([("tile", pa.int64()), ("wave", pa.int32()), ("ord", pa.int32()), ("payload", pa.binary()), ("n_sym", pa.int64()), ("n_bits", pa.float64())]))
+        rows, held = [], None
+        for wave, prefix, cnt, left in _waves(table):
+            if held is None:
+                held = [BandEncoder(), wave, 0, 0, 0.0]
+            held[0].put(prefix, cnt, left, wave, schedule, models[wave])
+            held[2:] = [held[2] + 1, held[3] + len(cnt), held[4] + float(np.log2(cnt + 1.0).sum())]
+            if held[4] >= band:
+                rows.append(held)
+                held = None
+        if held is not None:
+            rows.append(held)
+        stage, tile = (table.column(c)[0].as_py() for c in ("stage", "tile"))
+        columns = [[stage] * len(rows), [tile] * len(rows), [r[1] for r in rows], [r[2] for r in rows], [r[0].finish() for r in rows], [r[3] for r in rows], [r[4] for r in rows]]
+        kinds = (pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.float64())
+        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], [f.split()[0] for f in STREAM.split(", ")])
 
-    return nodes.withColumn("tile", tile).groupBy("tile").applyInArrow(code, STREAM)
+    return _staged(nodes, t).groupBy("stage", "tile").applyInArrow(code, STREAM)
 
 
-def make_header(n: int, schedule: SplitSchedule, tile_bits: int, model: int = 0, law: str = "uniform", lattice: str = "") -> dict:
-    return {"version": 1, "n": n, "q": schedule.q, "bits": list(schedule.bits), "axes": [a for a, _ in schedule.steps], "tile_bits": tile_bits, "model": model, "law": law, "lattice": lattice}
+def make_header(n: int, schedule: SplitSchedule, tile_bits: int, models: list[int] | None = None, law: str = "uniform", lattice: str = "") -> dict:
+    return {"version": 2, "n": n, "q": schedule.q, "bits": list(schedule.bits), "axes": [a for a, _ in schedule.steps], "tile_bits": tile_bits, "models": models or [0] * schedule.q, "law": law, "lattice": lattice}
 
 
 def schedule_of(header: dict) -> SplitSchedule:
     return SplitSchedule.explicit(header["bits"], header["axes"])
 
 
-def decode_top(stream: DataFrame, header: dict, to_level: int) -> tuple[np.ndarray, np.ndarray]:
-    """Counts of the tile roots from tile -1: at most 2**tile_bits cells, on the driver."""
-    schedule, t = schedule_of(header), min(header["tile_bits"], to_level)
-    prefix, cnt = np.zeros(1, np.int64), np.array([header["n"]], np.int64)
-    payloads = {r["wave"]: r["payload"] for r in stream.where((F.col("tile") == -1) & (F.col("wave") < t)).select("wave", "payload").collect()}
-    for level in range(t):
-        prefix, cnt = _split(prefix, cnt, decode_wave(prefix, cnt, level, schedule, header["model"], payloads[level]))
-    return prefix, cnt
+def _meets(ranges: list[tuple[int, int]], q: int, level: int) -> Column:
+    """Whether the keys below a prefix at a level meet one of the ranges."""
+    low = F.shiftleft("tile", q - level)
+    high = F.shiftleft(F.col("tile") + 1, q - level) - 1
+    out = F.lit(False)
+    for a, b in ranges:
+        out = out | ((low <= b) & (high >= a))
+    return out
 
 
 def decode_tiles(stream: DataFrame, header: dict, to_level: int | None = None, ranges: list[tuple[int, int]] | None = None) -> DataFrame:
     """(level, prefix, cnt) cells at ``to_level``; ``ranges`` of keys keep only the tiles that meet them.
 
-    Waves below the level are all that is read (partition pruning); tiles are filtered before any payload is decoded.
+    Stage by stage: the cells that a stage ends with are the roots of the next one's tiles and meet their payloads in a
+    join, so no cell passes the driver. Waves below the level are all that is read (partition pruning); tiles are
+    filtered before any payload is decoded.
     """
     schedule, q = schedule_of(header), header["q"]
-    level_to, t = q if to_level is None else to_level, header["tile_bits"]
-    spark, schema = stream.sparkSession, "level int, prefix long, cnt long"
-    if not header["n"] or level_to <= t:
-        prefix, cnt = decode_top(stream, header, level_to) if header["n"] else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-        return spark.createDataFrame([(level_to, int(p), int(c)) for p, c in zip(prefix, cnt, strict=True)], schema)
-    roots, counts = decode_top(stream, header, t)
-    if ranges is not None:
-        lo, hi = roots << (q - t), (roots + 1 << (q - t)) - 1
-        take = np.any([(lo <= b) & (hi >= a) for a, b in ranges], axis=0) if ranges else np.zeros(len(roots), bool)
-        roots, counts = roots[take], counts[take]
-    known = spark.createDataFrame([(int(r), int(c)) for r, c in zip(roots, counts, strict=True)], "tile long, cnt long")
-    rows = stream.where(F.col("wave") < level_to).select("tile", "wave", "payload").join(F.broadcast(known), "tile")
+    level_to = q if to_level is None else to_level
+    spark, models = stream.sparkSession, header["models"]
+    cells = spark.createDataFrame([(0, header["n"])] if header["n"] else [], "prefix long, cnt long")
+    stages = [c for c in dict.fromkeys(cuts(header["tile_bits"])) if c < level_to]
+    for k, (first, last) in enumerate(zip(stages, [*stages[1:], level_to], strict=True)):
+        known = cells.select(F.col("prefix").alias("tile"), "cnt")
+        if ranges is not None:
+            known = known.where(_meets(ranges, q, first))
+        rows = stream.where((F.col("stage") == k) & (F.col("wave") < last)).select("tile", "wave", "waves", "payload").join(known, "tile")
+
+        cells = rows.groupBy("tile").applyInArrow(_opener(schedule, models, first, last), "prefix long, cnt long")
+    return cells.select(F.lit(level_to).alias("level"), "prefix", "cnt")
+
+
+def _opener(schedule: SplitSchedule, models: list[int], first: int, last: int):
+    """Decoder of one tile's joined payloads between two levels."""
 
     def open_(table: pa.Table) -> pa.Table:
-        payloads = dict(zip(table.column("wave").to_pylist(), table.column("payload").to_pylist(), strict=True))
-        prefix, cnt = np.array([table.column("tile")[0].as_py()]), np.array([table.column("cnt")[0].as_py()])
-        for level in range(t, level_to):
-            prefix, cnt = _split(prefix, cnt, decode_wave(prefix, cnt, level, schedule, header["model"], payloads[level]))
-        return pa.table({"level": pa.array(np.full(len(prefix), level_to, np.int32)), "prefix": prefix, "cnt": cnt})
+        bands = list(zip(*(table.column(c).to_pylist() for c in ("wave", "waves", "payload")), strict=True))
+        prefix, cnt = (np.array([table.column(c)[0].as_py()], np.int64) for c in ("tile", "cnt"))
+        prefix, cnt = decode_bands(bands, prefix, cnt, first, last, schedule, models)
+        return pa.table({"prefix": prefix, "cnt": cnt})
+
+    return open_
+
 
-    return rows.groupBy("tile").applyInArrow(open_, schema)
+class Box:
+    """Closed intervals of whole numbers, one an axis."""
+
+    def __init__(self, sides: list[tuple[int, int]]):
+        self.sides = [(int(a), int(b)) for a, b in sides]
+
+    def to_ranges(self, schedule: SplitSchedule, max_ranges: int = 64) -> list[tuple[int, int]]:
+        from ..functions.keys import box_to_ranges
+
+        return box_to_ranges(schedule, self.sides, max_ranges)
+
+    def holds(self, names: list[str]) -> Column:
+        out = F.lit(True)
+        for c, (a, b) in zip(names, self.sides, strict=True):
+            out = out & F.col(c).between(a, b)
+        return out
 
 
 class Codestream:
@@ -163,27 +289,90 @@ class Codestream:
         self.df, self.header = df, header
 
     @classmethod
-    def encode(cls, points: DataFrame, schedule: SplitSchedule, model: int = 0, path: str = "explode", tile_bits: int | None = None, law: str = "uniform") -> Codestream:
+    def encode(cls, points: DataFrame, schedule: SplitSchedule, model: int | str = 0, path: str = "explode", tile_bits: int | None = None, law: str = "uniform", lattice: str = "") -> Codestream:
+        """Code a set. ``model``: 0, 1, or "choose" for the cheaper one of each wave; ``law`` "choose" takes the law of the
+        smallest error half-way down. The tree is built once and written."""
+        from ..sources.shared import written
+        from .progressive import choose_law
         from .tree import count_tree
 
-        nodes = count_tree(points, schedule, path)
+        nodes = written(count_tree(points, schedule, path), "nodes")
         n = nodes.where("level = 0").agg(F.sum("cnt")).first()[0] or 0
         t = choose_tile_bits(nodes, schedule.q) if tile_bits is None else tile_bits
-        return cls(encode_tiles(nodes, schedule, t, model), make_header(n, schedule, t, model, law))
+        models = choose_models(nodes, schedule, t) if model == "choose" else [int(model)] * schedule.q
+        if law == "choose":
+            law = choose_law(points, schedule, schedule.q // 2) or "uniform"
+        return cls(encode_tiles(nodes, schedule, t, models), make_header(n, schedule, t, models, law, lattice))
+
+    @property
+    def schedule(self) -> SplitSchedule:
+        return schedule_of(self.header)
 
     def write(self, path: str, mode: str = "error") -> None:
-        self.df.repartition("wave").sortWithinPartitions("wave", "tile").write.mode(mode).partitionBy("wave").parquet(f"{path}/waves")
+        self.df.repartitionByRange("wave", "stage", "tile").sortWithinPartitions("wave", "stage", "tile").write.mode(mode).partitionBy("wave").parquet(f"{path}/waves")
         self.df.sparkSession.createDataFrame([(json.dumps(self.header),)], "header string").coalesce(1).write.mode(mode).text(f"{path}/header")
 
     @classmethod
     def read(cls, spark: SparkSession, path: str) -> Codestream:
         header = json.loads(spark.read.text(f"{path}/header").first()[0])
-        return cls(spark.read.schema("tile long, ord int, payload binary, n_sym long, n_bits double, wave int").parquet(f"{path}/waves"), header)
+        return cls(spark.read.schema("stage int, tile long, waves int, payload binary, n_sym long, n_bits double, wave int").parquet(f"{path}/waves"), header)
 
-    def cells(self, level: int | None = None, precision: int | None = None, ranges=None) -> DataFrame:
+    def cells(self, level: int | None = None, precision: int | None = None, ranges=None, boxes: list[Box] | None = None) -> DataFrame:
         if precision is not None:
-            level = schedule_of(self.header).level_of_precision(precision)
+            level = self.schedule.level_of_precision(precision)
+        if boxes is not None:
+            ranges = [r for b in boxes for r in b.to_ranges(self.schedule)]
         return decode_tiles(self.df, self.header, level, ranges)
 
+    def points(self, level: int | None = None, law: str | None = None, **which) -> DataFrame:
+        """One row a point: exact at the last level, else placed in its cell by the header's law or the one given."""
+        from .progressive import synthesise
+
+        law = law or self.header["law"]
+        return synthesise(self.cells(level, **which), self.schedule, "regular" if law == "centre" else law)
+
     def sizes(self) -> DataFrame:
+        """(wave, bytes, n_sym, ideal_bits) by first wave of a band."""
         return self.df.groupBy("wave").agg(F.sum(F.length("payload")).alias("bytes"), F.sum("n_sym").alias("n_sym"), F.round(F.sum("n_bits"), 3).alias("ideal_bits"))
+
+    def coded(self) -> DataFrame:
+        """One row: payload and header bytes, ideal uniform bits, number of payloads."""
+        header = len(json.dumps(self.header, separators=(",", ":")))
+        return self.df.agg(F.coalesce(F.sum(F.length("payload")), F.lit(0)).cast("long").alias("payload_bytes"), F.lit(header).cast("long").alias("header_bytes"), F.round(F.coalesce(F.sum("n_bits"), F.lit(0.0)), 3).alias("uniform_bits"), F.count(F.lit(1)).alias("payloads"))
+
+    def rate_curve(self, nodes: DataFrame) -> DataFrame:
+        from .codelen import rate_curve
+
+        return rate_curve(nodes, self.schedule)
+
+
+class PointCodec:
+    """What a stream is coded with: lattice, schedule, model, law, points a tile holds."""
+
+    def __init__(self, spec, schedule: SplitSchedule, model: int | str = "choose", law: str = "uniform", tile_cap: int = 2_000_000):
+        self.spec, self.schedule, self.model, self.law, self.tile_cap = spec, schedule, model, law, tile_cap
+
+    def _points(self, df: DataFrame) -> DataFrame:
+        from ..functions.lattice import to_lattice
+
+        return df if self.spec is None else to_lattice(df, self.spec)
+
+    def nodes(self, df: DataFrame, path: str = "sweep") -> DataFrame:
+        from .tree import count_tree
+
+        return count_tree(self._points(df), self.schedule, path)
+
+    def symbols(self, df: DataFrame, order: str = "breadth") -> DataFrame:
+        from .tree import symbol_stream
+
+        return symbol_stream(self.nodes(df), self.schedule.q, order)
+
+    def encode(self, df: DataFrame, path: str = "sweep") -> Codestream:
+        lattice = "" if self.spec is None else self.spec.to_json()
+        nodes = self.nodes(df, path)
+        return Codestream.encode(self._points(df), self.schedule, self.model, path, choose_tile_bits(nodes, self.schedule.q, self.tile_cap), self.law, lattice)
+
+    def cost(self, df: DataFrame) -> DataFrame:
+        from .codelen import summary
+
+        return summary(self.nodes(df), self.schedule.q)

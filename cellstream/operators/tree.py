@@ -1,9 +1,10 @@
 """The count tree: a row per non-empty divisible cell with its points and those in its lower half.
 
 Three physical paths give the same rows. ``explode`` lists the cells of each distinct key and aggregates them, with partial
-sums before its one exchange, so heavy cells do not skew it. ``cascade`` folds level l + 1 into level l. ``sweep`` is
-the path for very large inputs: keys are range-partitioned (by sampled bounds, so evenly), each Arrow batch of sorted keys
-gives its inner cells at once, and only the cells that cross a batch border, at most two a level, meet in an aggregate.
+sums before its one exchange, so heavy cells do not skew it. ``cascade`` folds level l + 1 into level l behind one exchange, for sets
+whose keys spread evenly over their first bits (a subtree is one task). ``sweep`` is the path for very large inputs: keys are
+range-partitioned (by sampled bounds, so evenly), each Arrow batch of sorted keys gives its inner cells at once, and only the
+cells that cross a batch border, at most two a level and batch, meet in an aggregate.
 """
 
 from __future__ import annotations
@@ -47,17 +48,35 @@ def _explode(leaves: DataFrame, schedule: SplitSchedule) -> DataFrame:
     return rows.groupBy("level", prefix.alias("prefix")).agg(F.sum("m").alias("cnt"), F.sum(F.when(low, F.col("m")).otherwise(0)).alias("left_cnt"))
 
 
-def _cascade(leaves: DataFrame, schedule: SplitSchedule) -> DataFrame:
-    """Partitioned once by a short prefix; every deeper fold stays in its partition."""
-    q, out = schedule.q, None
-    cells = leaves.withColumnRenamed("key", "prefix")
-    for level in range(q - 1, -1, -1):
-        low = F.col("prefix").bitwiseAND(F.lit(1).cast("long")) == 0
-        folded = cells.groupBy(F.shiftright("prefix", 1).alias("prefix")).agg(F.sum("m").alias("m"), F.sum(F.when(low, F.col("m")).otherwise(0)).alias("left_cnt"))
-        rows = folded.select(F.lit(level).alias("level"), "prefix", F.col("m").alias("cnt"), "left_cnt")
-        out = rows if out is None else out.unionByName(rows)
-        cells = folded.select("prefix", "m")
-    return out if out is not None else leaves.sparkSession.createDataFrame([], NODE)
+def _cascade(leaves: DataFrame, schedule: SplitSchedule, local: int = 12) -> DataFrame:
+    """Folds level l + 1 into level l. Cells deeper than ``local`` meet in one exchange by their prefix of ``local`` bits and
+    are folded there; the levels above are folds of the at most 2**local cells that come out."""
+    q = schedule.q
+    if not q:
+        return leaves.sparkSession.createDataFrame([], NODE)
+    top = min(local, q)
+
+    def fold(table: pa.Table) -> pa.Table:
+        prefix, m = table.column("key").to_numpy(), table.column("m").to_numpy()
+        order = np.argsort(prefix, kind="stable")
+        prefix, m = prefix[order], m[order]
+        out = []
+        for level in range(q - 1, top - 1, -1):
+            starts = np.flatnonzero(np.concatenate([[True], prefix[1:] >> 1 != prefix[:-1] >> 1]))
+            low = np.where(prefix & 1, 0, m)
+            out.append((np.full(len(starts), level, np.int32), prefix[starts] >> 1, np.add.reduceat(m, starts), np.add.reduceat(low, starts)))
+            prefix, m = out[-1][1], out[-1][2]
+        # The cell itself, as a leaf of the levels above.
+        out.append((np.full(len(prefix), q, np.int32), prefix, m, np.zeros(len(m), np.int64)))
+        return pa.table(dict(zip(("level", "prefix", "cnt", "left_cnt"), map(np.concatenate, zip(*out, strict=True)), strict=True)))
+
+    own = F.shiftright("key", q - top)
+    deep = leaves.withColumn("own", own).groupBy("own").applyInArrow(fold, NODE)
+    # At most 2**local rows, exploded over fewer than ``local`` levels.
+    cells = deep.where(F.col("level") == q).select("prefix", "cnt", F.explode(F.sequence(F.lit(0), F.lit(top - 1))).alias("level"))
+    prefix, low = _cells(top, F.col("prefix"), F.col("level"))
+    upper = cells.groupBy("level", prefix.alias("prefix")).agg(F.sum("cnt").alias("cnt"), F.sum(F.when(low, F.col("cnt")).otherwise(0)).alias("left_cnt"))
+    return deep.where(F.col("level") < q).unionByName(upper)
 
 
 def _sweep(leaves: DataFrame, schedule: SplitSchedule) -> DataFrame:
@@ -85,9 +104,13 @@ def _sweep(leaves: DataFrame, schedule: SplitSchedule) -> DataFrame:
 
     if not q:
         return leaves.sparkSession.createDataFrame([], NODE)
-    swept = leaves.repartitionByRange("key").sortWithinPartitions("key").select("key", "m").mapInArrow(sweep, NODE + ", border boolean")
-    # One aggregate: inner cells are alone in their group, so partial sums only merge border cells.
-    return swept.groupBy("level", "prefix").agg(F.sum("cnt").alias("cnt"), F.sum("left_cnt").alias("left_cnt"))
+    from ..sources.shared import written
+
+    # Written, since both parts below read it.
+    swept = written(leaves.repartitionByRange("key").sortWithinPartitions("key").select("key", "m").mapInArrow(sweep, NODE + ", border boolean"), "sweep")
+    inner = swept.where("not border").select("level", "prefix", "cnt", "left_cnt")
+    met = swept.where("border").groupBy("level", "prefix").agg(F.sum("cnt").alias("cnt"), F.sum("left_cnt").alias("left_cnt"))
+    return inner.unionByName(met)
 
 
 def wide_tree(points: DataFrame, schedule: SplitSchedule) -> DataFrame:

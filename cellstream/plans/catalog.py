@@ -80,7 +80,20 @@ def _halves(s, d):
 
 
 add("merge_two_halves", _halves, CATALOG["tree_3d_events"][1])
-add("stream_header", lambda s, d: nodes_of(_EV)(s, d).where("level = 0").select(F.lit(1).alias("version"), F.col("cnt").alias("n"), F.lit(_EV.schedule().q).alias("q"), F.lit("uniform").alias("law")), "SELECT 1 AS version, count(*) AS n, 43 AS q, 'uniform' AS law FROM events")
+
+
+def _header(s, d):
+    """The header that a written codestream is read back with."""
+    from ..sources.shared import fresh
+
+    lat = LATTICES["object_orders"]
+    place = fresh(s, "codestream")
+    Codestream.encode(lat.points(s, d), lat.schedule(), tile_bits=4).write(place)
+    h = Codestream.read(s, place).header
+    return s.createDataFrame([(h["version"], h["n"], h["q"], h["tile_bits"], " ".join(map(str, h["bits"])), " ".join(map(str, h["axes"])), sum(h["models"]), h["law"])], "version int, n long, q int, tile_bits int, bits string, axes string, predicted_waves int, law string")
+
+
+add("stream_header", _header, "SELECT 2 AS version, count(*) AS n, 24 AS q, 4 AS tile_bits, '8 8 8' AS bits, trim(repeat('0 1 2 ', 8)) AS axes, 0 AS predicted_waves, 'uniform' AS law FROM orders")
 
 
 def _nation(s, d):
@@ -175,12 +188,26 @@ add("roundtrip_orders", _roundtrip(LATTICES["plane"]), "SELECT 0 AS lost, 0 AS m
 add("stream_sizes", lambda s, d: Codestream.encode(LATTICES["object_orders"].points(s, d), LATTICES["object_orders"].schedule(), tile_bits=4).sizes(), None)
 
 
+_CODED_TILES = {"events": 4, "lineitem": 4, "smooth": 0, "terrain": 0}
+
+
+def _coded_rows(names, s, d, model="choose"):
+    """(name, payload_bytes, header_bytes, uniform_bits, payloads) of real codestreams, tiles as small as the queries use."""
+    out = None
+    for name in names:
+        lat = LATTICES[name]
+        row = Codestream.encode(lat.points(s, d), lat.schedule(), model, tile_bits=_CODED_TILES.get(name, 2)).coded().select(F.lit(name).alias("name"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def _overhead(s, d):
-    sizes = Codestream.encode(_EV.points(s, d), _EV.schedule(), tile_bits=4).df
-    return sizes.agg((F.sum(F.length("payload")) * 8 <= F.sum("n_bits") * 1.001 + F.count(F.lit(1)) * 88).alias("within_bound"))
+    """Whether payloads of the uniform model are within 2 % of the ideal bits and four bytes a payload, never below it."""
+    rows = _coded_rows((*TERRAIN, *OBJECTS), s, d, 0)
+    return rows.select("name", ((F.col("payload_bytes") * 8 <= F.col("uniform_bits") * 1.02 + 32 * F.col("payloads")) & (F.col("payload_bytes") * 8 >= F.col("uniform_bits"))).alias("within_bound"))
 
 
-add("coder_overhead_check", _overhead, "SELECT TRUE AS within_bound")
+add("coder_overhead_check", _overhead, " UNION ALL ".join(f"SELECT '{n}' AS name, TRUE AS within_bound" for n in (*TERRAIN, *OBJECTS)))
 
 
 def _frontier(s, d):
@@ -266,6 +293,49 @@ add("ablation_matrix", lambda s, d: _table(("smooth", "object_orders", "object_p
 _SWEEP = ("embedding2", "embedding4", "plane", "events", "lineitem", "attributes")
 add("dimension_sweep", lambda s, d: _table(_SWEEP)(s, d).select("name", "n", "q_ratio", "cf"), _table_sql(_SWEEP, "name, n, q_ratio, cf"))
 add("suite_totals", lambda s, d: _table(OBJECTS)(s, d).rollup("name").agg(F.sum("n").alias("n"), F.sum("source_bytes").alias("source_bytes"), F.sum("ideal_bytes").alias("ideal_bytes")), f"SELECT name, CAST(sum(n) AS BIGINT) AS n, CAST(sum(source_bytes) AS BIGINT) AS source_bytes, CAST(sum(ideal_bytes) AS BIGINT) AS ideal_bytes FROM ({_table_sql(OBJECTS)}) x GROUP BY ROLLUP (name)")
+
+
+def _coded_table(names):
+    """Bytes of coded files beside the ideal ones: payload and header, bits a point and factor of both together."""
+
+    def run(s, d):
+        coded, ideal = _coded_rows(names, s, d), _table(names)(s, d).select("name", "n", "source_bytes", "ideal_bytes", "theor_cf")
+        both_ = coded.join(F.broadcast(ideal), "name").withColumn("coded_bytes", F.col("payload_bytes") + F.col("header_bytes"))
+        return both_.select("name", "n", "source_bytes", "ideal_bytes", "payload_bytes", "header_bytes", "coded_bytes", F.round(F.col("coded_bytes") * 8 / F.col("n"), 3).alias("bpv"), F.round(F.col("source_bytes") / F.col("coded_bytes"), 4).alias("cf"), "theor_cf")
+
+    return run
+
+
+def _coded_progress(s, d):
+    """Bytes that must have arrived for each precision: bands up to its last wave, and the header."""
+    out = None
+    for name in ("smooth", "terrain"):
+        lat = LATTICES[name]
+        sch = lat.schedule()
+        stream = Codestream.encode(lat.points(s, d), sch, "choose", tile_bits=0)
+        head = stream.coded().select("header_bytes")
+        ends = s.createDataFrame([(r, sch.level_of_precision(r)) for r in range(6, 11)], "precision int, level int")
+        size = written(stream.df.select("wave", F.length("payload").alias("b")), "bands")
+        got = ends.join(size, size["wave"] < ends["level"]).groupBy("precision").agg(F.sum("b").alias("payload_bytes")).crossJoin(head)
+        n = lat.points(s, d).agg(F.count(F.lit(1)).alias("n"))
+        row = got.crossJoin(n).select(F.lit(name).alias("name"), "precision", "payload_bytes", F.round((F.col("payload_bytes") + F.col("header_bytes")) * 8 / F.col("n"), 3).alias("bpv"), F.round(F.col("n") * sch.q / 8 / (F.col("payload_bytes") + F.col("header_bytes")), 4).alias("cf"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _coded_gain(s, d):
+    """What the prediction gains in payload bytes, all waves predicted and the cheaper model for each wave; both signs."""
+    names = (*TERRAIN, *OBJECTS)
+    parts = [_coded_rows(names, s, d, m).select("name", F.col("payload_bytes").alias(c)) for m, c in ((0, "uniform"), (1, "predicted"), ("choose", "chosen"))]
+    row = parts[0].join(parts[1], "name").join(parts[2], "name")
+    return row.select("name", "uniform", "predicted", "chosen", *[F.round((1 - F.col(c) / F.col("uniform")) * 100, 2).alias(f"gain_{c}") for c in ("predicted", "chosen")])
+
+
+add("exp_terrain_table_coded", _coded_table(TERRAIN), None)
+add("exp_object_table_coded", _coded_table(OBJECTS), None)
+add("suite_totals_coded", lambda s, d: _coded_table(OBJECTS)(s, d).rollup("name").agg(F.sum("n").alias("n"), F.sum("source_bytes").alias("source_bytes"), F.sum("coded_bytes").alias("coded_bytes")), None)
+add("exp_progressive_coded", _coded_progress, None)
+add("prediction_gain_coded", _coded_gain, None)
 _NQ = [(120_998, 43), (908_907, 43), (3_721, 26), (1_000, 24), (1 << 20, 64)]
 add("theory_table", lambda s, d: s.createDataFrame([(n, q, round(theory.separation_bits(n), 3), round(theory.localisation_bits(n, q), 3), round(theory.total_bits(n, q), 3), round(theory.gain(n), 4), round(theory.gain(n, False), 4), round(theory.factor(n, q), 4), theory.source_bytes(n, q)) for n, q in _NQ], "n long, q int, separation double, localisation double, total double, gain double, integer_gain double, factor double, source_bytes long"), "SELECT n, q, round(2.402::DOUBLE * n, 3) AS separation, round(n * (q - log2(n)), 3) AS localisation, round(n * (q - log2(n) + 2.402::DOUBLE), 3) AS total, round(log2(n) - 2.402::DOUBLE, 4) AS gain, round(log2(n) - 3, 4) AS integer_gain, round(q / (q - log2(n) + 2.402::DOUBLE), 4) AS factor, CAST(ceil(n * q / 8.0) AS BIGINT) AS source_bytes FROM (VALUES " + ", ".join(map(str, _NQ)) + ") AS t(n, q)")
 for _name in ("uniform", "events", "smooth"):
@@ -353,9 +423,13 @@ _near = lambda axis, sign: " + ".join(f"coalesce((SELECT m.cnt FROM node m WHERE
 add("neighbours_moore2d", lambda s, d: tree.with_coordinates(predict.neighbour_counts(nodes_of(_PL)(s, d), _PL.schedule(), shape="moore"), _PL.schedule()), f"{sql.tree(_PL)} SELECT level, c0, c1, cnt, left_cnt, CAST(CASE s WHEN 0 THEN {_near(0, -1)} ELSE {_near(1, -1)} END AS DOUBLE) AS nb_left, CAST(CASE s WHEN 0 THEN {_near(0, 1)} ELSE {_near(1, 1)} END AS DOUBLE) AS nb_right FROM node n")
 
 
+#: prediction_gain_coded has all lattices, in bytes.
+_GAINED = ("smooth", "terrain", *OBJECTS)
+
+
 def _gains(s, d):
     out = None
-    for name in ("smooth", "terrain", "object_orders", "object_part"):
+    for name in _GAINED:
         lat = LATTICES[name]
         context = predict.neighbour_counts(nodes_of(lat)(s, d), lat.schedule())
         fixed = predict.predicted_cost(context).agg(F.sum("uniform_bits").alias("u"), F.sum("predicted_bits").alias("p"))
@@ -372,7 +446,7 @@ def _gain_sql(name: str) -> str:
     return f"SELECT * FROM ({sql.neighbours(LATTICES[name])}, per AS (SELECT level, {sums}, {fixed} FROM ctx GROUP BY level) SELECT '{name}' AS name, round((1 - sum(p) / sum(m0)) * 100, 1) AS gain_fixed, round((1 - sum(least({', '.join(f'm{k}' for k in costs)})) / sum(m0)) * 100, 1) AS gain_per_wave FROM per) t"
 
 
-add("prediction_gain", _gains, " UNION ALL ".join(_gain_sql(n) for n in ("smooth", "terrain", "object_orders", "object_part")))
+add("prediction_gain", _gains, " UNION ALL ".join(map(_gain_sql, _GAINED)))
 _MODELS = ["log2(cnt + 1)", *(sql.gaussian(c, sh) for c, sh in predict.GRID)]
 _BEST = f"least({', '.join(f'm{k}' for k in range(len(_MODELS)))})"
 _MODEL_SQL = f"{sql.neighbours(_TS)}, per AS (SELECT level, {', '.join(f'round(sum({e}), 3) AS m{k}' for k, e in enumerate(_MODELS))} FROM ctx GROUP BY level) SELECT level, CASE {' '.join(f'WHEN m{k} = {_BEST} THEN {k}' for k in range(len(_MODELS)))} END AS model, round({_BEST}, 2) AS bits FROM per"
@@ -419,17 +493,22 @@ def _contexts(s, d):
 add("context_order_ablation", _contexts, " UNION ALL ".join(f"SELECT * FROM ({sql.neighbours(_TS, k, w)} SELECT {k} AS k, '{w}' AS weights, round((1 - sum({sql.gaussian(0.5, 16.0)}) / sum(log2(cnt + 1))) * 100, 1) AS gain FROM ctx) t" for k, w in ((1, "1/dist"), (2, "1/dist"), (3, "1/dist"), (3, "geometric"))))
 
 
+_VARIED = ("smooth", "terrain", "object_orders", "object_part")
+
+
 def _density(s, d):
+    """How unequal the cells of the middle wave are, beside what the prediction gains over all waves."""
     out = None
-    for name in ("smooth", "terrain", "object_orders"):
+    for name in _VARIED:
         lat = LATTICES[name]
-        mid = lat.schedule().q // 2
-        row = nodes_of(lat)(s, d).where(F.col("level") == mid).agg(F.lit(name).alias("name"), F.round(F.stddev_samp("cnt") / F.avg("cnt"), 4).alias("cv"))
+        nodes = nodes_of(lat)(s, d)
+        cost = predict.predicted_cost(predict.neighbour_counts(nodes, lat.schedule())).agg(F.round((1 - F.sum("predicted_bits") / F.sum("uniform_bits")) * 100, 1).alias("gain"))
+        row = nodes.where(F.col("level") == lat.schedule().q // 2).agg(F.lit(name).alias("name"), F.round(F.stddev_samp("cnt") / F.avg("cnt"), 4).alias("cv")).crossJoin(cost)
         out = row if out is None else out.unionByName(row)
     return out
 
 
-add("gain_vs_density", _density, " UNION ALL ".join(f"SELECT * FROM ({sql.tree(LATTICES[n])} SELECT '{n}' AS name, round(stddev_samp(cnt) / avg(cnt), 4) AS cv FROM node WHERE level = {LATTICES[n].schedule().q // 2}) t" for n in ("smooth", "terrain", "object_orders")))
+add("gain_vs_density", _density, " UNION ALL ".join(f"SELECT * FROM ({sql.neighbours(LATTICES[n])} SELECT '{n}' AS name, (SELECT round(stddev_samp(cnt) / avg(cnt), 4) FROM node WHERE level = {LATTICES[n].schedule().q // 2}) AS cv, round((1 - sum({sql.gaussian(0.5, 16.0)}) / sum(log2(cnt + 1))) * 100, 1) AS gain FROM ctx) t" for n in _VARIED))
 
 # Regions, distortion, laws ------------------------------------------------------------------------------------------------------------
 _BOXES = [[(1_000_000, 1_014_400), (0, 5_000), (0, 7)], [(2_000_000, 2_300_000), (1_000, 20_000), (2, 3)]]
@@ -609,66 +688,99 @@ def _windowed(kind, extra):
         ev = trees.with_time(s.read.parquet(f"{d}/events.parquet"))
         code = F.element_at(F.create_map(*[x for k, t in enumerate(("click", "error", "purchase", "signup", "view")) for x in (F.lit(t), F.lit(k).cast("long"))]), F.col("event_type"))
         pts = ev.select("ts", "user_id", F.round(F.col("value") * 100).cast("long").alias("a0"), code.alias("a1"))
-        cells = trees.windowed_tree(pts, _SCH2, trees.window_of(kind), keys.cell_key(_SCH2), 6, extra)
+        cells = trees.windowed_tree(pts, _SCH2, trees.window_of(kind), keys.cell_key(_SCH2), _SCH2.q, extra)
         return cells.groupBy(*(extra or []), "level", F.col("start").cast("timestamp_ntz").alias("start")).agg(F.count(F.lit(1)).alias("cells"), F.sum("cnt").alias("points"))
 
     return run
 
 
-_W0 = f"WITH ev AS (SELECT ts, user_id, CAST(round(value * 100) AS BIGINT) AS a0, {LATTICES['events'].axes[2][0]} AS a1 FROM events), s2(level, r0, r1) AS (VALUES " + ", ".join(str((lv, 16 - _SCH2.used(lv)[0], 3 - _SCH2.used(lv)[1])) for lv in range(7)) + ")"
+_W0 = f"WITH ev AS (SELECT ts, user_id, CAST(round(value * 100) AS BIGINT) AS a0, {LATTICES['events'].axes[2][0]} AS a1 FROM events), s2(level, r0, r1) AS (VALUES " + ", ".join(str((lv, 16 - _SCH2.used(lv)[0], 3 - _SCH2.used(lv)[1])) for lv in range(_SCH2.q + 1)) + ")"
 _WC = "c AS (SELECT {x}start, level, a0 >> r0 AS c0, a1 >> r1 AS c1, count(*) AS cnt FROM w CROSS JOIN s2 GROUP BY ALL) SELECT {x}level, start, count(*) AS cells, CAST(sum(cnt) AS BIGINT) AS points FROM c GROUP BY ALL"
 add("tumbling_trees", _windowed("tumbling", None), f"{_W0}, w AS (SELECT *, date_trunc('day', ts) AS start FROM ev), {_WC.format(x='')}".replace("date_trunc('day', ts)", "CAST(date_trunc('day', ts) AS TIMESTAMP)"))
 add("sliding_trees", _windowed("sliding", None), f"{_W0}, w AS (SELECT ev.*, time_bucket(INTERVAL '12 hours', ts, TIMESTAMP '2024-01-01') - k * INTERVAL '12 hours' AS start FROM ev CROSS JOIN (VALUES (0), (1)) AS kk(k)), {_WC.format(x='')}")
 add("session_trees", _windowed("session", ["user_id"]), f"{_W0}, o AS (SELECT *, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL '30 minutes' > ts THEN 0 ELSE 1 END AS fresh FROM ev), n AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM o), w AS (SELECT *, min(ts) OVER (PARTITION BY user_id, sid) AS start FROM n), {_WC.format(x='user_id, ')}")
 
 
-# Relational operators around the methods: one text, both engines -----------------------------------------------------------------------------
-def both(name: str, tables: tuple[str, ...], text: str, duck: str | None = None) -> None:
-    marked = text
-    for t in tables:
-        marked = marked.replace(f"[{t}]", f"{{{t}}}")
-    plain = duck or text
+# Relational operators around the methods: one text for both engines, over trees and points that each builds its own way --------------------
+def _tree_text(lat: Lattice) -> str:
+    return f"({sql.tree(lat)} SELECT level, {sql.axes_of(lat)}, cnt, left_cnt FROM node)"
+
+
+def _table_of(kind: str, lat: Lattice | None):
+    """A table by kind: the nodes or points of a lattice, or its schedule; for Spark and for DuckDB."""
+    if kind == "sch":
+        rows = lat.schedule().rows()
+        return lambda s, d: s.createDataFrame(rows, "level int, axis int, bit int"), f"(SELECT * FROM (VALUES {', '.join(map(str, rows))}) AS v(level, axis, bit))"
+    if kind == "pts":
+        return lat.points, f"({lat.duck()})"
+    return lambda s, d: tree.with_coordinates(nodes_of(lat)(s, d), lat.schedule()), _tree_text(lat)
+
+
+_CUST, _CLICK, _VIEW = (LATTICES[f"object_{k}"] for k in ("customer", "click", "view"))
+#: Names that the texts below may use in brackets.
+_TABLES = {
+    "node": _table_of("node", _CUST), "sch": _table_of("sch", _CUST), "pts": _table_of("pts", _CUST), "click": _table_of("node", _CLICK), "view": _table_of("node", _VIEW),
+    "click_pts": _table_of("pts", _CLICK), "view_pts": _table_of("pts", _VIEW), "days": _table_of("pts", LATTICES["line_days"]), "event_pts": _table_of("pts", _EV),
+}
+
+
+def over(name: str, text: str, duck: str | None = None) -> None:
+    used = [t for t in _TABLES if f"[{t}]" in text]
+    marked, plain = text, duck or text
+    for t in used:
+        marked, plain = marked.replace(f"[{t}]", f"{{{t}}}"), plain.replace(f"[{t}]", _TABLES[t][1])
+    add(name, lambda s, d: s.sql(marked, **{t: _TABLES[t][0](s, d) for t in used}), plain)
+
+
+def both(name: str, tables: tuple[str, ...], text: str, duck: str) -> None:
+    """Scalar functions on raw columns."""
+    marked, plain = text, duck
     for t in tables:
-        plain = plain.replace(f"[{t}]", t)
-    add(name, lambda s, d, m=marked: s.sql(m, **{t: s.read.parquet(f"{d}/{t}.parquet") for t in tables}), plain)
-
-
-_C = "CAST(floor(o_totalprice / 1000) AS BIGINT)"
-both("filter_box", ("lineitem",), "SELECT l_orderkey, l_linenumber FROM [lineitem] WHERE l_quantity BETWEEN 10 AND 12 AND l_discount BETWEEN 0.02 AND 0.04")
-both("predicate_mix", ("part",), "SELECT p_partkey FROM [part] WHERE (p_name LIKE '%a%' OR p_brand IN ('Brand#12', 'Brand#23')) AND p_size IS NOT NULL AND NOT (p_size BETWEEN 10 AND 20)")
-both("join_cell_match", ("orders", "lineitem"), f"SELECT o.c AS cell, count(*) AS pairs FROM (SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1) o JOIN (SELECT CAST(floor(l_extendedprice / 1000) AS BIGINT) AS c FROM [lineitem]) l ON o.c = l.c GROUP BY o.c")
-both("join_parent_child", ("orders",), f"SELECT p.c AS cell, p.n AS cnt, max(k.n) AS largest_child FROM (SELECT {_C} DIV2 AS c, count(*) AS n FROM [orders] GROUP BY 1) p JOIN (SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1) k ON p.c = k.c DIV2 GROUP BY p.c, p.n".replace(" DIV2", " div 2"), f"SELECT p.c AS cell, p.n AS cnt, max(k.n) AS largest_child FROM (SELECT {_C} // 2 AS c, count(*) AS n FROM [orders] GROUP BY 1) p JOIN (SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1) k ON p.c = k.c // 2 GROUP BY p.c, p.n")
-both("schedule_join", ("nation", "region"), "SELECT n_name, r_name FROM [nation] JOIN [region] ON n_regionkey = r_regionkey")
-both("tree_diff", ("orders", "lineitem"), f"SELECT coalesce(a.c, b.c) AS cell, coalesce(a.n, 0) - coalesce(b.n, 0) AS diff FROM (SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1) a FULL OUTER JOIN (SELECT CAST(floor(l_extendedprice / 1000) AS BIGINT) AS c, count(*) AS n FROM [lineitem] GROUP BY 1) b ON a.c = b.c")
-both("roi_semi", ("orders", "customer"), "SELECT o_orderkey FROM [orders] o WHERE EXISTS (SELECT 1 FROM [customer] c WHERE c.c_custkey = o.o_custkey AND c.c_nationkey < 3)")
-both("empty_children_anti", ("orders", "customer"), "SELECT c_custkey FROM [customer] c WHERE NOT EXISTS (SELECT 1 FROM [orders] o WHERE o.o_custkey = c.c_custkey)")
-both("box_overlap_join", ("nation", "region"), "SELECT n_nationkey, r_regionkey FROM [nation] n JOIN [region] r ON n.n_nationkey BETWEEN r.r_regionkey * 4 AND r.r_regionkey * 4 + 7")
-both("bits_rollup", ("lineitem",), "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(log2(l_quantity + 1)), 3) AS bits FROM [lineitem] GROUP BY ROLLUP (l_returnflag, l_linestatus)")
-both("bits_cube", ("lineitem",), "SELECT l_returnflag, l_linestatus, count(*) AS n FROM [lineitem] GROUP BY CUBE (l_returnflag, l_linestatus)")
-both("bits_grouping_sets", ("lineitem",), "SELECT l_returnflag, l_linenumber, count(*) AS n FROM [lineitem] GROUP BY GROUPING SETS ((l_returnflag), (l_linenumber), ())")
-both("axis_stats", ("lineitem",), "SELECT l_returnflag, min(l_quantity) AS lo, max(l_quantity) AS hi, round(avg(l_quantity), 4) AS mean, round(stddev_samp(l_quantity), 4) AS sd, round(corr(l_quantity, l_extendedprice), 4) AS r FROM [lineitem] GROUP BY l_returnflag")
-both("axis_percentiles", ("events",), "SELECT event_type, round(percentile(value, 0.5), 4) AS p50, round(percentile(value, 0.9), 4) AS p90 FROM [events] GROUP BY event_type", "SELECT event_type, round(quantile_cont(value, 0.5), 4) AS p50, round(quantile_cont(value, 0.9), 4) AS p90 FROM [events] GROUP BY event_type")
-both("occupied_cells", ("orders",), f"SELECT count(DISTINCT {_C}) AS cells, count(DISTINCT o_custkey) AS customers FROM [orders]")
+        marked, plain = marked.replace(f"[{t}]", f"{{{t}}}"), plain.replace(f"[{t}]", t)
+    add(name, lambda s, d: s.sql(marked, **{t: s.read.parquet(f"{d}/{t}.parquet") for t in tables}), plain)
+
+
+_BITS = "log2(cnt + 1)"
+_PHASE = "CASE WHEN cnt > 1 THEN 'separation' ELSE 'localisation' END"
+_HALF = "CASE WHEN s.axis = {i} THEN {up}.c{i} * 2 + {h} ELSE {up}.c{i} END"
+_UP = " AND ".join(f"(k.c{i} >> CASE WHEN s.axis = {i} THEN 1 ELSE 0 END) = p.c{i}" for i in range(3))
+_LOW = " AND ".join(f"k.c{i} = " + _HALF.format(i=i, up="p", h=0) for i in range(3))
+over("filter_box", f"SELECT a0, a1, a2 FROM [event_pts] WHERE {' AND '.join(f'a{i} BETWEEN {a} AND {b}' for i, (a, b) in enumerate(_BOXES[1]))}")
+over("predicate_mix", "SELECT level, c0, c1, c2, cnt FROM [node] WHERE (level IN (3, 6, 9) OR cnt > 40) AND left_cnt IS NOT NULL AND NOT (left_cnt BETWEEN 1 AND 3) AND nullif(cnt, 2) IS NOT NULL")
+over("join_cell_match", "SELECT a.level, a.c0, a.c1, a.c2, a.cnt * b.cnt AS pairs FROM [click] a JOIN [view] b ON a.level = b.level AND a.c0 = b.c0 AND a.c1 = b.c1 AND a.c2 = b.c2")
+over("join_parent_child", f"SELECT p.level, p.c0, p.c1, p.c2, p.cnt, count(*) AS children, max(k.cnt) AS largest, p.cnt = sum(k.cnt) AS whole FROM [node] p JOIN [sch] s ON s.level = p.level JOIN [node] k ON k.level = p.level + 1 AND {_UP} GROUP BY p.level, p.c0, p.c1, p.c2, p.cnt")
+over("schedule_join", f"SELECT s.axis, count(*) AS nodes, round(sum({_BITS}), 3) AS bits FROM [node] n JOIN [sch] s ON n.level = s.level GROUP BY s.axis")
+over("tree_diff", "SELECT coalesce(a.level, b.level) AS level, coalesce(a.c0, b.c0) AS c0, coalesce(a.c1, b.c1) AS c1, coalesce(a.c2, b.c2) AS c2, coalesce(a.cnt, 0) - coalesce(b.cnt, 0) AS diff FROM [click] a FULL OUTER JOIN [view] b ON a.level = b.level AND a.c0 = b.c0 AND a.c1 = b.c1 AND a.c2 = b.c2")
+over("roi_semi", "SELECT p.a0, p.a1, p.a2 FROM [click_pts] p WHERE EXISTS (SELECT 1 FROM [view] v WHERE v.level = 9 AND v.cnt > 4 AND v.c0 = (p.a0 >> 5) AND v.c1 = (p.a1 >> 5) AND v.c2 = (p.a2 >> 5))")
+over("empty_children_anti", f"SELECT p.level, p.c0, p.c1, p.c2, p.left_cnt FROM (SELECT n.*, q.axis FROM [node] n JOIN [sch] q ON q.level = n.level WHERE n.level < 20) p WHERE NOT EXISTS (SELECT 1 FROM [node] k WHERE k.level = p.level + 1 AND {_LOW.replace('s.axis', 'p.axis')})")
+over("box_overlap_join", "SELECT b.box, count(*) AS cells, CAST(sum(n.cnt) AS BIGINT) AS points FROM (VALUES (0, 10, 60, 0, 100), (1, 50, 200, 90, 255), (2, 0, 255, 250, 255)) AS b(box, x0, x1, y0, y1) JOIN (SELECT * FROM [click] WHERE level = 12) n ON (n.c0 << 4) <= b.x1 AND ((n.c0 + 1) << 4) > b.x0 AND (n.c1 << 4) <= b.y1 AND ((n.c1 + 1) << 4) > b.y0 GROUP BY b.box")
+for _how in ("rollup", "cube"):
+    over(f"bits_{_how}", f"SELECT axis, phase, count(*) AS nodes, round(sum(bits), 3) AS bits FROM (SELECT s.axis, {_PHASE} AS phase, {_BITS} AS bits FROM [node] n JOIN [sch] s ON n.level = s.level) x GROUP BY {_how.upper()} (axis, phase)")
+over("bits_grouping_sets", f"SELECT level, phase, count(*) AS nodes, round(sum(bits), 3) AS bits FROM (SELECT level, {_PHASE} AS phase, {_BITS} AS bits FROM [node]) x GROUP BY GROUPING SETS ((level), (phase), ())")
+over("axis_stats", "SELECT a2, count(*) AS n, min(a0) AS lo, max(a0) AS hi, round(avg(a0), 4) AS mean, round(stddev_samp(a0), 4) AS sd, round(corr(a0, a1), 4) AS r FROM [event_pts] GROUP BY a2")
+over("axis_percentiles", "SELECT a2, round(percentile(a1, 0.5), 4) AS p50, round(percentile(a1, 0.9), 4) AS p90, round(median(a0), 4) AS mid FROM [event_pts] GROUP BY a2", "SELECT a2, round(quantile_cont(a1, 0.5), 4) AS p50, round(quantile_cont(a1, 0.9), 4) AS p90, round(median(a0), 4) AS mid FROM [event_pts] GROUP BY a2")
+over("occupied_cells", "SELECT level, count(*) AS cells, count(DISTINCT c0) AS columns, count(DISTINCT c2) AS layers FROM [node] GROUP BY level")
 add("occupied_cells_approx", lambda s, d: _EV.points(s, d).agg(F.approx_count_distinct(keys.cell_key(_EV.schedule()), 0.02).alias("cells")), None)
-both("rank_cells", ("orders",), f"SELECT c, n, rank() OVER (ORDER BY n DESC) AS rk, dense_rank() OVER (ORDER BY n DESC) AS dr, ntile(4) OVER (ORDER BY n, c) AS nt, round(percent_rank() OVER (ORDER BY n), 6) AS pr, round(cume_dist() OVER (ORDER BY n), 6) AS cd FROM (SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1) t")
-both("window_analytics", ("orders",), "SELECT o_orderkey, o_totalprice - lag(o_totalprice) OVER w AS d, lead(o_orderkey) OVER w AS nx, first_value(o_orderkey) OVER w AS fv FROM [orders] WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderkey)")
-both("topk_cells", ("orders",), f"SELECT {_C} AS c, count(*) AS n FROM [orders] GROUP BY 1 ORDER BY n DESC, c LIMIT 10")
-both("topk_offset", ("orders",), "SELECT o_orderkey, o_totalprice FROM [orders] ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 5")
-both("hash_sample", ("events",), "SELECT event_id FROM [events] WHERE (event_id * 48271) % 97 < 5")
-both("set_union", ("orders", "customer"), "SELECT o_custkey AS k FROM [orders] UNION SELECT c_custkey FROM [customer]")
-both("set_intersect", ("orders", "customer"), "SELECT o_custkey AS k FROM [orders] INTERSECT SELECT c_custkey FROM [customer]")
-both("set_except", ("orders", "customer"), "SELECT c_custkey AS k FROM [customer] EXCEPT SELECT o_custkey FROM [orders]")
-both("set_except_all", ("orders", "customer"), "SELECT o_custkey AS k FROM [orders] EXCEPT ALL SELECT c_custkey FROM [customer]")
-both("sql_exists_roi", ("lineitem", "part"), "SELECT count(*) AS n FROM [lineitem] l WHERE l_quantity > (SELECT avg(l_quantity) FROM [lineitem]) AND EXISTS (SELECT 1 FROM [part] p WHERE p.p_partkey = l.l_partkey AND p.p_size < 10)")
-both("sql_cte_tree", ("orders",), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c DIV2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level".replace(" DIV2", " div 2"), f"WITH RECURSIVE up(level, c) AS (SELECT 0, c FROM (SELECT DISTINCT {_C} AS c FROM [orders]) t UNION ALL SELECT level + 1, c // 2 FROM up WHERE level < 5) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level")
-both("bits_pivot", ("lineitem",), "SELECT * FROM (SELECT l_returnflag, l_linestatus, l_quantity FROM [lineitem]) PIVOT (count(l_quantity) FOR l_linestatus IN ('O' AS open_n, 'F' AS done_n))", "SELECT l_returnflag, count(l_quantity) FILTER (l_linestatus = 'O') AS open_n, count(l_quantity) FILTER (l_linestatus = 'F') AS done_n FROM [lineitem] GROUP BY l_returnflag")
-both("interval_containment", ("orders",), f"SELECT b.lo, count(*) AS n FROM (SELECT DISTINCT {_C} * 1000 AS lo FROM [orders] WHERE o_custkey < 50) b JOIN [orders] o ON {_C} * 1000 = b.lo AND o.o_totalprice >= b.lo AND o.o_totalprice < b.lo + 500 GROUP BY b.lo")
-# A wave above level 12 has 2048 symbols at most: its array is bounded whatever the data.
-add("wave_symbol_arrays", lambda s, d: tree.symbol_stream(nodes_of(_SMALL)(s, d), _SMALL.schedule().q).where("level < 12").groupBy("level").agg(F.concat_ws(" ", F.transform(F.array_sort(F.collect_list(F.struct("ord", "left_cnt"))), lambda x: x["left_cnt"].cast("string"))).alias("symbols")), f"{_symbols_sql(_SMALL, 'breadth')} SELECT level, string_agg(CAST(left_cnt AS VARCHAR), ' ' ORDER BY ord) AS symbols FROM sym WHERE level < 12 GROUP BY level")
+over("rank_cells", "SELECT level, c0, c1, c2, cnt, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY level ORDER BY cnt DESC, c0, c1, c2) AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM [node] WINDOW w AS (PARTITION BY level ORDER BY cnt DESC)")
+over("window_analytics", "SELECT level, c0, c1, c2, cnt - lag(cnt) OVER w AS d, lead(cnt) OVER w AS nx, first_value(cnt) OVER w AS fv, nth_value(cnt, 2) OVER w AS sv FROM [node] WINDOW w AS (PARTITION BY level ORDER BY c0, c1, c2)")
+over("topk_cells", "SELECT level, c0, c1, c2, cnt FROM [node] WHERE level = 12 ORDER BY cnt DESC, c0, c1, c2 LIMIT 10")
+over("topk_offset", "SELECT level, c0, c1, c2, cnt FROM [node] WHERE level = 12 ORDER BY cnt DESC, c0, c1, c2 LIMIT 10 OFFSET 5")
+over("hash_sample", "SELECT a0, a1, a2 FROM [event_pts] WHERE (a0 * 48271 + a1) % 97 < 5")
+over("set_union", "SELECT a0, a1 FROM [click_pts] UNION SELECT a0, a1 FROM [view_pts]")
+over("set_intersect", "SELECT a0 >> 2 AS x, a1 >> 2 AS y FROM [click_pts] INTERSECT SELECT a0 >> 2, a1 >> 2 FROM [view_pts]")
+over("set_except", "SELECT a0 >> 2 AS x, a1 >> 2 AS y FROM [click_pts] EXCEPT SELECT a0 >> 2, a1 >> 2 FROM [view_pts]")
+over("set_except_all", "SELECT a0 >> 4 AS x FROM [click_pts] EXCEPT ALL SELECT a0 >> 4 FROM [view_pts]")
+over("sql_exists_roi", "SELECT count(*) AS n, CAST(sum(cnt) AS BIGINT) AS points FROM [click] a WHERE level = 12 AND cnt > (SELECT avg(cnt) FROM [click] WHERE level = 12) AND EXISTS (SELECT 1 FROM [view] b WHERE b.level = 12 AND b.c0 = a.c0 AND b.c1 = a.c1 AND b.c2 = a.c2)")
+_REC = "WITH RECURSIVE up(level, c) AS (SELECT 12, c FROM (SELECT DISTINCT a0 AS c FROM [days]) t UNION ALL SELECT level - 1, c >> 1 FROM up WHERE level > 0) SELECT level, count(DISTINCT c) AS cells FROM up GROUP BY level"
+over("sql_cte_tree", _REC)
+over("bits_pivot", "SELECT * FROM (SELECT s.axis, n.level, n.cnt FROM [node] n JOIN [sch] s ON n.level = s.level) PIVOT (count(cnt) FOR axis IN (0 AS x, 1 AS y, 2 AS z))", "SELECT n.level, nullif(count(*) FILTER (s.axis = 0), 0) AS x, nullif(count(*) FILTER (s.axis = 1), 0) AS y, nullif(count(*) FILTER (s.axis = 2), 0) AS z FROM [node] n JOIN [sch] s ON n.level = s.level GROUP BY n.level")
+over("interval_containment", "SELECT n.c0 << 5 AS lo, count(*) AS points FROM (SELECT DISTINCT c0 FROM [click] WHERE level = 9) n JOIN [view_pts] p ON (p.a0 >> 5) = n.c0 AND p.a0 >= (n.c0 << 5) AND p.a0 < (n.c0 << 5) + 16 GROUP BY n.c0")
+over("lateral_levels", "SELECT x.level, x.cell, count(*) AS n FROM [days] p, LATERAL (SELECT v.level, p.a0 >> (12 - v.level) AS cell FROM (VALUES (0), (3), (6), (9), (12)) AS v(level)) x GROUP BY x.level, x.cell", "SELECT v.level, p.a0 >> (12 - v.level) AS cell, count(*) AS n FROM [days] p CROSS JOIN (VALUES (0), (3), (6), (9), (12)) AS v(level) GROUP BY 1, 2")
+over("bits_unpivot", "SELECT level, measure, total FROM (SELECT level, CAST(count(*) AS BIGINT) AS nodes, CAST(sum(left_cnt) AS BIGINT) AS lower, CAST(sum(cnt - left_cnt) AS BIGINT) AS upper FROM [node] GROUP BY level) UNPIVOT (total FOR measure IN (nodes, lower, upper))")
+over("fn_maps", "SELECT level, c0, c1, c2, element_at(m, 'lower') AS lower, size(m) AS n, array_join(array_sort(map_keys(m)), ',') AS names FROM (SELECT *, map_concat(map('lower', left_cnt), map_from_entries(array(struct('upper', cnt - left_cnt)))) AS m FROM [node]) t", "SELECT level, c0, c1, c2, m['lower'] AS lower, CAST(cardinality(m) AS INT) AS n, array_to_string(list_sort(map_keys(m)), ',') AS names FROM (SELECT *, map_concat(MAP {'lower': left_cnt}, map_from_entries([('upper', cnt - left_cnt)])) AS m FROM [node]) t")
+# A chunk has 1024 symbols of one wave at most, so its array is bounded whatever the data.
+add("wave_symbol_arrays", lambda s, d: tree.symbol_stream(nodes_of(_SMALL)(s, d), _SMALL.schedule().q).groupBy("level", F.floor(F.col("ord") / 1024).alias("chunk")).agg(F.concat_ws(" ", F.transform(F.array_sort(F.collect_list(F.struct("ord", "left_cnt"))), lambda x: x["left_cnt"].cast("string"))).alias("symbols")), f"{_symbols_sql(_SMALL, 'breadth')} SELECT level, ord // 1024 AS chunk, string_agg(CAST(left_cnt AS VARCHAR), ' ' ORDER BY ord) AS symbols FROM sym GROUP BY 1, 2")
 add("topk_costly_nodes", lambda s, d: tree.with_coordinates(nodes_of(_EV)(s, d).select("level", "prefix", "cnt", "left_cnt", F.round(F.log2(F.col("cnt") + 1), 3).alias("bits")).orderBy(F.desc("cnt"), "level", "prefix").limit(25), _EV.schedule()), f"{_symbols_sql(_EV, 'breadth')} SELECT level, {sql.axes_of(_EV)}, cnt, left_cnt, round(log2(cnt + 1), 3) AS bits FROM sym ORDER BY cnt DESC, level, k LIMIT 25")
-both("lateral_levels", ("orders",), f"SELECT level, cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o, LATERAL (SELECT level, o.c DIV2 AS cell FROM (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side)) x GROUP BY level, cell".replace("DIV2", "div side"), f"SELECT level, c // side AS cell, count(*) AS n FROM (SELECT {_C} AS c FROM [orders]) o CROSS JOIN (VALUES (0, 1), (1, 4), (2, 16), (3, 64)) AS v(level, side) GROUP BY level, cell")
-both("bits_unpivot", ("lineitem",), "SELECT l_returnflag, measure, total FROM (SELECT l_returnflag, CAST(sum(l_quantity) AS BIGINT) AS quantity, CAST(count(*) AS BIGINT) AS points FROM [lineitem] GROUP BY l_returnflag) UNPIVOT (total FOR measure IN (quantity, points))")
-both("fn_maps", ("orders",), "SELECT o_orderkey, element_at(m, 'status') AS status, size(m) AS n, array_join(array_sort(map_keys(m)), ',') AS names FROM (SELECT o_orderkey, map_concat(map('status', o_orderstatus), map_from_entries(array(struct('priority', o_orderpriority)))) AS m FROM [orders]) t", "SELECT o_orderkey, m['status'] AS status, CAST(cardinality(m) AS INT) AS n, array_to_string(list_sort(map_keys(m)), ',') AS names FROM (SELECT o_orderkey, map_concat(MAP {'status': o_orderstatus}, map_from_entries([('priority', o_orderpriority)])) AS m FROM orders) t")
 both("fn_ticks", ("events",), "SELECT event_id, datediff(ts, date'2024-01-01') AS days, CAST(hour(ts) AS INT) AS h, CAST(extract(minute FROM ts) AS INT) AS mi FROM [events]", "SELECT event_id, date_diff('day', DATE '2024-01-01', CAST(ts AS DATE)) AS days, hour(ts) AS h, minute(ts) AS mi FROM [events]")
 both("fn_json", ("events",), "SELECT event_id, CAST(get_json_object(props, '$.k') AS BIGINT) AS k FROM [events]", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM [events]")
 both("fn_arrays", ("embeddings",), "SELECT vec_id, size(embedding) AS n, size(filter(embedding, x -> x > 0)) AS pos, exists(embedding, x -> x > 0.3) AS far FROM [embeddings]", "SELECT vec_id, len(embedding) AS n, len(list_filter(embedding, lambda x: x > 0)) AS pos, len(list_filter(embedding, lambda x: x > 0.3)) > 0 AS far FROM [embeddings]")

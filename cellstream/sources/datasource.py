@@ -1,7 +1,9 @@
-"""``spark.read.format("cellstream")``: decoded cells of a codestream folder, a read split per tile.
+"""``spark.read.format("cellstream")``: decoded cells of a codestream folder, a read split per slice of the key space.
 
-Options: ``path``, ``level`` (default: all levels). Register with ``register(spark)``. The folder must be readable by
-pyarrow's file systems; through Spark's own readers use ``Codestream.read``.
+Options: ``path``, ``level`` (default: all levels), ``box`` (closed intervals, one an axis: "0:9,5:7"), ``slices`` (read splits, 64).
+The driver reads only the header. A split reads the payloads of the tiles that meet its slice, found by row-group
+statistics on (stage, tile), and decodes them from the root down. Register with ``register(spark)``. The folder must be
+readable by pyarrow's file systems; through Spark's own readers use ``Codestream.read``.
 """
 
 from __future__ import annotations
@@ -13,57 +15,81 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 SCHEMA = "level int, prefix long, cnt long"
 
 
-class _Tile(InputPartition):
-    def __init__(self, root: int, cnt: int):
-        self.root, self.cnt = root, cnt
+class _Slice(InputPartition):
+    def __init__(self, ranges: list[tuple[int, int]]):
+        self.ranges = ranges
 
 
 class _Reader(DataSourceReader):
     def __init__(self, options):
-        self._path, self._level = options["path"].removeprefix("file://"), options.get("level")
+        self._path, self._level, self._box = options["path"].removeprefix("file://"), options.get("level"), options.get("box")
+        self._slices = int(options.get("slices", 64))
 
-    def _load(self):
-        import pyarrow.dataset as ds
+    def _place(self):
         from pyarrow import fs
 
-        files, place = fs.FileSystem.from_uri(self._path) if "://" in self._path else (fs.LocalFileSystem(), self._path)
-        infos = [i for i in files.get_file_info(fs.FileSelector(f"{place}/header")) if i.base_name.startswith("part-")]
-        header = json.loads(files.open_input_stream(infos[0].path).read())
-        return header, ds.dataset(f"{place}/waves", filesystem=files, format="parquet", partitioning="hive")
-
-    def _target(self, header) -> int:
-        return header["q"] if self._level is None else int(self._level)
+        return fs.FileSystem.from_uri(self._path) if "://" in self._path else (fs.LocalFileSystem(), self._path)
 
-    def partitions(self):
-        import numpy as np
-        import pyarrow.dataset as ds
+    def _header(self) -> dict:
+        from pyarrow import fs
 
-        from ..operators.stream_codec import _split, decode_wave, schedule_of
+        files, place = self._place()
+        infos = [i for i in files.get_file_info(fs.FileSelector(f"{place}/header")) if i.base_name.startswith("part-")]
+        return json.loads(files.open_input_stream(infos[0].path).read())
 
-        header, waves = self._load()
-        t = min(header["tile_bits"], self._target(header))
-        prefix, cnt = np.zeros(1 if header["n"] else 0, np.int64), np.array([header["n"]] if header["n"] else [], np.int64)
-        rows = waves.to_table(filter=(ds.field("tile") == -1) & (ds.field("wave") < t)).to_pylist() if t else []
-        payloads = {r["wave"]: r["payload"] for r in rows}
-        for level in range(t if header["n"] else 0):
-            prefix, cnt = _split(prefix, cnt, decode_wave(prefix, cnt, level, schedule_of(header), header["model"], payloads[level]))
-        return [_Tile(int(p), int(c)) for p, c in zip(prefix, cnt, strict=True)]
+    def partitions(self):
+        from ..operators.stream_codec import Box, schedule_of
+
+        header = self._header()
+        if not header["n"]:
+            return []
+        whole = 1 << header["q"]
+        wanted = [(0, whole - 1)]
+        if self._box:
+            sides = [tuple(map(int, side.split(":"))) for side in self._box.split(",")]
+            wanted = Box(sides).to_ranges(schedule_of(header))
+        # Slices are whole tiles of the last stage, or whole cells of a coarser level, so that none is in two of them.
+        target = header["q"] if self._level is None else int(self._level)
+        tile = 1 << (header["q"] - min(target, header["tile_bits"]))
+        step = max(tile, -(-whole // self._slices // tile) * tile)
+        slices = []
+        for at in range(0, whole, step):
+            own = [(max(a, at), min(b, at + step - 1)) for a, b in wanted if a < at + step and b >= at]
+            if own:
+                slices.append(_Slice(own))
+        return slices
 
     def read(self, partition):
         import numpy as np
         import pyarrow.dataset as ds
 
-        from ..operators.stream_codec import _split, decode_wave, schedule_of
-
-        header, waves = self._load()
-        t, to = header["tile_bits"], self._target(header)
-        prefix, cnt = np.array([partition.root]), np.array([partition.cnt])
-        if to > t:
-            found = waves.to_table(filter=(ds.field("tile") == partition.root) & (ds.field("wave") < to)).to_pylist()
-            payloads = {r["wave"]: r["payload"] for r in found}
-            for level in range(t, to):
-                prefix, cnt = _split(prefix, cnt, decode_wave(prefix, cnt, level, schedule_of(header), header["model"], payloads[level]))
-        for p, c in zip(prefix.tolist(), cnt.tolist(), strict=True):
+        from ..operators.stream_codec import cuts, decode_bands, schedule_of
+
+        header = self._header()
+        files, place = self._place()
+        waves = ds.dataset(f"{place}/waves", filesystem=files, format="parquet", partitioning="hive")
+        schedule, q, to = schedule_of(header), header["q"], header["q"] if self._level is None else int(self._level)
+        prefix, cnt = np.zeros(1, np.int64), np.array([header["n"]], np.int64)
+        stages = [c for c in dict.fromkeys(cuts(header["tile_bits"])) if c < to]
+
+        def inside(level):
+            low, high = prefix << (q - level), ((prefix + 1) << (q - level)) - 1
+            return np.any([(low <= b) & (high >= a) for a, b in partition.ranges], axis=0)
+
+        for k, (first, last) in enumerate(zip(stages, [*stages[1:], to], strict=True)):
+            take = inside(first)
+            prefix, cnt = prefix[take], cnt[take]
+            if not len(prefix):
+                return
+            field = ds.field("tile")
+            rows = waves.to_table(filter=(ds.field("stage") == k) & (field >= int(prefix.min())) & (field <= int(prefix.max())) & (ds.field("wave") < last)).to_pylist()
+            bands: dict[int, list] = {}
+            for r in rows:
+                bands.setdefault(r["tile"], []).append((r["wave"], r["waves"], r["payload"]))
+            parts = [decode_bands(bands[int(p)], np.array([p]), np.array([c]), first, last, schedule, header["models"]) for p, c in zip(prefix, cnt, strict=True)]
+            prefix, cnt = np.concatenate([p for p, _ in parts]), np.concatenate([c for _, c in parts])
+        mine = inside(to)
+        for p, c in zip(prefix[mine].tolist(), cnt[mine].tolist(), strict=True):
             yield to, p, c
 
 

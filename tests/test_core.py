@@ -9,7 +9,7 @@ import pytest
 from cellstream.functions import keys, theory
 from cellstream.functions.lattice import AxisSpec, LatticeSpec, from_lattice, infer_lattice, to_lattice
 from cellstream.functions.schedule import SplitSchedule
-from cellstream.operators import arith, cell_order, codelen, predict, progressive, topology, tree
+from cellstream.operators import arith, cell_order, codelen, predict, progressive, stream_codec, topology, tree
 from cellstream.operators.stream_codec import Codestream
 from compare import compare
 from pyspark.sql import functions as F
@@ -33,8 +33,10 @@ def test_worked_example(spark, path):
     assert row["ideal_bits"] == 35.639 and row["integer_bits"] == 39 and row["touches"] == 54
 
 
-@pytest.mark.parametrize("model", [0, 1])
-@pytest.mark.parametrize("points,bits", [(F0, (3, 3)), ([(0, 0)], (3, 3)), ([(5, 5)] * 7, (3, 3)), ([(0, 0), (7, 7)], (3, 3)), ([(x, y) for x in range(4) for y in range(4)], (2, 2)), ([(1, 0)], (1, 0)), ([], (3, 3))])
+SETS = [(F0, (3, 3)), ([(0, 0)], (3, 3)), ([(5, 5)] * 7, (3, 3)), ([(0, 0), (7, 7)], (3, 3)), ([(x, y) for x in range(4) for y in range(4)], (2, 2)), ([(1, 0)], (1, 0)), ([], (3, 3))]
+
+
+@pytest.mark.parametrize("model,points,bits", [*[(0, *x) for x in SETS], (1, *SETS[0]), ("choose", *SETS[0]), ("choose", *SETS[6])])
 def test_codestream_round_trip(spark, tmp_path, model, points, bits):
     sch = SplitSchedule.round_robin(bits)
     stream = Codestream.encode(frame(spark, points), sch, model, tile_bits=min(2, sum(bits)))
@@ -55,10 +57,56 @@ def test_data_source(spark, tmp_path):
     from cellstream.sources.datasource import register
 
     register(spark)
-    Codestream.encode(frame(spark, F0), SplitSchedule.round_robin((3, 3)), tile_bits=2).write(str(tmp_path / "s"))
+    sch = SplitSchedule.round_robin((3, 3))
+    Codestream.encode(frame(spark, F0), sch, tile_bits=2).write(str(tmp_path / "s"))
+    read = lambda **o: spark.read.format("cellstream").options(path=str(tmp_path / "s"), **o).load()
     for level in (1, 4, 6):
-        got = spark.read.format("cellstream").option("path", str(tmp_path / "s")).option("level", level).load()
-        assert got.agg(F.sum("cnt")).first()[0] == 9
+        for slices in (1, 3, 64):
+            want = {tuple(r) for r in tree.cells_at(frame(spark, F0), sch, level).collect()}
+            assert sorted(map(tuple, read(level=level, slices=slices).collect())) == sorted(want)
+    got = tree.with_coordinates(read(box="0:2,1:5"), sch).collect()
+    assert sorted((r["c0"], r["c1"]) for r in got if r["c0"] <= 2 and 1 <= r["c1"] <= 5 for _ in range(r["cnt"])) == [(0, 1), (1, 1), (2, 5)]
+
+
+def test_stages_and_laws(spark, tmp_path):
+    """Tiles far below the root stand in stages; a region is decoded alone; the header's law places the points."""
+    rng = np.random.default_rng(5)
+    points = [(int(x), int(y)) for x, y in rng.integers(0, 1 << 20, (300, 2))] + [(7, 7)] * 40
+    sch = SplitSchedule.round_robin((20, 20))
+    stream = Codestream.encode(frame(spark, points), sch, "choose", tile_bits=34, law="choose")
+    stream.write(str(tmp_path / "s"))
+    stream = Codestream.read(spark, str(tmp_path / "s"))
+    assert stream_codec.cuts(34) == [0, 16, 32, 34] and stream.header["law"] in ("centre", "gaussian", "grid", "regular", "uniform")
+    for level in (3, 16, 20, 33, 36, 40):
+        assert {tuple(r) for r in stream.cells(level).collect()} == {tuple(r) for r in tree.cells_at(frame(spark, points), sch, level).collect()}
+    box = stream_codec.Box([(0, 1 << 18), (5, 1 << 19)])
+    got = tree.with_coordinates(stream.cells(boxes=[box]), sch).where(box.holds(["c0", "c1"]))
+    assert sorted((r["c0"], r["c1"]) for r in got.collect() for _ in range(r["cnt"])) == sorted(p for p in points if p[0] <= 1 << 18 and 5 <= p[1] <= 1 << 19)
+    made = stream.points(20)
+    assert {tuple(r) for r in tree.cells_at(made, sch, 20).collect()} == {tuple(r) for r in stream.cells(20).collect()}
+    codec = stream_codec.PointCodec(None, sch)
+    assert codec.encode(frame(spark, points)).cells().agg(F.sum("cnt")).first()[0] == 340 and codec.cost(frame(spark, points)).first()["n"] == 340
+
+
+def test_payloads_are_near_the_ideal(spark):
+    """Payload bytes within 2 % of the ideal bits plus four bytes a tile, and the predicted cost is what the coder pays."""
+    rng = np.random.default_rng(6)
+    points = [tuple(map(int, p)) for p in np.clip(rng.normal(500, 90, (4000, 2)), 0, 1023)]
+    sch = SplitSchedule.round_robin((10, 10))
+    nodes = tree.count_tree(frame(spark, points), sch)
+    for t in (0, 4):
+        tiles = nodes.where(f"level = {t}").count() + (t > 0)
+        for model, cost in ((0, "uniform_bits"), (1, "predicted_bits"), ("choose", None)):
+            row = Codestream.encode(frame(spark, points), sch, model, tile_bits=t).coded().first()
+            costs = stream_codec.wave_costs(nodes, sch, t).collect()
+            ideal = sum(min(r["uniform_bits"], r["predicted_bits"]) if cost is None else r[cost] for r in costs)
+            assert ideal <= 8 * row["payload_bytes"] <= 1.02 * ideal + 32 * tiles, (t, model)
+
+
+def test_cascade_has_few_exchanges(spark):
+    sch = SplitSchedule.round_robin((16, 16))
+    plan = tree.count_tree(frame(spark, F0), sch, "cascade")._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") <= 8
 
 
 def test_theory_reproduces_the_published_columns():
@@ -97,9 +145,27 @@ def test_cut_payload_is_an_error():
 
 
 def test_bell_table_is_whole_and_positive():
-    for p, a, b in ((2, 0, 1), (9, 11, 3), (400, 7, 900), (4096, 1, 1)):
+    for p, a, b in ((2, 0, 1), (9, 11, 3), (400, 7, 900), (4096, 1, 1), (70_000, 12, 9)):
         table = arith.bell_table(p, a, b)
-        assert len(table) == p + 1 and min(table) > 0 and sum(table) < 1 << 32
+        assert len(table) == p + 1 and min(table) > 0
+        root, mean = next(r for r in range(1 << 20) if r * r >= 64 * p), p * (((a + 16) << 20) // (a + b + 32)) >> 16
+        top = max(table)
+        assert max(abs(v - mean / 16) for v, w in enumerate(table) if w == top) <= max(1.0, root / 128)
+    for p in (1 << 20, (1 << 42) - 1):
+        edges, weights = arith.bell_bins(np.array([p]), np.array([1 << 41]), np.array([3]))
+        assert edges[0, -1] == p + 1 and (np.diff(edges[0]) >= 0).all() and 0 < weights.sum() < 1 << 32 and ((weights[0] > 0) == (np.diff(edges[0]) > 0)).all()
+
+
+def test_mixed_radix_digits():
+    rng = np.random.default_rng(0)
+    sizes = np.where(rng.random(5000) < 0.9, rng.integers(2, 20, 5000), rng.integers(2, 1 << 40, 5000))
+    values = (rng.random(5000) * sizes).astype(np.int64)
+    coder = arith.Encoder()
+    arith.put_digits(coder, values, sizes)
+    data = coder.finish()
+    assert len(arith.radix_groups(sizes)) < 2500 and 8 * len(data) <= np.log2(sizes).sum() + 64
+    for tail in (b"", b"\xff" * 40):
+        assert (arith.get_digits(arith.Decoder(data + tail), sizes) == values).all()
 
 
 def test_schedules():
@@ -141,6 +207,13 @@ def test_lattice_nulls(spark):
         to_lattice(df, spec("error")).collect()
 
 
+def test_values_outside_an_axis_are_an_error(spark):
+    df = spark.createDataFrame([("x", 5), ("q", -1)], "s string, i long")
+    for axis in (AxisSpec("s", "s", "dict", bits=1, values=("x", "y")), AxisSpec("i", "i", bits=3, lo=0, hi=7)):
+        with pytest.raises(Exception, match="outside axis"):
+            to_lattice(df, LatticeSpec((axis,))).collect()
+
+
 @pytest.mark.parametrize("seed", range(3))
 def test_wave_bound_holds_for_any_multiset(spark, seed):
     rng = np.random.default_rng(seed)
