@@ -501,7 +501,8 @@ def repeats(docs: DataFrame, length: int = 100, gram: int = 20, block_rows: int
         return out
     # One string a part: the earliest by an aggregate over its bytes.
     strings = single.where(f"left >= lo AND right >= {length} - lo").select("uid", (F.col("pos") - F.col("lo")).alias("start"), F.expr(f"substring(bytes, left - lo + 1, {length})").alias("string"))
-    earliest = strings.groupBy("string").agg(F.min(F.struct("uid", "start")).alias("first"))
+    # Written, so that the planner can split the join below where a string is very common.
+    earliest = written(strings.groupBy("string").agg(F.min(F.struct("uid", "start")).alias("first")), "earliest")
     common = strings.join(earliest, "string").where("uid > first.uid OR (uid = first.uid AND start > first.start)")
     return out.unionByName(common.select("uid", "start", (F.col("start") + length).alias("end")))
 
