@@ -44,7 +44,19 @@ def neighbour_counts(
     return out
 
 
+def _line(rows: DataFrame, order: int, weigh, tile: list[str]) -> DataFrame:
+    """Face neighbours of one axis alone: equi-joins on shifted cells, where a window would hold a whole wave."""
+    out = rows.withColumn("nb_left", F.lit(0.0)).withColumn("nb_right", F.lit(0.0))
+    for k in range(1, order + 1):
+        for sign, side in ((1, "nb_left"), (-1, "nb_right")):
+            other = rows.select("level", *tile, (F.col("c0") + sign * k).alias("c0"), F.col("cnt").alias("near"))
+            out = out.join(other, ["level", *tile, "c0"], "left").withColumn(side, F.col(side) + F.coalesce("near", F.lit(0)) * weigh(k)).drop("near")
+    return out
+
+
 def _face(rows: DataFrame, d: int, axis: int, order: int, weights: str, context: str, tile: list[str]) -> DataFrame:
+    if d == 1 and context == "wave":
+        return _line(rows, order, (lambda k: 1.0 / k) if weights == "1/dist" else (lambda k: 0.5 ** (k - 1)), tile)
     line = Window.partitionBy("level", *tile, *[f"c{i}" for i in range(d) if i != axis]).orderBy(f"c{axis}")
     weigh = (lambda k: 1.0 / k) if weights == "1/dist" else (lambda k: 0.5 ** (k - 1))
 
@@ -82,12 +94,13 @@ def predicted_left(left: Column, right: Column, cnt: Column, shrink: float = 0.0
 def gaussian_bits(cnt: Column, left_cnt: Column, mu: Column, c: float = 0.5, floor: float = 0.05) -> Column:
     """-log2 P(left) of a discrete Gaussian on 0..p with sigma = c*sqrt(p), mixed with a uniform floor; uniform if mu is null.
 
-    Whole sums for p up to 512, a normalising integral beyond.
+    Whole sums for p up to 4096; beyond, an integral times the share of the bell within 0..p (by a logistic curve).
     """
     sigma = F.greatest(F.lit(0.3), c * F.sqrt(cnt.cast("double")))
     weight = lambda k: F.exp(-F.pow((k - mu) / sigma, 2) / 2)
-    exact = F.aggregate(F.sequence(F.lit(0).cast("long"), F.least(cnt, F.lit(512))), F.lit(0.0), lambda acc, k: acc + weight(k))
-    total = F.when(cnt <= 512, exact).otherwise(sigma * 2.5066282746310002)
+    exact = F.aggregate(F.sequence(F.lit(0).cast("long"), F.least(cnt, F.lit(4096))), F.lit(0.0), lambda acc, k: acc + weight(k))
+    inside = 1 / (1 + F.exp(-1.702 * (cnt + 0.5 - mu) / sigma)) - 1 / (1 + F.exp(1.702 * (mu + 0.5) / sigma))
+    total = F.when(cnt <= 4096, exact).otherwise(sigma * 2.5066282746310002 * inside)
     p = (1 - floor) * F.least(F.lit(1.0), weight(left_cnt) / total) + floor / (cnt + 1)
     return F.when(mu.isNull(), F.log2(cnt + 1)).otherwise(-F.log2(p))
 

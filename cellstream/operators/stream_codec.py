@@ -376,3 +376,55 @@ class PointCodec:
         from .codelen import summary
 
         return summary(self.nodes(df), self.schedule.q)
+
+
+WIDE = "stage int, tile array<long>, wave int, waves int, payload binary, n_sym long, n_bits double"
+
+
+def encode_wide(points: DataFrame, schedule: SplitSchedule, band: int = BAND) -> DataFrame:
+    """Codestream rows of keys of any width, uniform model: a stage a word of the key, a tile its words before."""
+    from ..functions.keys import WORD
+    from .tree import wide_tree
+
+    nodes = wide_tree(points, schedule)
+    stage = F.floor(F.col("level") / WORD).cast("int")
+    own = nodes.select(stage.alias("stage"), F.slice("prefix", F.lit(1), stage).alias("tile"), (F.col("level") - stage * WORD).cast("int").alias("level"), F.element_at("prefix", -1).alias("prefix"), "cnt", "left_cnt")
+
+    def code(table: pa.Table) -> pa.Table:
+        rows, held = [], None
+        for wave, prefix, cnt, left in _waves(table):
+            held = held or [BandEncoder(), wave, 0, 0, 0.0]
+            held[0].put(prefix, cnt, left, wave, schedule, 0)
+            held[2:] = [held[2] + 1, held[3] + len(cnt), held[4] + float(np.log2(cnt + 1.0).sum())]
+            if held[4] >= band:
+                rows.append(held)
+                held = None
+        rows += [held] if held is not None else []
+        stage, tile = table.column("stage")[0].as_py(), table.column("tile")[0].as_py()
+        columns = [[stage] * len(rows), [tile] * len(rows), [r[1] for r in rows], [r[2] for r in rows], [r[0].finish() for r in rows], [r[3] for r in rows], [r[4] for r in rows]]
+        kinds = (pa.int32(), pa.list_(pa.int64()), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.float64())
+        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], [f.split()[0] for f in WIDE.split(", ")])
+
+    return own.groupBy("stage", "tile").applyInArrow(code, WIDE)
+
+
+def decode_wide(stream: DataFrame, n: int, schedule: SplitSchedule) -> DataFrame:
+    """(key array<long>, cnt): whole points, word by word."""
+    from ..functions.keys import WORD
+
+    cells = stream.sparkSession.createDataFrame([([], n)] if n else [], "tile array<long>, cnt long")
+    for k, first in enumerate(range(0, schedule.q, WORD)):
+        rows = stream.where(F.col("stage") == k).select("tile", "wave", "waves", "payload").join(cells, "tile")
+        opened = rows.groupBy("tile").applyInArrow(_wide_opener(schedule, min(WORD, schedule.q - first)), "tile array<long>, cnt long")
+        cells = opened
+    return cells.select(F.col("tile").alias("key"), "cnt")
+
+
+def _wide_opener(schedule: SplitSchedule, width: int):
+    def open_(table: pa.Table) -> pa.Table:
+        bands = list(zip(*(table.column(c).to_pylist() for c in ("wave", "waves", "payload")), strict=True))
+        prefix, cnt = decode_bands(bands, np.zeros(1, np.int64), np.array([table.column("cnt")[0].as_py()], np.int64), 0, width, schedule, [0] * width)
+        head = table.column("tile")[0].as_py()
+        return pa.table([pa.array([[*head, p] for p in prefix.tolist()], pa.list_(pa.int64())), pa.array(cnt)], ["tile", "cnt"])
+
+    return open_

@@ -70,6 +70,25 @@ for _d in (8, 16, 64):
     add(f"tree_wide_{8 * _d}_bits", lambda s, d, lat=_wide(_d): tree.wide_tree(lat.points(s, d), lat.schedule()).groupBy("level").agg(F.count(F.lit(1)).alias("nodes"), F.sum("cnt").alias("points"), F.sum("left_cnt").alias("lefts")), f"{sql.tree(_wide(_d))} SELECT level, {_PER} FROM node GROUP BY level" if _d < 64 else None)
 
 
+def _wide_trip(s, d):
+    lat = _wide(16)
+    from ..operators import stream_codec
+
+    pts = lat.points(s, d)
+    stream = written(stream_codec.encode_wide(pts, lat.schedule()), "wide")
+    back = stream_codec.decode_wide(stream, pts.count(), lat.schedule())
+    return back.select(F.concat_ws("-", F.transform("key", lambda w: w.cast("string"))).alias("key"), "cnt")
+
+
+def _wide_key_sql(lat: Lattice) -> str:
+    steps = lat.schedule().steps
+    words = [steps[k : k + 60] for k in range(0, len(steps), 60)]
+    return " || '-' || ".join("CAST(" + " + ".join(f"(CAST((a{a} >> {bit}) & 1 AS BIGINT) << {len(w) - 1 - k})" for k, (a, bit) in enumerate(w)) + " AS VARCHAR)" for w in words)
+
+
+add("stream_roundtrip_wide", _wide_trip, f"WITH {sql.points(_wide(16))} SELECT {_wide_key_sql(_wide(16))} AS key, count(*) AS cnt FROM pts GROUP BY 1")
+
+
 def _halves(s, d):
     p = s.read.parquet(f"{d}/events.parquet")
     halves = []
@@ -292,6 +311,18 @@ add("order_gain", lambda s, d: _table(TERRAIN)(s, d).select(*_GAIN), _table_sql(
 add("ablation_matrix", lambda s, d: _table(("smooth", "object_orders", "object_part"))(s, d).select("name", "ideal_bits", "integer_bits", "gain", "integer_gain"), _table_sql(("smooth", "object_orders", "object_part"), "name, ideal_bits, integer_bits, gain, integer_gain"))
 _SWEEP = ("embedding2", "embedding4", "plane", "events", "lineitem", "attributes")
 add("dimension_sweep", lambda s, d: _table(_SWEEP)(s, d).select("name", "n", "q_ratio", "cf"), _table_sql(_SWEEP, "name, n, q_ratio, cf"))
+
+
+def _wide_sweep(*dims):
+    def run(s, d):
+        rows = [codelen.summary(tree.wide_tree(_wide(k).points(s, d), _wide(k).schedule()).select("level", "cnt", "left_cnt"), 8 * k).select(F.lit(f"embedding{k}").alias("name"), "n", "q_ratio", "cf") for k in dims]
+        return rows[0] if len(rows) == 1 else rows[0].unionByName(rows[1])
+
+    return run
+
+
+add("dimension_sweep_wide", _wide_sweep(8, 16), " UNION ALL ".join(f"SELECT name, n, q_ratio, cf FROM ({sql.summary(_wide(k), name=f'embedding{k}')}) t" for k in (8, 16)))
+add("dimension_sweep_64", _wide_sweep(64), None)
 add("suite_totals", lambda s, d: _table(OBJECTS)(s, d).rollup("name").agg(F.sum("n").alias("n"), F.sum("source_bytes").alias("source_bytes"), F.sum("ideal_bytes").alias("ideal_bytes")), f"SELECT name, CAST(sum(n) AS BIGINT) AS n, CAST(sum(source_bytes) AS BIGINT) AS source_bytes, CAST(sum(ideal_bytes) AS BIGINT) AS ideal_bytes FROM ({_table_sql(OBJECTS)}) x GROUP BY ROLLUP (name)")
 
 
@@ -364,11 +395,13 @@ for _name in ("smooth", "object_orders"):
     add(f"split_order_ablation_{_name}", _orders(LATTICES[_name]), " UNION ALL ".join(f"SELECT * FROM ({sql.tree(LATTICES[_name], make(LATTICES[_name].bits))} SELECT '{p}' AS policy, count(*) AS nodes, round(sum(log2(cnt + 1)), 3) AS bits FROM node) t" for p, make in _POLICIES.items()))
 
 
-def greedy_axes(points: DataFrame, bits: tuple[int, ...]) -> list[int]:
-    """One axis a wave, the one whose next wave has the lowest ideal cost; one aggregate a wave, on what is given (a sample
-    at scale), with a few numbers to the driver."""
+def greedy_axes(points: DataFrame, bits: tuple[int, ...], most: int = 1_000_000) -> list[int]:
+    """One axis a wave, the one whose next wave has the lowest ideal cost; one aggregate an axis and wave on about ``most`` points at
+    most (a sample that is written once; any order codes the set without loss), with a few numbers to the driver."""
     left, axes = list(bits), []
     cells = points.select(*[f"a{i}" for i in range(len(bits))])
+    n = cells.count()
+    cells = written(cells.sample(most / n, seed=7) if n > most else cells, "sample")
     for _ in range(sum(bits)):
         open_ = [i for i in range(len(bits)) if left[i]]
         costs = []
@@ -644,40 +677,78 @@ _zig = lambda e: f"(2 * length(bin((CASE WHEN {e} < 0 THEN -2 * ({e}) - 1 ELSE 2
 add("baseline_delta_gamma", _delta, f"WITH {sql.points(LATTICES['object_orders'])}, k AS (SELECT *, {_key_sql(LATTICES['object_orders'])} AS key FROM pts), dd AS (SELECT " + ", ".join(f"a{i} - coalesce(lag(a{i}) OVER (PARTITION BY key >> 18 ORDER BY key, a0, a1, a2), 0) AS d{i}" for i in range(3)) + f" FROM k) SELECT count(*) AS n, CAST(sum({' + '.join(_zig(f'd{i}') for i in range(3))}) AS BIGINT) AS bits FROM dd")
 
 
+_PROXIES = ("strip", "polygon", "crease")
+
+
 def _objects(s, d):
-    out = None
+    """Ideal bytes of the counts beside the differential code and the proxies of the strip and polygon codecs."""
+    pts, ours = None, None
     for name in OBJECTS:
         lat = LATTICES[name]
-        pts = lat.points(s, d).withColumn("key", keys.cell_key(lat.schedule()))
-        ours = codelen.summary(nodes_of(lat)(s, d), lat.schedule().q).select("n", "source_bytes", "ideal_bytes")
-        delta = baselines.delta_varlen(pts, "key", lat.names, 18).select(F.ceil(F.col("bits") / 8.0).cast("long").alias("delta_bytes"))
-        strip = baselines.strip_linear(pts.withColumn("strip", F.shiftright("key", 18)), "strip", "key", lat.names, [1.0])
-        costs = None
-        for a in lat.names:
-            c = baselines.entropy(strip, f"r_{a}").select("bits")
-            costs = c if costs is None else costs.unionByName(c)
-        row = ours.crossJoin(delta).crossJoin(costs.agg(F.ceil(F.sum("bits") / 8).cast("long").alias("strip_bytes"))).select(F.lit(name).alias("name"), "*")
-        out = row if out is None else out.unionByName(row)
-    return out
-
-
+        p = lat.points(s, d).withColumn("key", keys.cell_key(lat.schedule())).withColumn("name", F.lit(name))
+        o = codelen.summary(nodes_of(lat)(s, d), lat.schedule().q).select(F.lit(name).alias("name"), "n", "source_bytes", "ideal_bytes")
+        pts, ours = (p, o) if pts is None else (pts.unionByName(p), ours.unionByName(o))
+    axes = ["a0", "a1", "a2"]
+    residuals = written(baselines.object_residuals(pts, "name", "key", axes, 18), "residuals")
+    columns = [f"{p}_{a}" for p in _PROXIES for a in axes]
+    hist = residuals.unpivot(["name"], columns, "which", "v").groupBy("name", "which", "v").agg(F.count(F.lit(1)).alias("c"))
+    n = residuals.groupBy("name").agg(F.count(F.lit(1)).alias("n"), F.ceil(F.sum("gamma") / 8.0).cast("long").alias("delta_bytes"))
+    cost = hist.join(F.broadcast(n.select("name", "n")), "name").groupBy("name", "which").agg(F.round(F.sum(F.col("c") * F.log2(F.col("n") / F.col("c"))), 3).alias("bits"))
+    proxies = cost.groupBy("name").agg(*[F.ceil(F.sum(F.when(F.col("which").startswith(p), F.col("bits"))) / 8).cast("long").alias(f"{p}_bytes") for p in _PROXIES])
+    return ours.join(n.drop("n"), "name").join(proxies, "name")
 
 
 def _objects_sql(name: str) -> str:
     lat = LATTICES[name]
     axes = range(len(lat.axes))
-    lags = ", ".join(f"a{i} - coalesce(lag(a{i}) OVER (PARTITION BY key >> 18 ORDER BY key), 0) AS d{i}" for i in axes)
+    win = "OVER (PARTITION BY key >> 18 ORDER BY key)"
+    lag = lambda k, i: f"coalesce(lag(a{i}, {k}) {win}, 0)"
+    first = ", ".join(f"a{i} - {lag(1, i)} AS d{i}, CAST(a{i} - round(2.0 * {lag(1, i)} - {lag(2, i)}) AS BIGINT) AS strip{i}, CAST(a{i} - round(1.0 * {lag(1, i)} + {lag(2, i)} - {lag(3, i)}) AS BIGINT) AS polygon{i}" for i in axes)
+    second = ", ".join(f"CAST(polygon{i} - round(coalesce(avg(polygon{i}) OVER (PARTITION BY key >> 18 ORDER BY place ROWS BETWEEN 4 PRECEDING AND 1 PRECEDING), 0.0)) AS BIGINT) AS crease{i}" for i in axes)
     delta = " + ".join(_zig(f"d{i}") for i in axes)
-    strip = " + ".join(f"(SELECT round(sum(c * log2(CAST(t AS DOUBLE) / c)), 3) FROM (SELECT d{i}, count(*) AS c, sum(count(*)) OVER () AS t FROM dd GROUP BY d{i}))" for i in axes)
-    ours = sql.summary(lat)
-    return f"SELECT '{name}' AS name, o.*, CAST(ceil(sums.gamma / 8.0) AS BIGINT) AS delta_bytes, CAST(ceil(sums.strip / 8) AS BIGINT) AS strip_bytes FROM (SELECT n, source_bytes, ideal_bytes FROM ({ours}) s) o, (WITH {sql.points(lat)}, k AS (SELECT *, {_key_sql(lat)} AS key FROM pts), dd AS (SELECT {lags} FROM k) SELECT (SELECT sum({delta}) FROM dd) AS gamma, {strip} AS strip) sums"
+    cost = lambda c: f"(SELECT round(sum(c * log2(CAST(t AS DOUBLE) / c)), 3) FROM (SELECT {c}, count(*) AS c, sum(count(*)) OVER () AS t FROM ee GROUP BY {c}))"
+    proxies = ", ".join(f"{' + '.join(cost(f'{p}{i}') for i in axes)} AS {p}" for p in _PROXIES)
+    parts = f"WITH {sql.points(lat)}, k AS (SELECT *, {_key_sql(lat)} AS key FROM pts), dd AS (SELECT *, row_number() OVER (ORDER BY key) AS place, {first} FROM k), ee AS (SELECT *, {second} FROM dd)"
+    return f"SELECT '{name}' AS name, o.*, CAST(ceil(sums.gamma / 8.0) AS BIGINT) AS delta_bytes, {', '.join(f'CAST(ceil(sums.{p} / 8) AS BIGINT) AS {p}_bytes' for p in _PROXIES)} FROM (SELECT n, source_bytes, ideal_bytes FROM ({sql.summary(lat)}) s) o, ({parts} SELECT (SELECT sum({delta}) FROM dd) AS gamma, {proxies}) sums"
 
 
 add("exp_object_table", _objects, " UNION ALL ".join(_objects_sql(n) for n in OBJECTS))
 
 # Meshes ---------------------------------------------------------------------------------------------------------------------------------
 add("grid_mesh_triangles", lambda s, d: topology.grid_triangles(_grid(s, d).withColumn("v", F.col("i") * 61 + F.col("j"))), f"{_TSI}, p AS (SELECT i, j, i * 61 + j AS v FROM g) SELECT a.v AS v0, b.v AS v1, x.v AS v2 FROM p a JOIN p b ON b.i = a.i + 1 AND b.j = a.j JOIN p x ON x.i = a.i + 1 AND x.j = a.j + 1 UNION ALL SELECT a.v, x.v, u.v FROM p a JOIN p x ON x.i = a.i + 1 AND x.j = a.j + 1 JOIN p u ON u.i = a.i AND u.j = a.j + 1")
-add("delaunay_tiles", lambda s, d: topology.delaunay_tiles(LATTICES["object_customer"].points(s, d).withColumn("tile", F.shiftright("a0", 6)), "tile"), None)
+
+
+def _corners(s, d):
+    return _CU_PTS.points(s, d).select("a0", "a1")
+
+
+_CU_PTS = LATTICES["object_customer"]
+add("delaunay_tiles", lambda s, d: topology.delaunay_tiles(_corners(s, d), 64), None)
+
+
+def _topology_kept(s, d):
+    """Triangles of the set and of the set decoded from its codestream: what is in one and not in the other."""
+    sch = _CU_PTS.schedule()
+    back = tree.with_coordinates(Codestream.encode(_CU_PTS.points(s, d), sch, tile_bits=3).cells(), sch).select(F.col("c0").alias("a0"), F.col("c1").alias("a1"))
+    a, b = written(topology.delaunay_tiles(_corners(s, d), 64), "before"), written(topology.delaunay_tiles(back, 64), "after")
+    return a.exceptAll(b).agg(F.count(F.lit(1)).alias("lost")).crossJoin(b.exceptAll(a).agg(F.count(F.lit(1)).alias("made")))
+
+
+add("topology_kept", _topology_kept, "SELECT 0 AS lost, 0 AS made")
+
+
+def _file_codecs(s, d):
+    """Bytes of the lattice table as Parquet under general-purpose codecs, sorted by key, beside the ideal bytes of the counts."""
+    out = []
+    for name in ("events", "smooth", "object_orders", "object_part"):
+        lat = LATTICES[name]
+        pts = written(lat.points(s, d).withColumn("key", keys.cell_key(lat.schedule())).orderBy("key").drop("key"), "points")
+        out.append((name, *(baselines.file_bytes(pts, c) for c in ("uncompressed", "snappy", "zstd"))))
+    sizes = s.createDataFrame(out, "name string, plain long, snappy long, zstd long")
+    return sizes.join(_table([r[0] for r in out])(s, d).select("name", "n", "source_bytes", "ideal_bytes"), "name")
+
+
+add("baseline_file_codecs", _file_codecs, None)
 
 # Windows over time (batch twins of the streams) ---------------------------------------------------------------------------------------------
 _SCH2 = SplitSchedule.round_robin((16, 3))

@@ -87,5 +87,6 @@ def gaussian(c: float, shrink: float, floor: float = 0.05) -> str:
     sigma = f"greatest(0.3, {c!r} * sqrt(CAST(cnt AS DOUBLE)))"
     mu = f"(cnt * (nb_left + {shrink!r}) / (nb_left + nb_right + {2 * shrink!r}))"
     weight = lambda k: f"exp(-pow(({k} - {mu}) / {sigma}, 2) / 2)"
-    total = f"CASE WHEN cnt <= 512 THEN list_sum(list_transform(range(0, least(cnt, 512) + 1), lambda k: {weight('k')})) ELSE {sigma} * 2.5066282746310002 END"
+    inside = f"(1 / (1 + exp(-1.702 * (cnt + 0.5 - {mu}) / {sigma})) - 1 / (1 + exp(1.702 * ({mu} + 0.5) / {sigma})))"
+    total = f"CASE WHEN cnt <= 4096 THEN list_sum(list_transform(range(0, least(cnt, 4096) + 1), lambda k: {weight('k')})) ELSE {sigma} * 2.5066282746310002 * {inside} END"
     return f"CASE WHEN nb_left + nb_right > 0 THEN -log2({1 - floor!r} * least(1.0, {weight('left_cnt')} / ({total})) + {floor!r} / (cnt + 1)) ELSE log2(cnt + 1) END"

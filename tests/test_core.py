@@ -235,6 +235,95 @@ def test_delaunay_circles_and_euler():
     assert len(pts) - len(edges) + len(triangles) == 1
 
 
+def test_tiled_delaunay_is_the_global_one(spark):
+    rng = random.Random(9)
+    pts = list({(rng.randint(0, 90), rng.randint(0, 70)) for _ in range(220)}) + [(x, y) for x in range(100, 116, 4) for y in range(0, 40, 4)]
+    corners = lambda r: tuple(v for p in sorted(zip(r[::2], r[1::2], strict=True)) for v in p)
+    want = sorted(tuple(v for k in sorted(t, key=lambda k: pts[k]) for v in pts[k]) for t in topology.delaunay(pts)[0])
+    for side, halo in ((16, 4), (50, 10), (16, 40)):
+        assert sorted(corners(tuple(r)) for r in topology.delaunay_tiles(frame(spark, pts), side, halo=halo).collect()) == want
+    # Any order of insertion gives the same triangles, points on one circle included.
+    again = pts[:]
+    rng.shuffle(again)
+    steps = [topology.delaunay(order)[1] for order in (sorted(pts), again)]
+    assert sorted(tuple(v for k in sorted(t, key=lambda k: again[k]) for v in again[k]) for t in topology.delaunay(again)[0]) == want and steps[0] < steps[1]
+    assert topology.delaunay_tiles(frame(spark, []), 8).count() == 0
+
+
+def test_ordered_lags_cross_partitions(spark):
+    from cellstream.operators import baselines
+
+    rows = [(int(k), int(k) * 7 % 11) for k in np.random.default_rng(1).permutation(100)]
+    got = baselines.ordered_lags(spark.createDataFrame(rows, "k long, v long").repartition(7), ["k"], ["v"], 3).collect()
+    value = dict(rows)
+    for r in got:
+        assert [r[f"lag_{j}_v"] for j in (1, 2, 3)] == [value.get(r["k"] - j) for j in (1, 2, 3)]
+
+
+def test_huffman_lengths_are_optimal():
+    from cellstream.operators import baselines
+
+    assert baselines.huffman_lengths([]) == [] and baselines.huffman_lengths([5]) == [0] and sorted(baselines.huffman_lengths([8, 4, 2, 1, 1])) == [1, 2, 3, 4, 4]
+    rng = random.Random(2)
+    counts = [rng.randint(1, 1000) for _ in range(400)]
+    lengths = baselines.huffman_lengths(counts)
+    total = sum(counts)
+    entropy = sum(c * np.log2(total / c) for c in counts)
+    assert sum(2.0**-n for n in lengths) == 1 and entropy <= sum(a * b for a, b in zip(counts, lengths, strict=True)) <= entropy + total
+
+
+def test_greedy_order_against_brute_force(spark):
+    from cellstream.plans.catalog import greedy_axes
+
+    rng = np.random.default_rng(8)
+    points, bits = [(int(a), int(b)) for a, b in zip(rng.integers(0, 8, 60), rng.integers(0, 2, 60), strict=True)], (3, 3)
+    left, want = list(bits), []
+    while any(left):
+        costs = []
+        for i in (0, 1):
+            if left[i]:
+                cells = {}
+                for p in points:
+                    c = tuple(v >> (b - (k == i)) for k, (v, b) in enumerate(zip(p, left, strict=True)))
+                    cells[c] = cells.get(c, 0) + 1
+                costs.append((round(sum(np.log2(n + 1) for n in cells.values()), 6), i))
+        want.append(min(costs)[1])
+        left[want[-1]] -= 1
+    assert greedy_axes(frame(spark, points), bits) == want
+    assert sorted(greedy_axes(frame(spark, points), bits, most=20)) == [0, 0, 0, 1, 1, 1]
+
+
+def test_neighbours_of_one_axis_without_a_window(spark):
+    sch = SplitSchedule.round_robin((5,))
+    nodes = tree.count_tree(frame(spark, [(v * v % 29,) for v in range(40)]), sch)
+    got = predict.neighbour_counts(nodes, sch, order=2)
+    assert "Window" not in got._jdf.queryExecution().executedPlan().toString()
+    cells = {(r["level"], r["prefix"]): r["cnt"] for r in nodes.collect()}
+    for r in got.collect():
+        at = lambda k, r=r: cells.get((r["level"], r["prefix"] + k), 0)
+        assert (r["nb_left"], r["nb_right"]) == (at(-1) + at(-2) / 2, at(1) + at(2) / 2)
+
+
+def test_wide_codestream(spark):
+    sch = SplitSchedule.round_robin((40, 40, 50))
+    rng = np.random.default_rng(4)
+    points = [tuple(int(v) for v in rng.integers(0, 1 << 39, 3)) for _ in range(30)] + [(1, 2, 3)] * 5
+    want = {(tuple(r["key"]), r["cnt"]) for r in frame(spark, points).groupBy(keys.wide_key(sch).alias("key")).agg(F.count(F.lit(1)).alias("cnt")).collect()}
+    back = stream_codec.decode_wide(stream_codec.encode_wide(frame(spark, points), sch), len(points), sch)
+    assert {(tuple(r["key"]), r["cnt"]) for r in back.collect()} == want
+
+
+def test_sql_codestreams(spark):
+    from cellstream.functions.sql import register
+
+    sch = SplitSchedule.round_robin((3, 3))
+    register(spark, sch)
+    frame(spark, F0).withColumn("key", keys.cell_key(sch)).createOrReplaceTempView("f0")
+    spark.sql("SELECT n, payload FROM (SELECT count(*) AS n FROM f0) CROSS JOIN (SELECT count_tree_agg(key) AS payload FROM f0)").createOrReplaceTempView("coded")
+    got = spark.sql("SELECT * FROM tile_decode(TABLE(coded))").collect()
+    assert {(r["prefix"], r["cnt"]) for r in got} == {(r["key"], r["n"]) for r in spark.sql("SELECT key, count(*) AS n FROM f0 GROUP BY key").collect()}
+
+
 def test_laws_stay_in_their_cells(spark):
     sch = SplitSchedule.round_robin((3, 3))
     cells = tree.cells_at(frame(spark, F0), sch, 3)
