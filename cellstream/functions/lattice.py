@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class AxisSpec:
-    """One axis. Kinds: int, decimal (10**-step units), uniform (quantiser), ieee (order-preserving bits), tick (microseconds
+    """One axis. Kinds: int, decimal (10**-step units), uniform (quantiser), ieee (order-preserving bits of
+    single precision, to which doubles are rounded), tick (microseconds
     per tick since ``lo``), date, bool, dict (``values``)."""
 
     name: str

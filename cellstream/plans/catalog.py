@@ -759,7 +759,7 @@ def _windowed(kind, extra):
         ev = trees.with_time(s.read.parquet(f"{d}/events.parquet"))
         code = F.element_at(F.create_map(*[x for k, t in enumerate(("click", "error", "purchase", "signup", "view")) for x in (F.lit(t), F.lit(k).cast("long"))]), F.col("event_type"))
         pts = ev.select("ts", "user_id", F.round(F.col("value") * 100).cast("long").alias("a0"), code.alias("a1"))
-        cells = trees.windowed_tree(pts, _SCH2, trees.window_of(kind), keys.cell_key(_SCH2), _SCH2.q, extra)
+        cells = trees.windowed_tree(pts, _SCH2, trees.window_of(kind), keys.cell_key(_SCH2), _SCH2.q, extra, kind == "session")
         return cells.groupBy(*(extra or []), "level", F.col("start").cast("timestamp_ntz").alias("start")).agg(F.count(F.lit(1)).alias("cells"), F.sum("cnt").alias("points"))
 
     return run

@@ -23,9 +23,10 @@ def window_of(kind: str, ts: str = "ts") -> Column:
     return F.session_window(ts, "30 minutes")
 
 
-def windowed_tree(points: DataFrame, schedule: SplitSchedule, window: Column, key: Column, max_level: int = 12, extra: list[str] | None = None) -> DataFrame:
-    """(start, level, prefix, cnt) for levels up to ``max_level``; the same text for batch and stream."""
-    if "session_window" in str(window):
+def windowed_tree(points: DataFrame, schedule: SplitSchedule, window: Column, key: Column, max_level: int = 12, extra: list[str] | None = None, session: bool = False) -> DataFrame:
+    """(start, level, prefix, cnt) for levels up to ``max_level``; the same text for batch and stream. ``session``: the window is
+    one of sessions, whose keys meet in a row before they are spread over levels (a session is bounded by its gap)."""
+    if session:
         # A session is one of the extra columns' rows, whatever their cells: sessions first, then their cells.
         held = points.withColumn("key", key).groupBy(window.alias("w"), *(extra or [])).agg(F.collect_list("key").alias("keys"))
         points, key, window = held.select("w", *(extra or []), F.explode("keys").alias("key")), F.col("key"), F.col("w")
