@@ -80,13 +80,27 @@ def roi_session(nodes: DataFrame, schedule: SplitSchedule, boxes) -> DataFrame:
     return nodes.withColumn("step", first).where("step is not null").groupBy("step").agg(F.count(F.lit(1)).alias("nodes_sent"), F.round(F.sum(F.log2(F.col("cnt") + 1)), 3).alias("bits_sent"))
 
 
+def beside(cells: DataFrame, schedule: SplitSchedule) -> DataFrame:
+    """Cells of one level with lo<axis> and hi<axis>: points of the cells next to each on either side, 0 where there is none."""
+    d, out = len(schedule.bits), cells
+    axes = [cell_axis(schedule, i, F.col("level"), F.col("prefix")).alias(f"c{i}") for i in range(d)]
+    own = cells.select("level", *axes, "cnt")
+    out = cells.select("*", *axes)
+    for i in range(d):
+        for sign, name in ((1, f"lo{i}"), (-1, f"hi{i}")):
+            other = own.select("level", *[(F.col(f"c{k}") + (sign if k == i else 0)).alias(f"c{k}") for k in range(d)], F.col("cnt").alias(name))
+            out = out.join(other, ["level", *[f"c{k}" for k in range(d)]], "left").fillna(0, [name])
+    return out.drop(*[f"c{i}" for i in range(d)])
+
+
 def synthesise(cells: DataFrame, schedule: SplitSchedule, law: str = "uniform", seed: int = 7, grid: int = 16) -> DataFrame:
     """One row per point: a0.. inside its cell.
 
     uniform: a whole-number congruential draw on (prefix, number, axis); regular: even steps along each axis;
-    grid: the cell centre snapped down to a grid step; gaussian: the mean of four draws.
+    grid: the cell centre snapped down to a grid step; gaussian: the mean of four draws; linear: a density that goes along each axis
+    from that of the cell on one side to that of the other (one point more in each), so points lean to the dense side.
     """
-    one = cells.withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), F.col("cnt"))))
+    one = (beside(cells, schedule) if law == "linear" else cells).withColumn("i", F.explode(F.sequence(F.lit(1).cast("long"), F.col("cnt"))))
     axes = []
     for k in range(len(schedule.bits)):
         low, high = cell_bounds(schedule, k, F.col("level"), F.col("prefix"))
@@ -101,6 +115,10 @@ def synthesise(cells: DataFrame, schedule: SplitSchedule, law: str = "uniform",
         elif law == "grid":
             mid = low + F.floor(side / 2).cast("long")
             at = F.greatest(low, mid - F.pmod(mid, F.lit(grid)))
+        elif law == "linear":
+            a, b, u = (F.col(f"lo{k}") + 1).cast("double"), (F.col(f"hi{k}") + 1).cast("double"), draw(0) / 2147483647.0
+            place = F.when(a == b, u).otherwise((F.sqrt(a * a + (b * b - a * a) * u) - a) / (b - a))
+            at = low + F.least(side - 1, F.floor(place * side).cast("long"))
         elif law == "gaussian":
             at = low + F.floor((draw(0) + draw(1) + draw(2) + draw(3)) / 4 / 2147483647 * side).cast("long")
         else:

@@ -44,7 +44,9 @@ for _name in ("events", "lineitem", "terrain", "smooth", "plane_dense", "documen
 _EV, _LI, _TS, _TG = (LATTICES[k] for k in ("events", "lineitem", "smooth", "terrain"))
 add("lattice_bounds", lambda s, d: _EV.points(s, d).agg(*[f(c).alias(f"{n}_{c}") for c in _EV.names for n, f in (("lo", F.min), ("hi", F.max))]), f"WITH {sql.points(_EV)} SELECT " + ", ".join(f"min({c}) AS lo_{c}, max({c}) AS hi_{c}" for c in _EV.names) + " FROM pts")
 add("uniform_points", lambda s, d: LATTICES["uniform"].points(s, d), f"WITH {sql.points(LATTICES['uniform'])} SELECT * FROM pts")
-add("schedule_table", lambda s, d: s.createDataFrame(_LI.schedule().rows(), "level int, axis int, bit int"), "SELECT * FROM (VALUES " + ", ".join(map(str, _LI.schedule().rows())) + ") AS t(level, axis, bit)")
+# The twin orders the halvings of each axis by round and axis, from the bit widths alone.
+_WIDTHS = "(VALUES " + ", ".join(f"({i}, {b})" for i, b in enumerate(_LI.bits)) + ") AS w(axis, bits)"
+add("schedule_table", lambda s, d: s.createDataFrame(_LI.schedule().rows(), "level int, axis int, bit int"), f"SELECT CAST(row_number() OVER (ORDER BY turn, axis) - 1 AS INT) AS level, axis, CAST(bits - 1 - turn AS INT) AS bit FROM (SELECT axis, bits, unnest(range(bits)) AS turn FROM {_WIDTHS}) x")
 add("cell_keys", lambda s, d: _EV.points(s, d).select(*_EV.names, keys.cell_key(_EV.schedule()).alias("key")), f"WITH {sql.points(_EV)} SELECT a0, a1, a2, {_key_sql(_EV)} AS key FROM pts")
 add("fn_bitstring", lambda s, d: _EV.points(s, d).select(*_EV.names, F.lpad(F.bin(keys.cell_key(_EV.schedule())), 43, "0").alias("bits")), f"WITH {sql.points(_EV)} SELECT a0, a1, a2, lpad(bin({_key_sql(_EV)}), 43, '0') AS bits FROM pts")
 for _k in (2, 4):
@@ -371,7 +373,7 @@ _NQ = [(120_998, 43), (908_907, 43), (3_721, 26), (1_000, 24), (1 << 20, 64)]
 add("theory_table", lambda s, d: s.createDataFrame([(n, q, round(theory.separation_bits(n), 3), round(theory.localisation_bits(n, q), 3), round(theory.total_bits(n, q), 3), round(theory.gain(n), 4), round(theory.gain(n, False), 4), round(theory.factor(n, q), 4), theory.source_bytes(n, q)) for n, q in _NQ], "n long, q int, separation double, localisation double, total double, gain double, integer_gain double, factor double, source_bytes long"), "SELECT n, q, round(2.402::DOUBLE * n, 3) AS separation, round(n * (q - log2(n)), 3) AS localisation, round(n * (q - log2(n) + 2.402::DOUBLE), 3) AS total, round(log2(n) - 2.402::DOUBLE, 4) AS gain, round(log2(n) - 3, 4) AS integer_gain, round(q / (q - log2(n) + 2.402::DOUBLE), 4) AS factor, CAST(ceil(n * q / 8.0) AS BIGINT) AS source_bytes FROM (VALUES " + ", ".join(map(str, _NQ)) + ") AS t(n, q)")
 for _name in ("uniform", "events", "smooth"):
     _n = f"{sql.tree(LATTICES[_name])}, per AS (SELECT level, sum(log2(cnt + 1)) AS b, sum(cnt) AS n FROM node GROUP BY level)"
-    add(f"wave_bound_check_{_name}", lambda s, d, lat=LATTICES[_name]: codelen.wave_bounds(nodes_of(lat)(s, d)), f"{_n} SELECT level, round(b, 3) AS bits, round(least(CAST(n AS DOUBLE), pow(2.0, level) * log2(1 + n / pow(2.0, level))), 3) AS bound, TRUE AS holds FROM per")
+    add(f"wave_bound_check_{_name}", lambda s, d, lat=LATTICES[_name]: codelen.wave_bounds(nodes_of(lat)(s, d)), f"{_n} SELECT level, round(b, 3) AS bits, round(least(CAST(n AS DOUBLE), pow(2.0, level) * log2(1 + n / pow(2.0, level))), 3) AS bound, b <= least(CAST(n AS DOUBLE), pow(2.0, level) * log2(1 + n / pow(2.0, level))) + 1e-6 AS holds FROM per")
     add(f"empty_cells_{_name}", lambda s, d, lat=LATTICES[_name]: codelen.empty_cells(nodes_of(lat)(s, d)), f"{sql.tree(LATTICES[_name])} SELECT level, CAST(sum(CASE WHEN left_cnt = 0 THEN 1 ELSE 0 END + CASE WHEN left_cnt = cnt THEN 1 ELSE 0 END) AS BIGINT) AS empty, count(*) AS nodes FROM node GROUP BY level")
 add("bits_huffman", lambda s, d: baselines.huffman(nodes_of(LATTICES["object_part"])(s, d)), None)
 
@@ -624,6 +626,7 @@ def _synth_sql(law: str) -> str:
 for _law in ("uniform", "regular", "grid"):
     add(f"synth_{_law}", _synth(_law), _synth_sql(_law))
 add("synth_gaussian", _synth("gaussian"), None)
+add("synth_linear", _synth("linear"), None)
 
 _LAW_LEVELS = (12, 18, 24)
 

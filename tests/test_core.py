@@ -327,12 +327,21 @@ def test_sql_codestreams(spark):
 def test_laws_stay_in_their_cells(spark):
     sch = SplitSchedule.round_robin((3, 3))
     cells = tree.cells_at(frame(spark, F0), sch, 3)
-    for law in ("uniform", "regular", "gaussian", "grid"):
+    for law in ("uniform", "regular", "gaussian", "grid", "linear"):
         made = progressive.synthesise(cells, sch, law, grid=1)
         again = tree.cells_at(made, sch, 3)
         assert {tuple(r) for r in cells.collect()} == {tuple(r) for r in again.collect()}
 
 
+def test_linear_law_leans_to_the_dense_side(spark):
+    sch = SplitSchedule.round_robin((10,))
+    cells = spark.createDataFrame([(2, 0, 1), (2, 1, 400), (2, 2, 900)], "level int, prefix long, cnt long")
+    near = {r["prefix"]: (r["lo0"], r["hi0"]) for r in progressive.beside(cells, sch).collect()}
+    assert near == {0: (0, 400), 1: (1, 900), 2: (400, 0)}
+    mean = {law: progressive.synthesise(cells, sch, law).where("a0 >= 256 AND a0 < 512").agg(F.avg("a0")).first()[0] for law in ("uniform", "linear")}
+    assert abs(mean["uniform"] - 384) < 12 and abs(mean["linear"] - (256 + 256 * 2 / 3)) < 12
+
+
 def test_text_and_files(spark, tmp_path):
     from cellstream.sources.textio import read_points, read_vertices, write_points
 
