@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions import keys, theory
 from ..functions.schedule import SplitSchedule
-from ..operators import baselines, cell_order, codelen, predict, progressive, topology, tree
+from ..operators import baselines, cell_order, codelen, predict, progressive, stream_codec, topology, tree
 from ..operators.stream_codec import Codestream
 from ..sources.shared import written
 from ..sources.workloads import LATTICES, OBJECTS, TERRAIN, Lattice
@@ -74,8 +74,6 @@ for _d in (8, 16, 64):
 
 def _wide_trip(s, d):
     lat = _wide(16)
-    from ..operators import stream_codec
-
     pts = lat.points(s, d)
     stream = written(stream_codec.encode_wide(pts, lat.schedule()), "wide")
     back = stream_codec.decode_wide(stream, pts.count(), lat.schedule())
@@ -358,10 +356,16 @@ def _coded_progress(s, d):
 
 def _coded_gain(s, d):
     """What the prediction gains in payload bytes, all waves predicted and the cheaper model for each wave; both signs."""
-    names = (*TERRAIN, *OBJECTS)
-    parts = [_coded_rows(names, s, d, m).select("name", F.col("payload_bytes").alias(c)) for m, c in ((0, "uniform"), (1, "predicted"), ("choose", "chosen"))]
-    row = parts[0].join(parts[1], "name").join(parts[2], "name")
-    return row.select("name", "uniform", "predicted", "chosen", *[F.round((1 - F.col(c) / F.col("uniform")) * 100, 2).alias(f"gain_{c}") for c in ("predicted", "chosen")])
+    out = None
+    for name in (*TERRAIN, *OBJECTS):
+        lat, t = LATTICES[name], _CODED_TILES.get(name, 2)
+        sch = lat.schedule()
+        nodes = written(nodes_of(lat)(s, d), "nodes")
+        row = s.createDataFrame([(name,)], "name string")
+        for label, models in (("uniform", [0] * sch.q), ("predicted", [1] * sch.q), ("chosen", stream_codec.choose_models(nodes, sch, t))):
+            row = row.crossJoin(stream_codec.encode_tiles(nodes, sch, t, models).agg(F.sum(F.length("payload")).alias(label)))
+        out = row if out is None else out.unionByName(row)
+    return out.select("*", *[F.round((1 - F.col(c) / F.col("uniform")) * 100, 2).alias(f"gain_{c}") for c in ("predicted", "chosen")])
 
 
 add("exp_terrain_table_coded", _coded_table(TERRAIN), None)
