@@ -194,15 +194,18 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, root): smallest node reachable, by alternating large-star and small-star rounds; each round is written and
     the one before it deleted. Rounds grow with the logarithm of the longest path; ``max_rounds`` only stops a fault."""
     current = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "edges")
+    # Few edges need few tasks: about 100 000 a task, as many as the session gives beyond 64 tasks.
+    parts = -(-current.count() // 100_000)
+    fewer = lambda df: df.coalesce(max(1, parts)) if parts < 64 else df
     last = None
     for _ in range(max_rounds):
         both = current.unionByName(current.select(F.col("v").alias("u"), F.col("u").alias("v")))
         # Written, so that the join below is between two plain exchanges, which the planner splits where a node is hot.
-        least = written(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "least")
+        least = written(fewer(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))), "least")
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         down = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(down, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(down.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        before, current = current, written(small, "edges")
+        before, current = current, written(fewer(small), "edges")
         dropped(before)
         dropped(least)
         state = current.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
