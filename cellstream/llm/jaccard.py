@@ -12,8 +12,10 @@ shows few of these links (at 0.8 about ten of 64 bits differ), so the search has
 
 A sketch is the parity of a set's members in each of about as many buckets as it has members. The buckets in which two
 sketches differ are at most the members in which the sets differ, so the sketch rules out most pairs and never a link.
-Only pairs left over have their texts brought together, and shingles decide. A posting with more members than a task should
-hold is cut into blocks, and each pair of blocks is a group of its own.
+What they leave of a posting is not sent on pair by pair but as a family: edges that hold its members together, one a member at
+most. Every link still to be found lies within a family, whose texts meet once; there wide sketches rule pairs out and
+shingles decide, and a spanning forest of the links comes out. A posting or family with more members than a task should hold is cut
+into blocks, and each pair of blocks is a group of its own.
 
 Texts with the same words are one node: a 64-bit digest, drawn anew under another seed if a second digest shows that two
 texts share one. Null, empty and blank texts have no words and are one node. Rows of equal doc_id and text are one document. A null
@@ -32,7 +34,7 @@ from .common import small, written
 
 _FACTORS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], np.uint64)
 #: Members of a posting that one group holds; a longer posting is cut into blocks.
-BLOCK = 1024
+BLOCK = 512
 
 
 def _hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -69,9 +71,10 @@ def _fingerprint(h: np.ndarray) -> int:
     return int(np.packbits(2 * bits.sum(0, dtype=np.int64) > len(h), bitorder="little").view("<u8")[0])
 
 
-def _sketch(h: np.ndarray) -> bytes:
-    """Parity of the members in each bucket; a power of two of buckets, 128 to 32 768, not below the set's size if it can."""
-    width = min(1 << 15, max(128, 1 << (len(h) - 1).bit_length()))
+def _sketch(h: np.ndarray, times: int = 1) -> bytes:
+    """Parity of the members in each bucket; a power of two of buckets, 128 to 32 768, not below the set's size (``times`` that and
+    the limit) if it can."""
+    width = min(times << 15, max(128, 1 << (times * len(h) - 1).bit_length()))
     odd = np.bincount((h >> np.uint64(17) & np.uint64(width - 1)).astype(np.int64), minlength=width) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
@@ -218,71 +221,116 @@ def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
     return pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "na", "nb", "sa", "sb").mapInArrow(check, "a long, b long")
 
 
-def _across(rows: DataFrame, percent: int) -> DataFrame:
-    """(a, b): pairs of a posting in different components that places and sketches allow; a group is two blocks at most."""
-
-    def pairs(batches):
-        def solve(nodes, sizes, places, roots, blocks, sketches):
-            left, right = [], []
-            wide = np.array([len(s) for s in sketches])
-            table = {int(w): np.frombuffer(b"".join(s for s in sketches if len(s) == w), "<u8").reshape(-1, w // 8) for w in np.unique(wide)}
-            slot = np.zeros(len(wide), np.int64)
-            for w in table:
-                slot[wide == w] = np.arange((wide == w).sum())
-            crossed = len(np.unique(blocks)) > 1
-            for i in range(len(nodes) - 1):  # sizes go up: later ones are too large from some place on
-                stop = int(np.searchsorted(sizes, sizes[i] * 100 // percent, "right"))
-                j = np.arange(i + 1, max(stop, i + 1))
-                j = j[(roots[j] != roots[i]) & (not crossed or blocks[j] != blocks[i]) & _allowed(sizes[i], places[i], sizes[j], places[j], percent)]
-                for w in np.unique(wide[j]).tolist():
-                    k = j[wide[j] == w]
-                    k = k[_near(sizes[i], sizes[k], differing(table[int(wide[i])][slot[i]], table[w][slot[k]]), percent)]
-                    left.append(np.minimum(nodes[i], nodes[k]))
-                    right.append(np.maximum(nodes[i], nodes[k]))
-            return left, right
-
-        held, now = [], None
-        for batch in batches:
-            group = np.stack([batch.column(c).to_numpy() for c in range(3)], 1)
-            cuts = np.flatnonzero((group[1:] != group[:-1]).any(1)) + 1
-            left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
-            for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(group)], strict=True):
-                if a == b:
-                    continue
-                if now is not None and tuple(group[a]) != now:
-                    for out, more in zip((left, right), _solved(held, solve), strict=True):
-                        out += more
-                    held = []
-                now = tuple(group[a])
-                held.append(batch.slice(a, b - a))
-            both = np.unique(np.stack([np.concatenate(left), np.concatenate(right)], 1), axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1]))], ["a", "b"])
-        if held:
-            left, right = _solved(held, solve)
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.int64), *x])) for x in (left, right)], ["a", "b"])
+def _groups(batches, n_keys: int, solve, names: list[str]):
+    """``solve(table)`` of the rows of each whole group at hand; rows come sorted by their first ``n_keys`` columns."""
+    held, now = [], None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        group = np.stack([batch.column(c).to_numpy() for c in range(n_keys)], 1)
+        cuts = np.flatnonzero((group[1:] != group[:-1]).any(1)) + 1
+        out = []
+        for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(group)], strict=True):
+            if now is not None and tuple(group[a]) != now:
+                out.append(solve(pa.Table.from_batches(held)))
+                held = []
+            now = tuple(group[a])
+            held.append(batch.slice(a, b - a))
+        yield _edges(out, names)
+    if held:
+        yield _edges([solve(pa.Table.from_batches(held))], names)
+
+
+def _edges(parts, names):
+    both = np.concatenate([np.zeros((0, 2), np.int64), *parts])
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1]))], names)
+
+
+def _tables(sketches: list[bytes]):
+    """Sketches by their length: one matrix a length, and each sketch's row in it."""
+    wide = np.array([len(x) for x in sketches])
+    table, slot = {}, np.zeros(len(wide), np.int64)
+    for w in np.unique(wide).tolist():
+        slot[wide == w] = np.arange((wide == w).sum())
+        table[w] = np.frombuffer(b"".join(x for x in sketches if len(x) == w), "<u8").reshape(-1, w // 8)
+    return wide, table, slot
+
+
+def _families(rows: DataFrame, percent: int) -> DataFrame:
+    """(a, b): edges that bring together the members of a posting, of different components, that places and sketches allow to be
+    linked; at most an edge a member, whatever the number of pairs. A group is two blocks of a posting at most."""
+
+    def solve(table):
+        n, node, at, root, block = (table.column(c).to_numpy().astype(np.int64) for c in ("n", "node", "at", "root", "block"))
+        if len(n) < 2 or root.min() == root.max():
+            return np.zeros((0, 2), np.int64)
+        wide, tables, slot = _tables(table.column("sketch").to_pylist())
+        _, first, own = np.unique(root, return_index=True, return_inverse=True)
+        parent, crossed = np.arange(len(first)), block.min() != block.max()
+        for i in range(len(n) - 1):  # sizes go up: later ones are too large from some place on
+            j = np.arange(i + 1, max(int(np.searchsorted(n, n[i] * 100 // percent, "right")), i + 1))
+            j = j[(parent[own[j]] != parent[own[i]]) & (not crossed or block[j] != block[i]) & _allowed(n[i], at[i], n[j], at[j], percent)]
+            for w in np.unique(wide[j]).tolist():
+                k = j[wide[j] == w]
+                k = k[_near(n[i], n[k], differing(tables[int(wide[i])][slot[i]], tables[w][slot[k]]), percent)]
+                simhash._join(parent, np.full(len(k), own[i]), own[k])
+        joined = np.flatnonzero(parent != np.arange(len(first)))
+        return np.stack([node[first[parent[joined]]], node[first[joined]]], 1)
 
     ordered = rows.select("key", "i", "j", "n", "node", "at", "root", "block", "sketch").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "n", "node")
-    return ordered.mapInArrow(pairs, "a long, b long").distinct()
-
-
-def _solved(held, solve):
-    if sum(b.num_rows for b in held) < 2:
-        return [], []
-    table = pa.Table.from_batches(held)
-    n, node, at, root, block = (table.column(c).to_numpy().astype(np.int64) for c in ("n", "node", "at", "root", "block"))
-    if root.min() == root.max():
-        return [], []
-    return solve(node, n, at, root, block, table.column("sketch").to_pylist())
-
-
-def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, seed: int, mask: int, bits: int = 26) -> DataFrame:
-    """The (a, b) of ``pairs`` whose texts' shingles have the similarity.
-
-    A bitmap of fixed size (``bits``) of the wanted nodes keeps most other texts from being moved; the join that follows
-    is exact.
+    return ordered.mapInArrow(lambda batches: _groups(batches, 3, solve, ["a", "b"]), "a long, b long").distinct()
+
+
+def _within(rows: DataFrame, n: int, percent: int) -> DataFrame:
+    """(a, b): links of a spanning forest of each group's members, whose texts are all at hand: wide sketches rule pairs out,
+    shingles decide. ``rows``: (family, i, j, n, node, root, block, words)."""
+
+    def solve(table):
+        size, node, root, block = (table.column(c).to_numpy().astype(np.int64) for c in ("n", "node", "root", "block"))
+        if len(size) < 2 or root.min() == root.max():
+            return np.zeros((0, 2), np.int64)
+        texts = table.column("words").to_pylist()
+        wide, tables, slot = _tables([_sketch(_hashes(t.split(), n), 16) for t in texts])
+        _, own = np.unique(root, return_inverse=True)
+        parent, crossed, sets, found = np.arange(own.max() + 1), block.min() != block.max(), {}, []
+
+        def have(k):
+            if k not in sets:
+                if len(sets) > 64:
+                    sets.clear()
+                sets[k] = shingles(texts[k], n)
+            return sets[k]
+
+        for i in range(len(size) - 1):
+            j = np.arange(i + 1, max(int(np.searchsorted(size, size[i] * 100 // percent, "right")), i + 1))
+            j = j[(parent[own[j]] != parent[own[i]]) & (not crossed or block[j] != block[i])]
+            for w in np.unique(wide[j]).tolist():
+                k = j[wide[j] == w]
+                for x in k[_near(size[i], size[k], differing(tables[int(wide[i])][slot[i]], tables[w][slot[k]]), percent)].tolist():
+                    if parent[own[x]] != parent[own[i]]:
+                        both = len(have(i) & have(x))
+                        if 100 * both >= percent * (len(have(i)) + len(have(x)) - both):
+                            simhash._join(parent, own[[i]], own[[x]])
+                            found.append((node[i], node[x]))
+        return np.array(found, np.int64).reshape(-1, 2)
+
+    ordered = rows.select("family", "i", "j", "n", "node", "root", "block", "words").repartition("family", "i", "j").sortWithinPartitions("family", "i", "j", "n", "node")
+    return ordered.mapInArrow(lambda batches: _groups(batches, 3, solve, ["a", "b"]), "a long, b long").distinct()
+
+
+def _blocked(rows: DataFrame, counted: DataFrame, group: str, block: int) -> DataFrame:
+    """Rows once for each pair of blocks of their group that has theirs; ``counted``: (group, m)."""
+    cut = counted.select(group, F.ceil(F.col("m") / block).cast("int").alias("blocks"))
+    rows = rows.join(cut, group).withColumn("block", F.pmod(F.xxhash64("node"), "blocks").cast("long")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    return rows.withColumn("i", F.least("block", F.col("other").cast("long"))).withColumn("j", F.greatest("block", F.col("other").cast("long"))).drop("other", "blocks")
+
+
+def texts_of(raw: DataFrame, nodes: DataFrame, seed: int, mask: int, bits: int = 26) -> DataFrame:
+    """(node, words) of the texts that may be among ``nodes`` (node); written.
+
+    A bitmap of fixed size (``bits``) of the wanted nodes keeps most other texts from being moved; joins that follow are exact.
     """
-    end = F.explode(F.array("a", "b")).alias("x")
-    place = pairs.select(end).select(F.pmod("x", F.lit(1 << bits)).alias("p"))
+    place = nodes.select(F.pmod("node", F.lit(1 << bits)).alias("p"))
     one = F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("p", F.lit(64)).cast("int"))
     words = place.groupBy(F.floor(F.col("p") / 64).cast("long").alias("w")).agg(F.bit_or(one).alias("bits")).toArrow()
     marked = np.zeros((1 << bits) // 64, np.int64)
@@ -293,15 +341,21 @@ def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, seed: int,
         wanted, low = shared.value, (1 << bits) - 1
         done = set()
         for batch in batches:
-            nodes, found = [], []
+            found, held = [], []
             for value in batch.column(0):
                 split = value.as_py().lower().split()
                 node = _digests(split, seed)[0] & mask
                 if int(wanted[(node & low) >> 6]) >> (node & 63) & 1 and node not in done:
                     done.add(node)
-                    nodes.append(node)
-                    found.append(b" ".join(split))
-            yield pa.RecordBatch.from_arrays([_signed(nodes), pa.array(found, pa.binary())], ["node", "words"])
+                    found.append(node)
+                    held.append(b" ".join(split))
+            yield pa.RecordBatch.from_arrays([_signed(found), pa.array(held, pa.binary())], ["node", "words"])
+
+    return written(raw.select("raw").mapInArrow(texts, "node long, words binary").dropDuplicates(["node"]), "texts")
+
+
+def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, seed: int, mask: int) -> DataFrame:
+    """The (a, b) of ``pairs`` whose texts' shingles have the similarity."""
 
     def check(batches):
         last, have = None, set()
@@ -316,7 +370,7 @@ def verified(raw: DataFrame, pairs: DataFrame, n: int, percent: int, seed: int,
                 close[row] = 100 * both >= percent * (len(have) + len(other) - both)
             yield pa.RecordBatch.from_arrays([pa.array(a[close]), pa.array(b[close])], ["a", "b"])
 
-    kept = written(raw.select("raw").mapInArrow(texts, "node long, words binary").dropDuplicates(["node"]), "texts")
+    kept = texts_of(raw, pairs.select(F.explode(F.array("a", "b")).alias("node")), seed, mask)
     of_b = pairs.join(kept.select(F.col("node").alias("b"), F.col("words").alias("words_b")), "b")
     both = of_b.join(kept.select(F.col("node").alias("a"), F.col("words").alias("words_a")), "a")
     return both.select("a", "b", "words_a", "words_b").mapInArrow(check, "a long, b long")
@@ -345,14 +399,18 @@ def links(raw: DataFrame, sets: DataFrame, n: int, percent: int, seed: int, mask
     # Step 2: what the postings have besides, between components.
     tree = simhash.components(near)
     rooted = written(shared.drop("first", "before").join(tree, "node", "left").select("key", "node", "n", "at", F.coalesce("root", "node").alias("root")), "rooted")
-    mixed = rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo < hi")
-    cut = F.ceil(F.col("m") / block).cast("int")
-    mixed = written(mixed.select("key", cut.alias("blocks")), "mixed")
-    rows = rooted.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("node"), "blocks").cast("long"))
-    rows = rows.join(sketches.select("node", "sketch"), "node").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("key", "node", "n", "at", "root", "sketch", "block", F.least("block", F.col("other").cast("long")).alias("i"), F.greatest("block", F.col("other").cast("long")).alias("j"))
-    rest = written(_across(rows, percent).join(tried, ["a", "b"], "left_anti"), "rest")
-    return near.unionByName(written(verified(raw, rest, n, percent, seed, mask), "far"))
+    mixed = written(rooted.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo < hi").select("key", "m"), "mixed")
+    rows = _blocked(rooted, mixed, "key", block).join(sketches.select("node", "sketch"), "node")
+    family = written(_families(rows, percent), "family")
+    # Every link left lies within a family: its members come together once, with their texts.
+    groups = simhash.components(near.unionByName(family))
+    member = written(groups.select("node", F.col("root").alias("family")).unionByName(groups.select(F.col("root").alias("node"), F.col("root").alias("family")).distinct()), "members")
+    member = member.join(tree, "node", "left").select("node", "family", F.coalesce("root", "node").alias("root"))
+    open_ = written(member.groupBy("family").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("m")).where("lo < hi").select("family", "m"), "open")
+    member = written(member.join(open_.select("family"), "family", "left_semi"), "open-members")
+    words = texts_of(raw, member.select("node"), seed, mask)
+    told = member.join(sketches.select("node", "n"), "node").join(words, "node")
+    return near.unionByName(written(_within(_blocked(told, open_, "family", block), n, percent), "far"))
 
 
 def _rows(docs: DataFrame) -> DataFrame:
