@@ -148,3 +148,9 @@ def encoder(path: str, keep_space: bool, capacity: int = 500_000) -> PieceEncode
         _ENCODERS.clear()
         _ENCODERS[key] = PieceEncoder(path, keep_space, capacity)
     return _ENCODERS[key]
+
+
+def forgotten() -> None:
+    """Drop the encoders that an earlier job left in this Python worker. Workers serve one job after another, and those caches would
+    stand beside what this one holds."""
+    _ENCODERS.clear()

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import simhash
-from .common import small, written
+from .common import forgotten, small, written
 
 _FACTORS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], np.uint64)
 #: Members of a posting that one group holds; a longer posting is cut into blocks.
@@ -88,30 +88,43 @@ def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(b ^ a).sum(1, dtype=np.int64)
 
 
-def frequent(raw: DataFrame, n: int, least: int = 16, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
-    """The most frequent shingle hashes, sorted, and their counts; from those that a batch of texts has ``least`` times.
+def _tally(n: int, least: int, room: int):
+    """Batches of (raw) to the hashes that ``room`` of them in a row have ``least`` times, with their counts; a worker holds ``room``."""
 
-    They only order the index, so ``most`` bounds what is broadcast and changes no result.
-    """
+    def seen(h):
+        # In place; only what is frequent is copied.
+        h.sort()
+        same = max(0, len(h) - least + 1)
+        often = np.unique(h[:same][h[:same] == h[len(h) - same :]])
+        c = np.searchsorted(h, often, "right") - np.searchsorted(h, often)
+        return pa.RecordBatch.from_arrays([_signed(often), pa.array(c, pa.int64())], ["h", "c"])
 
     def tally(batches):
-        def seen(parts):
-            h, c = np.unique(np.concatenate(parts), return_counts=True)
-            return pa.RecordBatch.from_arrays([_signed(h[c >= least]), pa.array(c[c >= least])], ["h", "c"])
-
-        parts, held = [], 0
+        forgotten()
+        buffer, held = np.empty(room, np.uint64), 0
         for batch in batches:
             for value in batch.column(0):
-                if words := value.as_py().lower().split():
-                    parts.append(_hashes(words, n))
-                    held += len(parts[-1])
-                if held > 4_000_000:
-                    yield seen(parts)
-                    parts, held = [], 0
-        if parts:
-            yield seen(parts)
-
-    rows = raw.select("raw").mapInArrow(tally, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).orderBy(F.desc("c"), "h").limit(most).toArrow()
+                words = value.as_py().lower().split()
+                fresh = _hashes(words, n) if words else buffer[:0]
+                while len(fresh):
+                    part = fresh[: room - held]
+                    buffer[held : held + len(part)] = part
+                    held, fresh = held + len(part), fresh[len(part) :]
+                    if held == room:
+                        yield seen(buffer)
+                        held = 0
+        if held:
+            yield seen(buffer[:held])
+
+    return tally
+
+
+def frequent(raw: DataFrame, n: int, least: int = 16, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+    """The most frequent shingle hashes, sorted, and their counts; from those that some millions in a row have ``least`` times.
+
+    They only order the index, so ``most`` bounds what is broadcast and changes no result.
+    """
+    rows = raw.select("raw").mapInArrow(_tally(n, least, 4_000_000), "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).orderBy(F.desc("c"), "h").limit(most).toArrow()
     h, c = rows.column("h").to_numpy().view(np.uint64), rows.column("c").to_numpy()
     order = np.argsort(h)
     return h[order], c[order]
